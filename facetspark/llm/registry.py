@@ -15,9 +15,24 @@ def _op2(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicate_groups(spark.read.parquet(f"{sf_dir}/documents.parquet"))
 
 
+def _op3(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from facetspark.llm.repeated_bytes import remove_repeated_bytes
+
+    return remove_repeated_bytes(spark.read.parquet(f"{sf_dir}/documents.parquet")).drop("spans")
+
+
+def _op5(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from facetspark.llm.quality_rules import quality_votes
+
+    votes = quality_votes(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    return votes.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_minhash_groups": _op2,
+        "op3_repeated_bytes": _op3,
+        "op5_quality_votes": _op5,
     }
 
 
