@@ -125,14 +125,15 @@ def _counted(batches):
             yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(counts[n].astype(np.int64)) for n in NAMES)], ["doc_id", *NAMES])
 
 
-def estimate(patterns: list[tuple[tuple[int, ...], int]], rules: int, false_alarm: float = 0.01, rounds: int = 500, tolerance: float = 1e-10) -> tuple[float, np.ndarray]:
+def estimate(patterns: list[tuple[tuple[int, ...], int]], rules: int, false_alarm: float = 0.002, catch: float = 0.15, miss: float = 0.7, rounds: int = 500, tolerance: float = 1e-10) -> tuple[float, np.ndarray]:
     """Share of good texts, and per class, rule and vote how often that vote is cast.
 
     Returns ``(good, rate)`` with ``rate[c, j, v + 1]`` for class c (0 bad, 1 good). A rule may
     miss most bad texts and still be right whenever it votes bad, so its accuracy is kept per
     class. Texts fail in unlike ways, each seen by one rule or two; without a constraint the
     classes would follow the largest such way. So no rule may accuse more than ``false_alarm``
-    of the good class. Pseudo-counts keep rates off 0.
+    of the good class, and every rule accuses at least ``catch``, and passes at least ``miss``,
+    of the bad class.
     """
     rate = np.empty((2, rules, 3))
     rate[0], rate[1] = (0.35, 0.15, 0.5), (0.02, 0.08, 0.9)
@@ -151,6 +152,9 @@ def estimate(patterns: list[tuple[tuple[int, ...], int]], rules: int, false_alar
         accused = np.minimum(fresh[1, :, 0], false_alarm)
         fresh[1, :, 1:] *= ((1 - accused) / fresh[1, :, 1:].sum(1))[:, None]
         fresh[1, :, 0] = accused
+        fresh[0, :, 0] = np.clip(fresh[0, :, 0], catch, 1 - miss - 0.02)
+        fresh[0, :, 2] = np.clip(fresh[0, :, 2], miss, 1 - fresh[0, :, 0] - 0.01)
+        fresh[0, :, 1] = 1 - fresh[0, :, 0] - fresh[0, :, 2]
         new_good = min(max((sizes[1].sum() + 1.6) / (weight.sum() + 2), 0.01), 0.99)
         moved = max(np.abs(fresh - rate).max(), abs(new_good - good))
         good, rate = float(new_good), fresh
