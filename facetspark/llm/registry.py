@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from facetspark.llm import sql
 
@@ -21,6 +22,20 @@ def _op3(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeated_bytes(spark.read.parquet(f"{sf_dir}/documents.parquet")).drop("spans")
 
 
+def _op4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from facetspark.llm.quality_model import score_quality, train
+
+    documents = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    model = train(documents, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return score_quality(documents.select("doc_id", "text"), model).select("doc_id", "expected_grade", "tail_probability", F.col("accepted").alias("kept"))
+
+
+def _op7(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from facetspark.llm.repeated_passages import repeated_passages
+
+    return repeated_passages(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+
+
 def _op5(spark: SparkSession, sf_dir: str) -> DataFrame:
     from facetspark.llm.quality_rules import quality_votes
 
@@ -32,7 +47,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_minhash_groups": _op2,
         "op3_repeated_bytes": _op3,
+        "op4_ordinal_quality": _op4,
         "op5_quality_votes": _op5,
+        "op7_repeated_passages": _op7,
     }
 
 
