@@ -3,8 +3,9 @@
 1. Every text becomes its set of distinct word shingles; texts with equal sets are one node.
 2. Nodes that agree in a band of MinHash values are candidates. A bucket first compares all
    its members with one of them (a star); members that end in the bucket's largest group
-   need no pairs among themselves. Only members outside it are then compared with the
-   members of other groups, so a large group of copies costs its size, not its square.
+   need no pairs among themselves. Members outside it meet a few members of that group, in
+   turns, and whoever links joins it; only those still outside are compared with all members
+   of other groups. So a large group of copies costs about its size, and no link is lost.
 3. A candidate pair is compared signature batch by batch. After each batch it is dropped if
    the posterior probability of a similarity at or above the threshold, under a uniform
    prior, is below ``miss``. Survivors are verified on their full sets.
@@ -37,6 +38,8 @@ class NearDuplicateParams:
     bands: int = 24
     rows: int = 4
     batch: int = 24
+    turns: int = 2
+    pivots: int = 4
     miss: float = 1e-6
 
     @property
@@ -154,7 +157,7 @@ def _sets(p: NearDuplicateParams):
     return run
 
 
-def verified_links(texts: DataFrame, nodes: DataFrame, pairs: DataFrame, p: NearDuplicateParams) -> DataFrame:
+def verified_links(nodes: DataFrame, sets: DataFrame, pairs: DataFrame, p: NearDuplicateParams) -> DataFrame:
     """The pairs ``(a, b)`` that survive the posterior bounds and whose full sets are similar."""
     sig = nodes.select("node", "signature")
     with_sig = (
@@ -163,18 +166,28 @@ def verified_links(texts: DataFrame, nodes: DataFrame, pairs: DataFrame, p: Near
         .select("a", "b", "sa", "sb")
     )
     likely = written(with_sig.mapInArrow(_posterior(p), "a long, b long"), "likely")
-    wanted = likely.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-    some = texts.withColumnRenamed("doc_id", "node").join(wanted, "node", "left_semi").dropDuplicates(["node"]).select("node", "text")
-    sets = written(some.mapInArrow(_sets(p), "node long, shingles array<long>"), "sets")
     shared = F.size(F.array_intersect("xa", "xb")).cast("long")
-    return (
+    return written(
         likely.join(sets.select(F.col("node").alias("a"), F.col("shingles").alias("xa")), "a")
         .join(sets.select(F.col("node").alias("b"), F.col("shingles").alias("xb")), "b")
         .where(100 * shared >= p.percent * (F.size("xa") + F.size("xb") - shared))
-        .select("a", "b")
+        .select("a", "b"),
+        "links",
     )
 
 
+def _open_buckets(buckets: DataFrame, links: DataFrame) -> DataFrame:
+    """Members of buckets that links have not yet made one group: ``bucket, node, part, inside``.
+
+    ``inside`` marks the members of the bucket's largest group.
+    """
+    groups = connected(links)
+    placed = buckets.join(groups, "node", "left").select("bucket", "node", F.coalesce("component", "node").alias("part"))
+    parts = placed.groupBy("bucket", "part").agg(F.count("*").alias("n"))
+    main = parts.groupBy("bucket").agg(F.max_by("part", F.struct("n", "part")).alias("main"), F.count("*").alias("parts")).where("parts > 1")
+    return written(placed.join(main, "bucket").select("bucket", "node", "part", (F.col("part") == F.col("main")).alias("inside")), "open")
+
+
 def near_duplicate_groups(documents: DataFrame, p: NearDuplicateParams = NearDuplicateParams()) -> DataFrame:
     """One row per input row: ``doc_id, n_shingles, component_id, kept``.
 
@@ -197,25 +210,28 @@ def near_duplicate_groups(documents: DataFrame, p: NearDuplicateParams = NearDup
     banded = nodes.select("node", "signature").mapInArrow(_banded(p), "bucket long, node long")
     hubs = banded.groupBy("bucket").agg(F.min("node").alias("hub"), F.count("*").alias("size")).where("size > 1")
     buckets = written(banded.join(hubs.select("bucket", "hub"), "bucket"), "buckets")
-    stars = buckets.where("node <> hub").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct()
-    links = written(verified_links(texts, nodes, stars, p), "links")
+    wanted = buckets.select("node").distinct().hint("merge")
+    some = texts.withColumnRenamed("doc_id", "node").join(wanted, "node", "left_semi").dropDuplicates(["node"]).select("node", "text")
+    sets = written(some.mapInArrow(_sets(p), "node long, shingles array<long>"), "sets")
 
-    # what a star has not settled: members outside the largest group of their bucket
-    groups = written(connected(links), "groups")
-    placed = buckets.join(groups, "node", "left").select("bucket", "node", F.coalesce("component", "node").alias("part"))
-    parts = placed.groupBy("bucket", "part").agg(F.count("*").alias("n"))
-    main = parts.groupBy("bucket").agg(F.max_by("part", F.struct("n", "part")).alias("main"), F.count("*").alias("parts")).where("parts > 1")
-    open_buckets = written(placed.join(main, "bucket").select("bucket", "node", "part", (F.col("part") == F.col("main")).alias("inside")), "open")
-    left = open_buckets.where("not inside").select("bucket", F.col("node").alias("x"), F.col("part").alias("px"))
-    cross = (
-        left.join(open_buckets, "bucket")
-        .where("px <> part and (inside or x < node)")
-        .select(F.least("x", "node").alias("a"), F.greatest("x", "node").alias("b"))
-        .distinct()
-        .join(stars.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti")
-    )
-    more = written(verified_links(texts, nodes, cross, p), "more")
-    final = connected(links.unionByName(more))
+    tested = buckets.where("node <> hub").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct()
+    links = verified_links(nodes, sets, tested, p)
+    for turn in range(p.turns + 1):
+        open_buckets = _open_buckets(buckets, links)
+        if open_buckets.isEmpty():
+            break
+        left = open_buckets.where("not inside").select("bucket", F.col("node").alias("x"), F.col("part").alias("px"))
+        if turn < p.turns:  # members outside the largest group meet a few of its members
+            draws = [F.min_by("node", F.xxhash64("node", F.lit(turn), F.lit(k))).alias(f"draw{k}") for k in range(p.pivots)]
+            drawn = open_buckets.where("inside").groupBy("bucket").agg(*draws)
+            met = left.join(drawn.select("bucket", F.explode(F.array_distinct(F.array(*(f"draw{k}" for k in range(p.pivots))))).alias("node")), "bucket")
+        else:  # and at last all members of other groups
+            met = left.join(open_buckets.select("bucket", "node", "part", "inside"), "bucket").where("px <> part and (inside or x < node)")
+        pairs = met.select(F.least("x", "node").alias("a"), F.greatest("x", "node").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
+        pairs = written(pairs, "pairs")
+        tested = tested.unionByName(pairs)
+        links = links.unionByName(verified_links(nodes, sets, pairs, p))
+    final = connected(links)
     alone = signed.where("doc_id is null or n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     grouped = members.join(final, "node", "left").select("doc_id", "n_shingles", F.coalesce("component", "node").alias("component_id"))
     return grouped.unionByName(alone).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))

@@ -39,7 +39,7 @@ class OrdinalParams:
     keep_grade: int = 2
     keep_probability: float = 0.5
     screen: float = 4.0
-    effect: float = 0.8
+    effect: float = 0.3
     ridge: float = 5e-5
     rounds: int = 400
 
