@@ -30,6 +30,12 @@ def _op4(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_quality(documents.select("doc_id", "text"), model).select("doc_id", "expected_grade", "tail_probability", F.col("accepted").alias("kept"))
 
 
+def _op6(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from facetspark.llm.decontaminate import leaks
+
+    return leaks(spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def _op7(spark: SparkSession, sf_dir: str) -> DataFrame:
     from facetspark.llm.repeated_passages import repeated_passages
 
@@ -49,6 +55,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_repeated_bytes": _op3,
         "op4_ordinal_quality": _op4,
         "op5_quality_votes": _op5,
+        "op6_benchmark_leaks": _op6,
         "op7_repeated_passages": _op7,
     }
 
