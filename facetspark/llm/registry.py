@@ -10,6 +10,12 @@ from pyspark.sql import functions as F
 from facetspark.llm import sql
 
 
+def _op1(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from facetspark.llm.pieces import encode
+
+    return encode(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+
+
 def _op2(spark: SparkSession, sf_dir: str) -> DataFrame:
     from facetspark.llm.near_duplicates import near_duplicate_groups
 
@@ -49,18 +55,28 @@ def _op5(spark: SparkSession, sf_dir: str) -> DataFrame:
     return votes.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def _op9(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from facetspark.llm.warc import archive_and_read
+
+    return archive_and_read(spark.read.parquet(f"{sf_dir}/pages.parquet")).drop("url")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_sampled_pieces": _op1,
         "op2_minhash_groups": _op2,
         "op3_repeated_bytes": _op3,
         "op4_ordinal_quality": _op4,
         "op5_quality_votes": _op5,
         "op6_benchmark_leaks": _op6,
         "op7_repeated_passages": _op7,
+        "op9_warc_archive": _op9,
     }
 
 
 def oracle_sql() -> dict[str, str]:
     return {
         "op2_minhash_groups": sql.NEAR_DUPLICATES,
+        "op3_repeated_bytes": sql.REPEATED_BYTES,
+        "op9_warc_archive": sql.WARC,
     }
