@@ -55,6 +55,18 @@ def _op5(spark: SparkSession, sf_dir: str) -> DataFrame:
     return votes.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def _op8(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from facetspark.llm.url_filter import filter_urls
+
+    return filter_urls(spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url")).drop("score")
+
+
+def _op10(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from facetspark.llm.license_scan import scan_licenses
+
+    return scan_licenses(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
+
+
 def _op9(spark: SparkSession, sf_dir: str) -> DataFrame:
     from facetspark.llm.warc import archive_and_read
 
@@ -70,7 +82,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_quality_votes": _op5,
         "op6_benchmark_leaks": _op6,
         "op7_repeated_passages": _op7,
+        "op8_url_filter": _op8,
         "op9_warc_archive": _op9,
+        "op10_license_scan": _op10,
     }
 
 
