@@ -196,7 +196,7 @@ def encode_slice(column: pa.Array, keys: np.ndarray, table: PieceTable, p: Piece
     count = np.zeros(len(start), np.int64)
     while len(alive):
         if p.sample:
-            draw = flat.mix(seed[alive] + np.uint64(step) * flat.MULTIPLIERS[502]) >> np.uint64(32)
+            draw = flat.mix(seed[alive] + flat.MULTIPLIERS[502:503] * np.uint64(step)) >> np.uint64(32)
             draw = np.minimum(draw, np.uint64(2**32 - 2))
         else:
             draw = np.full(len(alive), 2**31, np.uint64)
