@@ -16,6 +16,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from facetspark.llm.store import written
+
 RULES = (
     ("block", "com", "/en/"),
     ("allow", "example.com", "/en/7"),
@@ -84,7 +86,7 @@ def log_ratios(counts: DataFrame, p: UrlModelParams) -> DataFrame:
                 back = level.join(estimate.select(F.col("g").alias("lower"), F.col("prob").alias("q")), "lower")
             weight = F.when(F.col("total") > 0, F.col("kinds") / (F.col("total") + F.col("kinds"))).otherwise(F.lit(1.0))
             seen = F.when(F.col("total") > 0, F.col("n") / F.col("total")).otherwise(F.lit(0.0))
-            estimate = back.select("g", ((1 - weight) * seen + weight * F.col("q")).alias("prob"))
+            estimate = written(back.select("g", ((1 - weight) * seen + weight * F.col("q")).alias("prob")), f"order{k}")
         result = result.join(estimate.select(F.col("g").alias("gram"), F.ln("prob").alias(model)), "gram")
     return result.select("gram", F.round(F.col("allow") - F.col("block"), p.digits).cast("decimal(20,9)").alias("ratio"))
 
@@ -102,20 +104,22 @@ def filter_urls(pages: DataFrame, p: UrlModelParams = UrlModelParams(), rules=RU
     name, verdict = rule_of(F.col("host"), F.col("path"), rules)
     ruled = split.withColumns({"rule": name, "ruled": verdict, "fold": F.pmod(F.xxhash64("host", "path"), F.lit(p.folds))})
     # equal URLs are folded first: a hot host or page counts by its number
-    urls = ruled.groupBy("host", "path", "ruled", "fold").agg(F.count("*").alias("n"))
+    urls = written(ruled.groupBy("host", "path", "ruled", "fold").agg(F.count("*").alias("n")), "urls")
     trains = F.col("fold") > 0
     weight = lambda kind: F.when(trains & (F.col("ruled") == kind), F.col("n")).otherwise(0)
     grams = _grams(urls.withColumns({"a": weight("allow"), "b": weight("block")}), p, "host", "path", "a", "b")
-    counts = grams.groupBy("gram").agg(F.sum("a").alias("allow"), F.sum("b").alias("block"))
-    ratios = log_ratios(counts, p)
-    scored = (
+    # tables are written at each step, so plans stay short however high the order
+    counts = written(grams.groupBy("gram").agg(F.sum("a").alias("allow"), F.sum("b").alias("block")), "grams")
+    ratios = written(log_ratios(counts, p), "ratios")
+    scored = written(
         _grams(urls.select("host", "path"), p, "host", "path")
         .groupBy("host", "path", "gram")
         .agg(F.count("*").alias("times"))
         .join(ratios, "gram")
         .groupBy("host", "path")
         .agg(F.sum(F.col("ratio") * F.col("times")).alias("total"), F.sum("times").alias("chars"))
-        .select("host", "path", F.round(F.col("total").cast("double") / F.col("chars"), 6).alias("score"))
+        .select("host", "path", F.round(F.col("total").cast("double") / F.col("chars"), 6).alias("score")),
+        "scored",
     )
     # calibration: the score bin with the best balanced accuracy over held-out rule URLs
     held = scored.join(urls.where("fold = 0 and ruled is not null"), ["host", "path"])
