@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from math import ceil, log2
-
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -13,19 +11,19 @@ def threshold_edges(sim: DataFrame, sigma: float = 0.35) -> DataFrame:
     return sim.where(F.col("sim") > sigma).select("query", "a", "b")
 
 
-def components(nodes: DataFrame, edges: DataFrame, most_nodes: int = 32) -> DataFrame:
+def components(nodes: DataFrame, edges: DataFrame) -> DataFrame:
     """``query, facet, component``: the smallest facet that each one reaches.
 
-    Seeds have at most ``most_nodes`` candidates, so squaring the reach relation a fixed number
-    of times closes it, without a loop on the driver.
+    A seed has a few dozen candidates at most, so its graph is one row: edges are folded into
+    a map of labels, each edge giving both its parts the smaller label. Columns of ``nodes``
+    besides ``facet`` name the graph.
     """
     keys = [c for c in nodes.columns if c != "facet"]
-    loops = nodes.select(*keys, F.col("facet").alias("a"), F.col("facet").alias("b"))
-    reach = loops.unionByName(edges.select(*keys, "a", "b")).unionByName(edges.select(*keys, F.col("b").alias("a"), F.col("a").alias("b"))).distinct()
-    for _ in range(ceil(log2(most_nodes))):
-        step = reach.select(*keys, F.col("a").alias("b"), F.col("b").alias("c"))
-        reach = reach.join(step, [*keys, "b"]).select(*keys, "a", F.col("c").alias("b")).distinct()
-    return reach.groupBy(*keys, F.col("a").alias("facet")).agg(F.min("b").alias("component"))
+    points = nodes.groupBy(*keys).agg(F.map_from_entries(F.collect_set(F.struct(F.col("facet").alias("k"), F.col("facet").alias("v")))).alias("start"))
+    lines = edges.groupBy(*keys).agg(F.collect_list(F.struct("a", "b")).alias("edges"))
+    packed = points.join(lines, keys, "left").withColumn("edges", F.coalesce("edges", F.expr("cast(array() as array<struct<a:string,b:string>>)")))
+    fold = "aggregate(edges, start, (acc, e) -> transform_values(acc, (k, v) -> if(v = acc[e.a] or v = acc[e.b], least(acc[e.a], acc[e.b]), v)))"
+    return packed.select(*keys, F.explode(F.expr(fold)).alias("facet", "component"))
 
 
 def label_clusters(clusters: DataFrame, scored: DataFrame) -> DataFrame:

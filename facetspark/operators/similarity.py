@@ -45,18 +45,16 @@ def facet_sim(hits: DataFrame, vectors: DataFrame, method: str = "best_match") -
     half = doc_pairs(vectors)
     pairs = half.unionByName(half.where("d1 < d2").select("query", F.col("d2").alias("d1"), F.col("d1").alias("d2"), "dsim"))
     sizes = hits.groupBy("query", "facet").agg(F.count("*").alias("n"))
-    left = hits.select("query", F.col("facet").alias("a"), F.col("doc_id").alias("d1"))
-    right = hits.select("query", F.col("facet").alias("b"), F.col("doc_id").alias("d2"))
-    met = left.join(pairs, ["query", "d1"]).join(right, ["query", "d2"]).where("a < b")
+    # per page and other facet first, so shared pages are matched once
+    near = pairs.join(hits.select("query", F.col("facet").alias("b"), F.col("doc_id").alias("d2")), ["query", "d2"]).groupBy("query", "d1", "b")
+    near = near.agg((F.max("dsim") if method == "best_match" else F.sum("dsim")).alias("s"))
+    toward = hits.select("query", F.col("facet").alias("a"), F.col("doc_id").alias("d1")).join(near, ["query", "d1"]).where("a <> b").groupBy("query", "a", "b").agg(F.sum("s").alias("s"))
     size = lambda side: sizes.select("query", F.col("facet").alias(side), F.col("n").alias(f"n_{side}"))
+    sized = toward.join(size("a"), ["query", "a"])
     if method == "all_pairs":
-        sums = met.groupBy("query", "a", "b").agg(F.sum("dsim").alias("s"))
-        value = F.col("s") / (F.col("n_a") * F.col("n_b"))
-        return sums.join(size("a"), ["query", "a"]).join(size("b"), ["query", "b"]).select("query", "a", "b", F.round(value, DIGITS).alias("sim"))
-    from_a = met.groupBy("query", "a", "b", "d1").agg(F.max("dsim").alias("best")).groupBy("query", "a", "b").agg(F.sum("best").alias("sa"))
-    from_b = met.groupBy("query", "a", "b", "d2").agg(F.max("dsim").alias("best")).groupBy("query", "a", "b").agg(F.sum("best").alias("sb"))
-    value = F.col("sa") / (2 * F.col("n_a")) + F.col("sb") / (2 * F.col("n_b"))
-    return from_a.join(from_b, ["query", "a", "b"]).join(size("a"), ["query", "a"]).join(size("b"), ["query", "b"]).select("query", "a", "b", F.round(value, DIGITS).alias("sim"))
+        return sized.where("a < b").join(size("b"), ["query", "b"]).select("query", "a", "b", F.round(F.col("s") / (F.col("n_a") * F.col("n_b")), DIGITS).alias("sim"))
+    half = sized.select("query", F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y"), (F.col("s") / (2 * F.col("n_a"))).alias("part"))
+    return half.groupBy(F.col("query"), F.col("x").alias("a"), F.col("y").alias("b")).agg(F.round(F.sum("part"), DIGITS).alias("sim"))
 
 
 def _concat_sim(hits: DataFrame, vectors: DataFrame) -> DataFrame:

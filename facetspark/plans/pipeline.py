@@ -39,7 +39,10 @@ def capped(scored: DataFrame, n: int) -> DataFrame:
 
 @dataclass
 class Commerce:
-    """Every stage over the commerce world, as lazy frames; each is built once."""
+    """Every stage over the commerce world, as lazy frames; each is built once.
+
+    Stages that several later ones read are persisted: lost blocks are computed again.
+    """
 
     t: worlds.Tables
     p: Params = field(default_factory=Params)
@@ -54,11 +57,11 @@ class Commerce:
 
     @cached_property
     def instance(self) -> DataFrame:
-        return candidates.keyed(candidates.mine(self.log, self.seeds, self.p.sources), self.seeds)
+        return candidates.keyed(candidates.mine(self.log, self.seeds, self.p.sources), self.seeds).persist()
 
     @cached_property
     def nodes(self) -> DataFrame:
-        return propagate.classes_of(self.seeds, worlds.membership(self.t))
+        return propagate.classes_of(self.seeds, worlds.membership(self.t)).persist()
 
     @cached_property
     def scored(self) -> DataFrame:
@@ -68,34 +71,35 @@ class Commerce:
     def pool(self) -> DataFrame:
         """The capped facets of the panel's seeds, with the text that poses them."""
         some = self.scored.join(worlds.panel(self.t).select("query"), "query", "left_semi")
-        return candidates.posed(capped(some, self.p.cap), self.seeds)
+        return candidates.posed(capped(some, self.p.cap), self.seeds).persist()
 
     @cached_property
     def index(self) -> retrieve.Index:
-        return retrieve.build_index(worlds.corpus(self.t, self.p.skew), self.p.fields)
+        made = retrieve.build_index(worlds.corpus(self.t, self.p.skew), self.p.fields)
+        return retrieve.Index(made.postings.persist(), made.docs.persist(), made.terms.persist(), made.totals.persist())
 
     @cached_property
     def hits(self) -> DataFrame:
-        return retrieve.facet_hits(self.pool, self.index, self.p.m)
+        return retrieve.facet_hits(self.pool, self.index, self.p.m).persist()
 
     @cached_property
     def vectors(self) -> DataFrame:
-        return similarity.doc_vectors(self.hits, self.index, self.p.strip_seed)
+        return similarity.doc_vectors(self.hits, self.index, self.p.strip_seed).persist()
 
     @cached_property
     def sim(self) -> DataFrame:
-        return similarity.word_sim(self.pool) if self.p.method == "words" else similarity.facet_sim(self.hits, self.vectors, self.p.method)
+        return similarity.word_sim(self.pool) if self.p.method == "words" else similarity.facet_sim(self.hits, self.vectors, self.p.method).persist()
 
     @cached_property
     def clusters(self) -> DataFrame:
         edges = cluster.threshold_edges(self.sim, self.p.sigma if self.p.dedupe else float("inf"))
-        return cluster.label_clusters(cluster.components(self.pool.select("query", "facet"), edges), self.pool)
+        return cluster.label_clusters(cluster.components(self.pool.select("query", "facet"), edges), self.pool).persist()
 
     @cached_property
     def groups(self) -> DataFrame:
         labels = self.clusters.where("is_label")
         matches = group.match_entities(labels, worlds.membership(self.t), worlds.aliases(self.t), worlds.ambiguous(self.t), self.p.ambiguity)
-        return group.by_category(labels, matches if self.p.grouping else matches.where("false"))
+        return group.by_category(labels, matches if self.p.grouping else matches.where("false")).persist()
 
     @cached_property
     def ranked(self) -> DataFrame:
