@@ -104,7 +104,9 @@ class ItemIndex:
         self.rest_most = np.zeros(n // p.block + 1)
         rest = np.bincount(item, np.where(starts, 0, impact), minlength=n)
         np.maximum.at(self.rest_most, np.arange(n) // p.block, rest)
-        self.block_max = dict(zip(bkey.tolist(), most.tolist(), strict=True))
+        # block maxima by term
+        self.block_of, self.block_most = bkey & 0xFFFFFFFF, most
+        self.blocks_from = np.searchsorted(bkey >> 32, np.arange(len(terms) + 1))
         self.slot = np.zeros(1 << p.table_bits, bool)
         self.slot[(terms >> np.uint64(64 - p.table_bits)).astype(np.int64)] = True
         self.window = int(max(lengths, default=1))
@@ -158,8 +160,10 @@ class ItemIndex:
                 last = min(first + 2 * self.window, bounds[d + 1])
                 x, y = np.searchsorted(place, (first, last))
                 seen = np.unique(term[x:y])
-            bound = sum(self.block_max.get((int(t) << 32) | int(b), 0.0) for t in seen)
-            if bound < p.threshold:
+                n = self.blocks_from[seen + 1] - self.blocks_from[seen]
+                at_most = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(self.blocks_from[seen], n)
+                bounds_here = np.bincount(self.block_of[at_most], self.block_most[at_most], minlength=len(self.ids) // p.block + 1)
+            if bounds_here[b] < p.threshold - 1e-9:
                 continue
             held = self.terms[seen]
             for item in range(b * p.block, min((b + 1) * p.block, len(self.ids))):
