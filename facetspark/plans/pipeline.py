@@ -37,16 +37,37 @@ def capped(scored: DataFrame, n: int) -> DataFrame:
     return scored.withColumn("rank", order).where(F.col("rank") <= n).drop("rank")
 
 
+#: parameters that each stage depends on, besides those of the stages before it
+DEPENDS = {
+    "log": ("skew",),
+    "instance": ("skew", "sources"),
+    "scored": ("skew", "sources", "k", "mode"),
+    "pool": ("skew", "sources", "k", "mode", "cap"),
+    "index": ("skew", "fields"),
+    "hits": ("skew", "sources", "k", "mode", "cap", "fields", "m"),
+    "vectors": ("skew", "sources", "k", "mode", "cap", "fields", "m", "strip_seed"),
+    "sim": ("skew", "sources", "k", "mode", "cap", "fields", "m", "strip_seed", "method"),
+}
+_stages: dict[tuple, object] = {}
+
+
 @dataclass
 class Commerce:
-    """Every stage over the commerce world, as lazy frames; each is built once.
+    """Every stage over the commerce world, as lazy frames.
 
-    Stages that several later ones read are persisted: lost blocks are computed again.
+    Stages that several later ones read are persisted, and shared by runs whose parameters
+    agree up to them; lost blocks are computed again.
     """
 
     t: worlds.Tables
     p: Params = field(default_factory=Params)
 
+    def _shared(self, stage: str, make):
+        key = (self.t.spark.sparkContext.applicationId, self.t.folder, stage, *(getattr(self.p, n) for n in DEPENDS[stage]))
+        if key not in _stages:
+            _stages[key] = make()
+        return _stages[key]
+
     @cached_property
     def log(self) -> DataFrame:
         return worlds.commerce_log(self.t, self.p.skew)
@@ -56,39 +77,46 @@ class Commerce:
         return worlds.seeds(self.t)
 
     @cached_property
-    def instance(self) -> DataFrame:
-        return candidates.keyed(candidates.mine(self.log, self.seeds, self.p.sources), self.seeds).persist()
+    def nodes(self) -> DataFrame:
+        return propagate.classes_of(self.seeds, worlds.membership(self.t))
 
     @cached_property
-    def nodes(self) -> DataFrame:
-        return propagate.classes_of(self.seeds, worlds.membership(self.t)).persist()
+    def instance(self) -> DataFrame:
+        return self._shared("instance", lambda: candidates.keyed(candidates.mine(self.log, self.seeds, self.p.sources), self.seeds).persist())
 
     @cached_property
     def scored(self) -> DataFrame:
-        return propagate.propagate(self.instance, self.nodes, self.p.k, self.p.mode)
+        return self._shared("scored", lambda: propagate.propagate(self.instance, self.nodes, self.p.k, self.p.mode).persist())
 
     @cached_property
     def pool(self) -> DataFrame:
         """The capped facets of the panel's seeds, with the text that poses them."""
-        some = self.scored.join(worlds.panel(self.t).select("query"), "query", "left_semi")
-        return candidates.posed(capped(some, self.p.cap), self.seeds).persist()
+
+        def make():
+            some = self.scored.join(worlds.panel(self.t).select("query"), "query", "left_semi")
+            return candidates.posed(capped(some, self.p.cap), self.seeds).persist()
+
+        return self._shared("pool", make)
 
     @cached_property
     def index(self) -> retrieve.Index:
-        made = retrieve.build_index(worlds.corpus(self.t, self.p.skew), self.p.fields)
-        return retrieve.Index(made.postings.persist(), made.docs.persist(), made.terms.persist(), made.totals.persist())
+        def make():
+            made = retrieve.build_index(worlds.corpus(self.t, self.p.skew), self.p.fields)
+            return retrieve.Index(made.postings.persist(), made.docs.persist(), made.terms.persist(), made.totals.persist())
+
+        return self._shared("index", make)
 
     @cached_property
     def hits(self) -> DataFrame:
-        return retrieve.facet_hits(self.pool, self.index, self.p.m).persist()
+        return self._shared("hits", lambda: retrieve.facet_hits(self.pool, self.index, self.p.m).persist())
 
     @cached_property
     def vectors(self) -> DataFrame:
-        return similarity.doc_vectors(self.hits, self.index, self.p.strip_seed).persist()
+        return self._shared("vectors", lambda: similarity.doc_vectors(self.hits, self.index, self.p.strip_seed).persist())
 
     @cached_property
     def sim(self) -> DataFrame:
-        return similarity.word_sim(self.pool) if self.p.method == "words" else similarity.facet_sim(self.hits, self.vectors, self.p.method).persist()
+        return self._shared("sim", lambda: (similarity.word_sim(self.pool) if self.p.method == "words" else similarity.facet_sim(self.hits, self.vectors, self.p.method)).persist())
 
     @cached_property
     def clusters(self) -> DataFrame:

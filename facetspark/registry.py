@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from facetspark import oracles
 from facetspark.functions import textkit
-from facetspark.operators import baselines, candidates, cluster, group, measures, present, propagate, retrieve, select, similarity
+from facetspark.operators import baselines, candidates, cluster, group, measures, present, propagate, relops, retrieve, select, similarity
 from facetspark.plans.pipeline import Commerce, Params, capped
 from facetspark.sources import worlds
 
@@ -393,3 +393,11 @@ _best8 = "SELECT query, facet FROM {0} QUALIFY row_number() OVER (PARTITION BY q
 ORACLES["w19_class_mode_ablation"] = oracles.oracle("SELECT query, count(*) AS shared FROM best_a JOIN best_b USING (query, facet) GROUP BY query", {"cls_a": oracles.expressions(mode="mean")["cls"], "scored_a": oracles.expressions()["scored"].replace("JOIN cls ", "JOIN cls_a "), "best_a": _best8.format("scored_a"), "best_b": _best8.format("scored")})
 register("x18_grouped_rate", lambda c: c.groups.groupBy("query").agg(F.max((F.col("kind") == "group").cast("int")).alias("g")).agg(F.count("*").alias("seeds"), F.sum("g").alias("grouped")), "SELECT count(*) AS seeds, CAST(sum(g) AS BIGINT) AS grouped FROM (SELECT query, max(CASE WHEN kind = 'group' THEN 1 ELSE 0 END) AS g FROM groups GROUP BY query)")
 variant("x18_grouped_rate_vote", lambda c: c.groups.groupBy("query").agg(F.max((F.col("kind") == "group").cast("int")).alias("g")).agg(F.count("*").alias("seeds"), F.sum("g").alias("grouped")), "SELECT count(*) AS seeds, CAST(sum(g) AS BIGINT) AS grouped FROM (SELECT query, max(CASE WHEN kind = 'group' THEN 1 ELSE 0 END) AS g FROM groups GROUP BY query)", ambiguity="vote")
+
+# --- relational operators -------------------------------------------------------------------
+
+for _name, (_make, _sql) in relops.OPERATORS.items():
+    QUERIES[_name] = lambda spark, folder, make=_make: make(worlds.Tables(spark, folder))
+    ORACLES[_name] = _sql
+for _name, _make in relops.SKETCHES.items():
+    QUERIES[_name] = lambda spark, folder, make=_make: make(worlds.Tables(spark, folder))
