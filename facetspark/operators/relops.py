@@ -23,12 +23,11 @@ def events(t: Tables) -> DataFrame:
 
 
 EV = "(SELECT event_id, ts, user_id, event_type, value, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k FROM events)"
-BY_USER = W.partitionBy("user_id").orderBy("ts", "event_id")
 WIN = "WINDOW u AS (PARTITION BY user_id ORDER BY ts, event_id)"
 
 
-def _kinds(t, kind):
-    return events(t).where(F.col("event_type") == kind)
+def by_user():
+    return W.partitionBy("user_id").orderBy("ts", "event_id")
 
 
 def _interval(t: Tables) -> DataFrame:
@@ -69,9 +68,9 @@ OPERATORS: dict[str, tuple] = {
     "agg_stats": (lambda t: t.customer.groupBy("c_mktsegment").agg(F.round(F.stddev_samp("c_acctbal"), 4).alias("sd"), F.round(F.corr("c_acctbal", "c_nationkey"), 6).alias("r")), "SELECT c_mktsegment, round(stddev_samp(c_acctbal), 4) AS sd, round(corr(c_acctbal, c_nationkey), 6) AS r FROM customer GROUP BY 1"),
     "win_rank_family": (lambda t: t.part.select("p_partkey", *(f.over(W.partitionBy("p_type").orderBy("p_size")).cast("long").alias(n) for f, n in ((F.rank(), "r"), (F.dense_rank(), "d")))), "SELECT p_partkey, rank() OVER w AS r, dense_rank() OVER w AS d FROM part WINDOW w AS (PARTITION BY p_type ORDER BY p_size)"),
     "win_ntile_cume": (lambda t: t.part.select("p_partkey", F.ntile(4).over(W.partitionBy("p_brand").orderBy("p_retailprice", "p_partkey")).cast("long").alias("q"), F.round(F.cume_dist().over(W.partitionBy("p_brand").orderBy("p_retailprice", "p_partkey")), 6).alias("c")), "SELECT p_partkey, ntile(4) OVER w AS q, round(cume_dist() OVER w, 6) AS c FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_retailprice, p_partkey)"),
-    "win_lag_lead": (lambda t: events(t).select("event_id", F.lag("k").over(BY_USER).alias("before"), F.lead("k").over(BY_USER).alias("after")), f"SELECT event_id, lag(k) OVER u AS before, lead(k) OVER u AS after FROM {EV} {WIN}"),
-    "win_first_last_nth": (lambda t: events(t).select("event_id", F.first("k").over(BY_USER).alias("f"), F.nth_value("k", 2).over(BY_USER.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("n2")), f"SELECT event_id, first_value(k) OVER u AS f, nth_value(k, 2) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS n2 FROM {EV} {WIN}"),
-    "win_running_rows": (lambda t: events(t).select("event_id", F.sum("k").over(BY_USER.rowsBetween(-2, 0)).alias("s")), f"SELECT event_id, CAST(sum(k) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS s FROM {EV}"),
+    "win_lag_lead": (lambda t: events(t).select("event_id", F.lag("k").over(by_user()).alias("before"), F.lead("k").over(by_user()).alias("after")), f"SELECT event_id, lag(k) OVER u AS before, lead(k) OVER u AS after FROM {EV} {WIN}"),
+    "win_first_last_nth": (lambda t: events(t).select("event_id", F.first("k").over(by_user()).alias("f"), F.nth_value("k", 2).over(by_user().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("n2")), f"SELECT event_id, first_value(k) OVER u AS f, nth_value(k, 2) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS n2 FROM {EV} {WIN}"),
+    "win_running_rows": (lambda t: events(t).select("event_id", F.sum("k").over(by_user().rowsBetween(-2, 0)).alias("s")), f"SELECT event_id, CAST(sum(k) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS s FROM {EV}"),
     "win_trailing_range": (lambda t: events(t).withColumn("sec", F.unix_timestamp(F.col("ts").cast("timestamp"))).select("event_id", F.count("*").over(W.partitionBy("user_id").orderBy("sec").rangeBetween(-7 * 86400, 0)).alias("n")), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY sec RANGE BETWEEN 604800 PRECEDING AND CURRENT ROW) AS n FROM (SELECT event_id, user_id, CAST(floor(epoch(ts)) AS BIGINT) AS sec FROM events)"),
     "win_partition_total": (lambda t: t.orders.groupBy("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")).withColumn("total", F.sum("n").over(W.partitionBy("o_orderstatus"))), "SELECT o_orderstatus, o_orderpriority, count(*) AS n, CAST(sum(count(*)) OVER (PARTITION BY o_orderstatus) AS BIGINT) AS total FROM orders GROUP BY ALL"),
     "sort_global_limit": (lambda t: t.orders.orderBy(F.col("o_totalprice").desc(), "o_orderkey").limit(25).select("o_orderkey"), "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 25"),
