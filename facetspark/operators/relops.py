@@ -55,12 +55,12 @@ OPERATORS: dict[str, tuple] = {
     "join_lateral_tokens": (lambda t: t.benchmark.select("item_id", F.explode(F.split(F.lower("text"), "[^a-z]+")).alias("w")).where("length(w) > 5").groupBy("w").agg(F.count("*").alias("n")), "SELECT w, count(*) AS n FROM (SELECT unnest(regexp_split_to_array(lower(text), '[^a-z]+')) AS w FROM benchmark) WHERE length(w) > 5 GROUP BY 1"),
     "agg_basic": (lambda t: t.lineitem.groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("q"), F.round(F.avg("l_discount"), 4).alias("d"), F.min("l_tax").alias("lo"), F.max("l_tax").alias("hi")), "SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS q, round(avg(l_discount), 4) AS d, min(l_tax) AS lo, max(l_tax) AS hi FROM lineitem GROUP BY ALL"),
     "agg_distinct": (lambda t: t.lineitem.groupBy("l_returnflag").agg(F.count_distinct("l_suppkey").alias("s"), F.count_distinct("l_partkey").alias("p")), "SELECT l_returnflag, count(DISTINCT l_suppkey) AS s, count(DISTINCT l_partkey) AS p FROM lineitem GROUP BY 1"),
-    "agg_conditional": (lambda t: t.labels.agg(F.count_if("quality = 1").alias("good"), F.count_if("toxic = 1").alias("bad"), F.bool_or(F.col("toxic") == 1).alias("some")), "SELECT count_if(quality = 1) AS good, count_if(toxic = 1) AS bad, bool_or(toxic = 1) AS some FROM labels"),
+    "agg_conditional": (lambda t: t.labels.agg(F.count_if(F.col("quality") == 1).alias("good"), F.count_if(F.col("toxic") == 1).alias("bad"), F.bool_or(F.col("toxic") == 1).alias("some")), "SELECT count_if(quality = 1) AS good, count_if(toxic = 1) AS bad, bool_or(toxic = 1) AS some FROM labels"),
     "agg_having": (lambda t: t.orders.groupBy("o_custkey").agg(F.count("*").alias("n")).where("n > 15"), "SELECT o_custkey, count(*) AS n FROM orders GROUP BY 1 HAVING count(*) > 15"),
     "agg_rollup": (lambda t: t.documents.rollup("lang", "source").agg(F.count("*").alias("n")), "SELECT lang, source, count(*) AS n FROM documents GROUP BY ROLLUP (lang, source)"),
     "agg_cube": (lambda t: t.orders.cube("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")), "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)"),
     "agg_grouping_sets": (lambda t: t.orders.groupingSets([["o_orderstatus"], ["o_orderpriority"]], "o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")), "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority))"),
-    "agg_pivot_verdict": (lambda t: t.lineitem.groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count("*")), "SELECT l_linestatus, count_if(l_returnflag = 'A') AS A, count_if(l_returnflag = 'N') AS N, count_if(l_returnflag = 'R') AS R FROM lineitem GROUP BY 1"),
+    "agg_pivot_verdict": (lambda t: t.lineitem.groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count(F.lit(1))), "SELECT l_linestatus, count_if(l_returnflag = 'A') AS A, count_if(l_returnflag = 'N') AS N, count_if(l_returnflag = 'R') AS R FROM lineitem GROUP BY 1"),
     "agg_unpivot": (lambda t: t.part.unpivot(["p_partkey"], ["p_brand", "p_type"], "kind", "value").groupBy("kind", "value").agg(F.count("*").alias("n")), "SELECT kind, value, count(*) AS n FROM (SELECT 'p_brand' AS kind, p_brand AS value FROM part UNION ALL SELECT 'p_type', p_type FROM part) GROUP BY ALL"),
     "agg_max_by": (lambda t: t.part.groupBy("p_brand").agg(F.max_by("p_partkey", F.struct("p_retailprice", "p_partkey")).alias("top")), "SELECT p_brand, arg_max(p_partkey, (p_retailprice, p_partkey)) AS top FROM part GROUP BY 1"),
     "agg_listagg": (lambda t: t.nation.groupBy("n_regionkey").agg(F.array_join(F.array_sort(F.collect_list("n_name")), ",").alias("names")), "SELECT n_regionkey, string_agg(n_name, ',' ORDER BY n_name) AS names FROM nation GROUP BY 1"),
@@ -72,7 +72,7 @@ OPERATORS: dict[str, tuple] = {
     "win_first_last_nth": (lambda t: events(t).select("event_id", F.first("k").over(by_user()).alias("f"), F.nth_value("k", 2).over(by_user().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("n2")), f"SELECT event_id, first_value(k) OVER u AS f, nth_value(k, 2) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS n2 FROM {EV} {WIN}"),
     "win_running_rows": (lambda t: events(t).select("event_id", F.sum("k").over(by_user().rowsBetween(-2, 0)).alias("s")), f"SELECT event_id, CAST(sum(k) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS s FROM {EV}"),
     "win_trailing_range": (lambda t: events(t).withColumn("sec", F.unix_timestamp(F.col("ts").cast("timestamp"))).select("event_id", F.count("*").over(W.partitionBy("user_id").orderBy("sec").rangeBetween(-7 * 86400, 0)).alias("n")), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY sec RANGE BETWEEN 604800 PRECEDING AND CURRENT ROW) AS n FROM (SELECT event_id, user_id, CAST(floor(epoch(ts)) AS BIGINT) AS sec FROM events)"),
-    "win_partition_total": (lambda t: t.orders.groupBy("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")).withColumn("total", F.sum("n").over(W.partitionBy("o_orderstatus"))), "SELECT o_orderstatus, o_orderpriority, count(*) AS n, CAST(sum(count(*)) OVER (PARTITION BY o_orderstatus) AS BIGINT) AS total FROM orders GROUP BY ALL"),
+    "win_partition_total": (lambda t: t.orders.groupBy("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")).withColumn("total", F.sum("n").over(W.partitionBy("o_orderstatus"))), "SELECT o_orderstatus, o_orderpriority, count(*) AS n, CAST(sum(count(*)) OVER (PARTITION BY o_orderstatus) AS BIGINT) AS total FROM orders GROUP BY o_orderstatus, o_orderpriority"),
     "sort_global_limit": (lambda t: t.orders.orderBy(F.col("o_totalprice").desc(), "o_orderkey").limit(25).select("o_orderkey"), "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 25"),
     "sort_nulls": (lambda t: t.documents.join(t.labels, "doc_id", "left").orderBy(F.col("quality").desc_nulls_last(), "doc_id").limit(30).select("doc_id", "quality"), "SELECT doc_id, quality FROM documents LEFT JOIN labels USING (doc_id) ORDER BY quality DESC NULLS LAST, doc_id LIMIT 30"),
     "limit_offset": (lambda t: t.part.orderBy("p_partkey").offset(20).limit(10).select("p_partkey"), "SELECT p_partkey FROM part ORDER BY p_partkey LIMIT 10 OFFSET 20"),

@@ -16,6 +16,7 @@ from facetspark.functions import textkit
 from facetspark.operators import baselines, candidates, cluster, group, measures, present, propagate, relops, retrieve, select, similarity
 from facetspark.plans.pipeline import Commerce, Params, capped
 from facetspark.sources import worlds
+from facetspark.streaming import logs
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -401,3 +402,29 @@ for _name, (_make, _sql) in relops.OPERATORS.items():
     ORACLES[_name] = _sql
 for _name, _make in relops.SKETCHES.items():
     QUERIES[_name] = lambda spark, folder, make=_make: make(worlds.Tables(spark, folder))
+
+# --- streams --------------------------------------------------------------------------------
+STREAMS = {
+    "stream_incremental_counts": (logs.query_counts, f"SELECT query, count(*) AS freq FROM ({CLICKS}) GROUP BY query"),
+    "stream_tumbling": (logs.daily_counts, "SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS n FROM events GROUP BY 1"),
+    "stream_dedupe": (logs.distinct_events, f"SELECT query, count(*) AS n FROM ({CLICKS}) GROUP BY query"),
+    "stream_session": (logs.closed_sessions, None),
+}
+for _name, (_make, _sql) in STREAMS.items():
+    QUERIES[_name] = lambda spark, folder, make=_make: make(spark, f"{folder}/events.parquet")
+    if _sql:
+        ORACLES[_name] = _sql
+
+
+def _plain_counts(sql: str) -> str:
+    """``count_if(x)`` as ``count(nullif(x, false))``, which DuckDB counts in 64 bits."""
+    while (at := sql.find("count_if(")) >= 0:
+        depth, end = 1, at + len("count_if(")
+        while depth:
+            depth += {"(": 1, ")": -1}.get(sql[end], 0)
+            end += 1
+        sql = f"{sql[:at]}count(nullif({sql[at + len('count_if(') : end - 1]}, false)){sql[end:]}"
+    return sql
+
+
+ORACLES = {name: _plain_counts(sql) for name, sql in ORACLES.items()}
