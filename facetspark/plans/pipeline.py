@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from facetspark.operators import candidates, cluster, group, propagate, retrieve, select, similarity
 from facetspark.sources import worlds
+from facetspark.sources.storage import cut
 
 
 @dataclass(frozen=True)
@@ -53,10 +54,10 @@ _stages: dict[tuple, object] = {}
 
 @dataclass
 class Commerce:
-    """Every stage over the commerce world, as lazy frames.
+    """Every stage over the commerce world.
 
-    Stages that several later ones read are persisted, and shared by runs whose parameters
-    agree up to them; lost blocks are computed again.
+    Stages that several later ones read are written once, so plans stay short, and shared by
+    runs whose parameters agree up to them.
     """
 
     t: worlds.Tables
@@ -65,7 +66,8 @@ class Commerce:
     def _shared(self, stage: str, make):
         key = (self.t.spark.sparkContext.applicationId, self.t.folder, stage, *(getattr(self.p, n) for n in DEPENDS[stage]))
         if key not in _stages:
-            _stages[key] = make()
+            made = make()
+            _stages[key] = cut(made, stage) if isinstance(made, DataFrame) else made
         return _stages[key]
 
     @cached_property
@@ -82,11 +84,11 @@ class Commerce:
 
     @cached_property
     def instance(self) -> DataFrame:
-        return self._shared("instance", lambda: candidates.keyed(candidates.mine(self.log, self.seeds, self.p.sources), self.seeds).persist())
+        return self._shared("instance", lambda: candidates.keyed(candidates.mine(self.log, self.seeds, self.p.sources), self.seeds))
 
     @cached_property
     def scored(self) -> DataFrame:
-        return self._shared("scored", lambda: propagate.propagate(self.instance, self.nodes, self.p.k, self.p.mode).persist())
+        return self._shared("scored", lambda: propagate.propagate(self.instance, self.nodes, self.p.k, self.p.mode))
 
     @cached_property
     def pool(self) -> DataFrame:
@@ -94,7 +96,7 @@ class Commerce:
 
         def make():
             some = self.scored.join(worlds.panel(self.t).select("query"), "query", "left_semi")
-            return candidates.posed(capped(some, self.p.cap), self.seeds).persist()
+            return candidates.posed(capped(some, self.p.cap), self.seeds)
 
         return self._shared("pool", make)
 
@@ -102,32 +104,32 @@ class Commerce:
     def index(self) -> retrieve.Index:
         def make():
             made = retrieve.build_index(worlds.corpus(self.t, self.p.skew), self.p.fields)
-            return retrieve.Index(made.postings.persist(), made.docs.persist(), made.terms.persist(), made.totals.persist())
+            return retrieve.Index(*(cut(x, "index") for x in (made.postings, made.docs, made.terms, made.totals)))
 
         return self._shared("index", make)
 
     @cached_property
     def hits(self) -> DataFrame:
-        return self._shared("hits", lambda: retrieve.facet_hits(self.pool, self.index, self.p.m).persist())
+        return self._shared("hits", lambda: retrieve.facet_hits(self.pool, self.index, self.p.m))
 
     @cached_property
     def vectors(self) -> DataFrame:
-        return self._shared("vectors", lambda: similarity.doc_vectors(self.hits, self.index, self.p.strip_seed).persist())
+        return self._shared("vectors", lambda: similarity.doc_vectors(self.hits, self.index, self.p.strip_seed))
 
     @cached_property
     def sim(self) -> DataFrame:
-        return self._shared("sim", lambda: (similarity.word_sim(self.pool) if self.p.method == "words" else similarity.facet_sim(self.hits, self.vectors, self.p.method)).persist())
+        return self._shared("sim", lambda: (similarity.word_sim(self.pool) if self.p.method == "words" else similarity.facet_sim(self.hits, self.vectors, self.p.method)))
 
     @cached_property
     def clusters(self) -> DataFrame:
         edges = cluster.threshold_edges(self.sim, self.p.sigma if self.p.dedupe else float("inf"))
-        return cluster.label_clusters(cluster.components(self.pool.select("query", "facet"), edges), self.pool).persist()
+        return cut(cluster.label_clusters(cluster.components(self.pool.select("query", "facet"), edges), self.pool), "clusters")
 
     @cached_property
     def groups(self) -> DataFrame:
         labels = self.clusters.where("is_label")
         matches = group.match_entities(labels, worlds.membership(self.t), worlds.aliases(self.t), worlds.ambiguous(self.t), self.p.ambiguity)
-        return group.by_category(labels, matches if self.p.grouping else matches.where("false")).persist()
+        return cut(group.by_category(labels, matches if self.p.grouping else matches.where("false")), "groups")
 
     @cached_property
     def ranked(self) -> DataFrame:

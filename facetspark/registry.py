@@ -16,6 +16,7 @@ from facetspark.functions import textkit
 from facetspark.operators import baselines, candidates, cluster, group, measures, present, propagate, relops, retrieve, select, similarity
 from facetspark.plans.pipeline import Commerce, Params, capped
 from facetspark.sources import worlds
+from facetspark.sources.storage import cut
 from facetspark.streaming import logs
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -92,7 +93,7 @@ def _sup(c: Commerce, bound: str) -> DataFrame:
 
 
 register("m06_superstring_lower", lambda c: _sup(c, "lower"), f"SELECT query, candidate, {r6('p_ss')} FROM p_ss")
-register("m06a_superstring_upper", lambda c: _sup(c, "upper"), "SELECT query, candidate, round(upper, 6) AS p_ss FROM p_ss")
+register("m06a_superstring_upper", lambda c: _sup(c, "upper"), "SELECT query, candidate, round(round(upper, 9), 6) AS p_ss FROM p_ss")
 register("m07_instance", lambda c: candidates.mine(c.log, c.seeds), f"SELECT query, candidate, {r6('p_inst')} FROM cand")
 register("m07a_refinements_only", lambda c: candidates.mine(c.log, c.seeds, ("refine",)), f"SELECT query, candidate, {r6('p_inst')} FROM cand", sources=("refine",))
 register("m07a_superstrings_only", lambda c: candidates.mine(c.log, c.seeds, ("super",)), f"SELECT query, candidate, {r6('p_inst')} FROM cand", sources=("super",))
@@ -108,7 +109,7 @@ SCORED = f"SELECT query, facet, {r6('score')} FROM scored"
 register("m14_smooth", lambda c: c.scored, SCORED)
 for tag, k in (("0", 0), ("1", 1), ("10", 10), ("100", 100), ("inf", inf)):
     variant(f"m14a_smooth_k{tag}", lambda c: c.scored, SCORED, k=k)
-register("m15_iterate", lambda c: propagate.iterate(c.instance, c.nodes, 0.1, cut=lambda d: d.persist())[0], SCORED, mode="mean")
+register("m15_iterate", lambda c: propagate.iterate(c.instance, c.nodes, 0.1, cut=lambda d: cut(d, "round"))[0], SCORED, mode="mean")
 
 
 def _weighted(c: Commerce) -> DataFrame:
@@ -201,7 +202,7 @@ def _triggers(c: Commerce) -> DataFrame:
 register("m28_triggers", _triggers, "SELECT DISTINCT query, gadget FROM (SELECT query, unnest(string_split(trim(replace(group_label, '<q>', '')), ' ')) AS keyword FROM ranked) JOIN (VALUES ('economy', 'price'), ('gizmo', 'images'), ('type', 'filter'), ('anvil', 'images')) r(keyword, gadget) USING (keyword)")
 
 # --- baselines ------------------------------------------------------------------------------
-TOP = "SELECT query, rank, group_label, round(score, 6) AS score FROM (SELECT query, {label} AS group_label, {score} AS score, row_number() OVER (PARTITION BY query ORDER BY round({score}, 9) DESC, {label}) AS rank FROM {table}) WHERE rank <= 8"
+TOP = "SELECT query, rank, group_label, round(round(score, 9), 6) AS score FROM (SELECT query, {label} AS group_label, {score} AS score, row_number() OVER (PARTITION BY query ORDER BY round({score}, 9) DESC, {label}) AS rank FROM {table}) WHERE rank <= 8"
 register("b01_related", lambda c: baselines.related(candidates.mine(c.log, c.seeds)), TOP.format(label="candidate", score="p_inst", table="cand"))
 register("b01a_related_refinements", lambda c: baselines.related(candidates.mine(c.log, c.seeds, ("refine",))), TOP.format(label="candidate", score="p_inst", table="cand"), sources=("refine",))
 register("b01b_related_superstrings", lambda c: baselines.related(candidates.mine(c.log, c.seeds, ("super",))), TOP.format(label="candidate", score="p_inst", table="cand"), sources=("super",))
@@ -227,7 +228,7 @@ ATTR = {"attrs": "SELECT class, attribute, count(*) AS n FROM (SELECT lower(r_na
         "attr_seed": "SELECT query, attribute, n::DOUBLE AS n FROM nodes JOIN attrs USING (class)"}
 register("b04_kb_attributes", lambda c: baselines.kb_attributes(c.nodes, worlds.attributes(c.t)), TOP.format(label="attribute", score="n", table="attr_seed"), extra=ATTR)
 register("b05_seed_results", lambda c: _seed_hits(c, 500).select("query", "rank", "doc_id"), "SELECT query, rank, doc_id FROM seed_hits", extra=_seed_sql(500))
-BY_SCORE = "SELECT query, rank, group_label, round(score, 6) AS score FROM (SELECT query, group_label, score, row_number() OVER (PARTITION BY query ORDER BY round(score, 9) DESC, group_label) AS rank FROM groups) WHERE rank <= 8"
+BY_SCORE = "SELECT query, rank, group_label, round(round(score, 9), 6) AS score FROM (SELECT query, group_label, score, row_number() OVER (PARTITION BY query ORDER BY round(score, 9) DESC, group_label) AS rank FROM groups) WHERE rank <= 8"
 register("b06_by_score", lambda c: select.by_score(c.groups), BY_SCORE)
 variant("b07_no_propagation", lambda c: c.ranked, RANKED, k=0)
 variant("b08_no_dedupe", lambda c: c.ranked, RANKED, dedupe=False)
@@ -267,7 +268,7 @@ variant("w16_nsim_without_grouping", lambda c: measures.orthogonality(measures.e
 
 
 def _overlaps(c: Commerce, k: int) -> DataFrame:
-    seed = _seed_hits(c, 500).persist()
+    seed = cut(_seed_hits(c, 500), "seed-hits")
     rows = [measures.overlap(c.hits, seed, k, n).agg(F.lit(k).alias("k"), F.lit(n).alias("n"), F.avg("overlap").alias("overlap")) for n in (10, 50, 100, 200, 500)]
     out = rows[0]
     for r in rows[1:]:

@@ -2,17 +2,10 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-
-def scratch(spark: SparkSession, label: str) -> str:
-    """A fresh folder in the shared checkpoint folder; a local one only where none is set."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or "file://" + tempfile.mkdtemp(prefix="facetspark-stream-")
-    return f"{base.rstrip('/')}/stream/{label}-{uuid.uuid4().hex}"
+from facetspark.sources.storage import scratch
 
 
 def events_stream(spark: SparkSession, path: str, files_per_batch: int = 1) -> DataFrame:
