@@ -293,7 +293,7 @@ def _gold(c: Commerce) -> DataFrame:
     return worlds.gold_intent(c.pool.select("query", "facet"))
 
 
-PAIRF = "SELECT round(tp / made, 6) AS precision, round(tp / truth, 6) AS recall, round(2 * tp / (made + truth), 6) AS f FROM (SELECT sum(CASE WHEN x.component = y.component AND x.gold = y.gold THEN 1 ELSE 0 END) AS tp, sum(CASE WHEN x.component = y.component THEN 1 ELSE 0 END) AS made, sum(CASE WHEN x.gold = y.gold THEN 1 ELSE 0 END) AS truth FROM golden x JOIN golden y ON x.query = y.query AND x.facet < y.facet)"
+PAIRF = "SELECT round(tp / nullif(made, 0), 6) AS precision, round(tp / nullif(truth, 0), 6) AS recall, round(2 * tp / nullif(made + truth, 0), 6) AS f FROM (SELECT sum(CASE WHEN x.component = y.component AND x.gold = y.gold THEN 1 ELSE 0 END) AS tp, sum(CASE WHEN x.component = y.component THEN 1 ELSE 0 END) AS made, sum(CASE WHEN x.gold = y.gold THEN 1 ELSE 0 END) AS truth FROM golden x JOIN golden y ON x.query = y.query AND x.facet < y.facet)"
 GOLD = {"golden": f"SELECT query, facet, component, array_to_string(list_sort({oracles.folded('facet')}), ' ') AS gold FROM comp"}
 register("x11_pair_f", lambda c: measures.pair_f(c.clusters, _gold(c)), PAIRF, extra=GOLD)
 for method in ("all_pairs", "concat", "words"):
@@ -313,8 +313,8 @@ SWEEP = {"grid": "SELECT unnest(range(1, 20)) * 5 AS percent",
     "wide": "SELECT percent, query, facet AS a, facet AS b FROM pool, grid UNION SELECT r.percent, r.query, r.a, x.b FROM wide r JOIN (SELECT query, a, b, sim FROM sim UNION SELECT query, b, a, sim FROM sim) x ON x.query = r.query AND x.a = r.b AND x.sim * 100 > r.percent",
     "golden": f"SELECT percent, query, a AS facet, min(b) AS component, array_to_string(list_sort({oracles.folded('a')}), ' ') AS gold FROM wide GROUP BY percent, query, a"}
 SWEPT = PAIRF.replace("SELECT round(tp", "SELECT percent, round(tp", 1).replace("SELECT sum(", "SELECT x.percent, sum(", 1).replace("x.query = y.query", "x.percent = y.percent AND x.query = y.query").replace("x.facet < y.facet)", "x.facet < y.facet GROUP BY x.percent)")
-register("w14_sigma_sweep", _sigma_sweep, SWEPT.replace("tp / made", "tp / nullif(made, 0)"), extra=SWEEP)
-variant("w14_sigma_sweep_unmasked", _sigma_sweep, SWEPT.replace("tp / made", "tp / nullif(made, 0)"), extra=SWEEP, strip_seed=False)
+register("w14_sigma_sweep", _sigma_sweep, SWEPT, extra=SWEEP)
+variant("w14_sigma_sweep_unmasked", _sigma_sweep, SWEPT, extra=SWEEP, strip_seed=False)
 
 
 def _breadth(c: Commerce) -> DataFrame:
