@@ -254,7 +254,9 @@ def _topics(c: Commerce) -> DataFrame:
 
 TOPICS = {"doc_topic": "SELECT doc_id, topic, 1 / sqrt(count(*) OVER (PARTITION BY doc_id)) AS share FROM (SELECT DISTINCT l_orderkey * 100 + step AS doc_id, unnest([brand, 'z' || p_size, 'm' || strftime(o_orderdate, '%Y%m')]) AS topic FROM lines)",
     "shown": "SELECT h.query, h.facet, h.doc_id FROM hits h JOIN ranked r ON r.query = h.query AND r.group_label = h.facet",
-    "esim": "SELECT query, a, b, sum(sa * sb) AS sim FROM (SELECT x.query, x.facet AS a, y.facet AS b, sum(p.share * q.share) / count(DISTINCT (x.doc_id, y.doc_id)) AS sa, 1 AS sb FROM shown x JOIN shown y ON x.query = y.query AND x.facet <= y.facet LEFT JOIN doc_topic p ON p.doc_id = x.doc_id LEFT JOIN doc_topic q ON q.doc_id = y.doc_id AND q.topic = p.topic GROUP BY ALL) GROUP BY ALL"}
+    "centre": "SELECT s.query, s.facet, d.topic, sum(d.share) / any_value(z.n) AS x FROM shown s JOIN doc_topic d ON d.doc_id = s.doc_id JOIN (SELECT query, facet, count(*) AS n FROM shown GROUP BY ALL) z ON z.query = s.query AND z.facet = s.facet GROUP BY s.query, s.facet, d.topic",
+    "named": "SELECT DISTINCT query, facet FROM shown",
+    "esim": "SELECT p.query, p.facet AS a, q.facet AS b, coalesce((SELECT sum(u.x * v.x) FROM centre u JOIN centre v ON u.topic = v.topic WHERE u.query = p.query AND v.query = p.query AND u.facet = p.facet AND v.facet = q.facet), 0) AS sim FROM named p JOIN named q ON p.query = q.query AND p.facet <= q.facet"}
 
 
 def _shown(c: Commerce) -> DataFrame:
