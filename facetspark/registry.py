@@ -264,7 +264,7 @@ def _shown(c: Commerce) -> DataFrame:
 
 
 register("x02_eval_sim", lambda c: measures.eval_sim(_shown(c), _topics(c)), f"SELECT query, a, b, {r6('sim')} FROM esim", extra=TOPICS)
-NSIM = "SELECT query, round(avg(CASE WHEN a < b THEN sim END), 6) AS asim, round(avg(CASE WHEN a = b THEN sim END), 6) AS isim, round(avg(CASE WHEN a < b THEN sim END) / avg(CASE WHEN a = b THEN sim END), 6) AS nsim FROM esim GROUP BY query"
+NSIM = f"SELECT query, {r6('asim', 'isim', 'nsim')} FROM (SELECT query, avg(CASE WHEN a < b THEN sim END) AS asim, avg(CASE WHEN a = b THEN sim END) AS isim, avg(CASE WHEN a < b THEN sim END) / avg(CASE WHEN a = b THEN sim END) AS nsim FROM esim GROUP BY query)"
 register("x05_nsim", lambda c: measures.orthogonality(measures.eval_sim(_shown(c), _topics(c))), NSIM, extra=TOPICS)
 variant("w16_nsim_without_grouping", lambda c: measures.orthogonality(measures.eval_sim(_shown(c), _topics(c))), NSIM, extra=TOPICS, grouping=False)
 
