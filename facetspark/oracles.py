@@ -16,7 +16,7 @@ def folded(text: str) -> str:
     return FOLDED.format(text)
 
 
-def expressions(*, skew=True, k=0.1, mode="indicator", sources=("refine", "super"), follow="any_later", match="token", cap=30, m=8, n=8, sigma=0.35, method="best_match", body=False, strip=True, ambiguity="drop", grouping=True, dedupe=True) -> dict[str, str]:
+def expressions(*, skew=True, panel=True, k=0.1, mode="indicator", sources=("refine", "super"), follow="any_later", match="token", cap=30, m=8, n=8, sigma=0.35, method="best_match", body=False, strip=True, ambiguity="drop", grouping=True, dedupe=True) -> dict[str, str]:
     e: dict[str, str] = {}
     tail = " WHERE o_orderkey % (n_nationkey + 1) = 0" if skew else ""
     e["lines"] = f"""SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, o_custkey, o_orderdate, p_size,
@@ -35,6 +35,8 @@ def expressions(*, skew=True, k=0.1, mode="indicator", sources=("refine", "super
       FROM nation JOIN region ON n_regionkey = r_regionkey, (SELECT DISTINCT lower(c_mktsegment) AS property FROM customer) s"""
     e["panel"] = """SELECT query, entity, property, domain FROM (SELECT *, row_number() OVER (PARTITION BY entity ORDER BY property) AS r FROM seeds)
       WHERE r = CAST(regexp_extract(entity, '(\\d+)$', 1) AS INT) % 5 + 1"""
+    if not panel:
+        e["panel"] = "SELECT query, entity, property, domain FROM seeds"
     e["freq"] = "SELECT query, count(*) AS freq FROM log GROUP BY query"
     if follow == "next":
         e["succ"] = """SELECT query, candidate, count(*) AS sessions FROM (SELECT DISTINCT session_id, query, candidate FROM

@@ -30,6 +30,7 @@ class Params:
     grouping: bool = True
     dedupe: bool = True
     skew: bool = True
+    panel: bool = True
 
 
 def capped(scored: DataFrame, n: int) -> DataFrame:
@@ -43,11 +44,11 @@ DEPENDS = {
     "log": ("skew",),
     "instance": ("skew", "sources"),
     "scored": ("skew", "sources", "k", "mode"),
-    "pool": ("skew", "sources", "k", "mode", "cap"),
+    "pool": ("skew", "panel", "sources", "k", "mode", "cap"),
     "index": ("skew", "fields"),
-    "hits": ("skew", "sources", "k", "mode", "cap", "fields", "m"),
-    "vectors": ("skew", "sources", "k", "mode", "cap", "fields", "m", "strip_seed"),
-    "sim": ("skew", "sources", "k", "mode", "cap", "fields", "m", "strip_seed", "method"),
+    "hits": ("skew", "panel", "sources", "k", "mode", "cap", "fields", "m"),
+    "vectors": ("skew", "panel", "sources", "k", "mode", "cap", "fields", "m", "strip_seed"),
+    "sim": ("skew", "panel", "sources", "k", "mode", "cap", "fields", "m", "strip_seed", "method"),
 }
 _stages: dict[tuple, object] = {}
 
@@ -78,6 +79,11 @@ class Commerce:
     def seeds(self) -> DataFrame:
         return worlds.seeds(self.t)
 
+    @cached_property
+    def asked(self) -> DataFrame:
+        """The seeds that are followed from retrieval on: the panel, or all."""
+        return worlds.panel(self.t) if self.p.panel else self.seeds
+
     @cached_property
     def nodes(self) -> DataFrame:
         return propagate.classes_of(self.seeds, worlds.membership(self.t))
@@ -92,10 +98,10 @@ class Commerce:
 
     @cached_property
     def pool(self) -> DataFrame:
-        """The capped facets of the panel's seeds, with the text that poses them."""
+        """The capped facets of the followed seeds, with the text that poses them."""
 
         def make():
-            some = self.scored.join(worlds.panel(self.t).select("query"), "query", "left_semi")
+            some = self.scored.join(self.asked.select("query"), "query", "left_semi")
             return candidates.posed(capped(some, self.p.cap), self.seeds)
 
         return self._shared("pool", make)

@@ -23,6 +23,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 FULL = Params(skew=False)
+WHOLE = {"skew": False, "panel": False}
 
 
 @lru_cache(maxsize=64)
@@ -48,6 +49,12 @@ def register(name: str, make: Callable[[Commerce], DataFrame], sql: str | None =
     QUERIES[name] = lambda spark, folder: shaped(make(commerce(spark, folder, p)))
     if sql is not None:
         ORACLES[name] = oracles.oracle(sql, extra, **{"skew": p.skew, **params})
+    if p.skew and p.panel:
+        whole = oracles.oracle(sql, extra, **{**params, **WHOLE}) if sql is not None else None
+        if whole is None or whole != ORACLES[name]:  # the world is cut: the same query over every order and seed
+            QUERIES[f"{name}_whole"] = lambda spark, folder: shaped(make(commerce(spark, folder, replace(p, **WHOLE))))
+            if whole is not None:
+                ORACLES[f"{name}_whole"] = whole
 
 
 def variant(name: str, make, sql: str, extra: dict[str, str] | None = None, **changes) -> None:
@@ -169,7 +176,7 @@ register("m29_facet_sets", lambda c: present.facet_sets(c.ranked, c.groups, c.cl
 
 
 def _seed_hits(c: Commerce, n: int) -> DataFrame:
-    hits = retrieve.top_hits(worlds.panel(c.t).select(F.col("query").alias("query_text")), c.index, n)
+    hits = retrieve.top_hits(c.asked.select(F.col("query").alias("query_text")), c.index, n)
     return hits.withColumnRenamed("query_text", "query")
 
 
@@ -209,7 +216,7 @@ register("b01b_related_superstrings", lambda c: baselines.related(candidates.min
 
 
 def _cluster_labels(c: Commerce) -> DataFrame:
-    own = worlds.panel(c.t).select("query", F.explode(F.array_distinct(textkit.analyzed(F.col("query")))).alias("term"))
+    own = c.asked.select("query", F.explode(F.array_distinct(textkit.analyzed(F.col("query")))).alias("term"))
     return baselines.cluster_labels(_seed_hits(c, 500), c.index, own)
 
 
@@ -366,9 +373,9 @@ register("w20_kb_in_top_queries", _kb_in_top, """SELECT entity, count(DISTINCT q
     QUALIFY row_number() OVER (PARTITION BY s.entity ORDER BY f.freq DESC, f.query) <= 10) x JOIN attrs a ON a.class = x.domain AND a.attribute = x.w GROUP BY entity""", extra=ATTR)
 
 
-def _pair(a: float, b: float) -> Callable[[SparkSession, str], DataFrame]:
+def _pair(a: float, b: float, **world: bool) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, folder: str) -> DataFrame:
-        top = lambda k: capped(commerce(spark, folder, Params(k=k)).scored, 8).select("query", F.row_number().over(W.partitionBy("query").orderBy(F.round("score", 9).desc(), "facet")).alias("rank"), F.col("facet").alias("group_label"))
+        top = lambda k: capped(commerce(spark, folder, Params(k=k, **world)).scored, 8).select("query", F.row_number().over(W.partitionBy("query").orderBy(F.round("score", 9).desc(), "facet")).alias("rank"), F.col("facet").alias("group_label"))
         return shaped(measures.same_list(top(a), top(b)).select(F.lit(float(a)).alias("k1"), F.lit(float(b)).alias("k2"), "seeds", "same"))
 
     return run
@@ -385,16 +392,21 @@ for a, b in ((0, 0.1), (0, 1), (0.1, 1), (0.1, 10), (1, 10), (1, 100), (10, 100)
     lists = "SELECT query, list(facet ORDER BY r) AS facets FROM (SELECT query, facet, row_number() OVER (PARTITION BY query ORDER BY round(score, 9) DESC, facet) AS r FROM {0}) WHERE r <= 8 GROUP BY query"
     ORACLES[name] = oracles.oracle(f"SELECT {float(a)}::DOUBLE AS k1, {float(b)}::DOUBLE AS k2, count(*) AS seeds, count_if(x.facets = y.facets) AS same FROM listed_a x JOIN listed_b y USING (query)",
         {"scored_a": _top_sql(a), "scored_b": _top_sql(b), "listed_a": lists.format("scored_a"), "listed_b": lists.format("scored_b")})
+    QUERIES[f"{name}_whole"] = _pair(a, b, **WHOLE)
+    ORACLES[f"{name}_whole"] = oracles.oracle(f"SELECT {float(a)}::DOUBLE AS k1, {float(b)}::DOUBLE AS k2, count(*) AS seeds, count_if(x.facets = y.facets) AS same FROM listed_a x JOIN listed_b y USING (query)",
+        {"scored_a": _top_sql(a), "scored_b": _top_sql(b), "listed_a": lists.format("scored_a"), "listed_b": lists.format("scored_b")}, **WHOLE)
 
 
-def _mode_difference(spark: SparkSession, folder: str) -> DataFrame:
-    top = lambda mode: capped(commerce(spark, folder, Params(mode=mode)).scored, 8).select("query", "facet")
+def _mode_difference(spark: SparkSession, folder: str, **world: bool) -> DataFrame:
+    top = lambda mode: capped(commerce(spark, folder, Params(mode=mode, **world)).scored, 8).select("query", "facet")
     return shaped(top("mean").join(top("indicator"), ["query", "facet"]).groupBy("query").agg(F.count("*").alias("shared")))
 
 
 QUERIES["w19_class_mode_ablation"] = _mode_difference
+QUERIES["w19_class_mode_ablation_whole"] = lambda spark, folder: _mode_difference(spark, folder, **WHOLE)
 _best8 = "SELECT query, facet FROM {0} QUALIFY row_number() OVER (PARTITION BY query ORDER BY round(score, 9) DESC, facet) <= 8"
 ORACLES["w19_class_mode_ablation"] = oracles.oracle("SELECT query, count(*) AS shared FROM best_a JOIN best_b USING (query, facet) GROUP BY query", {"cls_a": oracles.expressions(mode="mean")["cls"], "scored_a": oracles.expressions()["scored"].replace("JOIN cls ", "JOIN cls_a "), "best_a": _best8.format("scored_a"), "best_b": _best8.format("scored")})
+ORACLES["w19_class_mode_ablation_whole"] = oracles.oracle("SELECT query, count(*) AS shared FROM best_a JOIN best_b USING (query, facet) GROUP BY query", {"cls_a": oracles.expressions(mode="mean")["cls"], "scored_a": oracles.expressions()["scored"].replace("JOIN cls ", "JOIN cls_a "), "best_a": _best8.format("scored_a"), "best_b": _best8.format("scored")}, **WHOLE)
 register("x18_grouped_rate", lambda c: c.groups.groupBy("query").agg(F.max((F.col("kind") == "group").cast("int")).alias("g")).agg(F.count("*").alias("seeds"), F.sum("g").alias("grouped")), "SELECT count(*) AS seeds, CAST(sum(g) AS BIGINT) AS grouped FROM (SELECT query, max(CASE WHEN kind = 'group' THEN 1 ELSE 0 END) AS g FROM groups GROUP BY query)")
 variant("x18_grouped_rate_vote", lambda c: c.groups.groupBy("query").agg(F.max((F.col("kind") == "group").cast("int")).alias("g")).agg(F.count("*").alias("seeds"), F.sum("g").alias("grouped")), "SELECT count(*) AS seeds, CAST(sum(g) AS BIGINT) AS grouped FROM (SELECT query, max(CASE WHEN kind = 'group' THEN 1 ELSE 0 END) AS g FROM groups GROUP BY query)", ambiguity="vote")
 
