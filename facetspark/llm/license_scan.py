@@ -1,6 +1,6 @@
 """Licence scan: texts against licence templates by the Dice coefficient of word bigrams.
 
-Lines, paragraphs and the whole text are units. Words are lower-case letters, digits and
+Lines, runs of consecutive paragraphs and the whole text are units. Words are lower-case letters, digits and
 dots; a unit and a template are sets of word bigrams. Dice >= t bounds the sizes:
 t / (2 - t) * |B| <= |A| <= (2 - t) / t * |B|, so units outside every template's bounds go,
 and a unit meets only templates whose bounds it is in. From the bounds follows also how many
@@ -37,6 +37,9 @@ TEMPLATES = {
     "CC-BY-NC-4.0 notice": "Licensed under CC BY-NC 4.0.",
     "CC0-1.0 notice": "To the extent possible under law, the author has waived all copyright and related or neighboring rights to this work.",
     "Unlicense text": "This is free and unencumbered software released into the public domain.",
+    "BSD-2-Clause full text": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. 2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution. THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE.",
+    "BSD-3-Clause full text": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. 2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution. 3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission. THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE.",
+    "ISC full text": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies. THE SOFTWARE IS PROVIDED \"AS IS\" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.",
     "Rights reserved": "All rights reserved.",
 }
 
@@ -94,6 +97,21 @@ def _best_dice(own: list[str], low: int, high: int) -> Column:
     return F.coalesce(F.array_max(F.transform(inside, lambda g: F.round(2 * F.size(F.array_intersect(g, known)) / (F.size(g) + len(own)), 9))), F.lit(0.0))
 
 
+def _runs(paragraphs: Column, most: int) -> Column:
+    """Bigram sets of all runs of two or more consecutive paragraphs, each until it exceeds ``most``."""
+    words = F.filter(F.transform(paragraphs, words_of), lambda w: F.size(w) > 0)
+    empty = F.expr("named_struct('words', cast(array() as array<string>), 'n', 0, 'open', true, 'grams', cast(array() as array<array<string>>))")
+
+    def grown(a, w):
+        bind = lambda x, f: F.transform(F.array(x), f)[0]
+        # once a run is too large, so is every longer one
+        longer = lambda ws: bind(bigrams_of(ws), lambda g: F.struct(ws.alias("words"), (a["n"] + 1).alias("n"), (F.size(g) <= most).alias("open"), F.when((a["n"] > 0) & (F.size(g) <= most), F.array_append(a["grams"], g)).otherwise(a["grams"]).alias("grams")))
+        return F.when(a["open"], bind(F.concat(a["words"], w), longer)).otherwise(a)
+
+    from_here = lambda ws: F.transform(ws, lambda w, i: F.aggregate(F.slice(ws, i + 1, F.size(ws)), empty, grown, lambda a: a["grams"]))
+    return F.flatten(F.flatten(F.transform(F.array(words), from_here)))
+
+
 def scan_licenses(documents: DataFrame, p: LicenseParams = LicenseParams(), templates: dict[str, str] = TEMPLATES) -> DataFrame:
     """One row per input row: ``doc_id``, ``licenses`` (sorted names), ``best_license``, ``best_dice``.
 
@@ -112,8 +130,10 @@ def scan_licenses(documents: DataFrame, p: LicenseParams = LicenseParams(), temp
     lines = F.split(text, "\n")
     paragraphs = F.split(text, "\n[ \t\r]*\n")
     units = F.concat(lines, F.when(F.size(paragraphs) > 1, paragraphs).otherwise(none), F.when(F.size(lines) > 1, F.array(text)).otherwise(none))
-    shape = documents.select(F.col("doc_id"), F.when(marked(text), F.filter(units, marked)).otherwise(none).alias("units"))
-    grams = shape.select("doc_id", F.filter(F.transform("units", lambda u: bigrams_of(words_of(u))), lambda g: (F.size(g) >= least) & (F.size(g) <= most)).alias("grams"))
+    several = F.when(marked(text) & (F.size(paragraphs) > 1), paragraphs).otherwise(none)
+    shape = documents.select(F.col("doc_id"), F.when(marked(text), F.filter(units, marked)).otherwise(none).alias("units"), several.alias("paragraphs"))
+    all_grams = F.concat(F.transform("units", lambda u: bigrams_of(words_of(u))), _runs(F.col("paragraphs"), most))
+    grams = shape.select("doc_id", F.filter(all_grams, lambda g: (F.size(g) >= least) & (F.size(g) <= most)).alias("grams"))
     scores = []
     for name, own in sorted(sets.items()):
         scores.append(F.struct(_best_dice(own, low[name], high[name]).alias("dice"), F.lit(name).alias("name")))
