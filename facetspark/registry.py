@@ -266,13 +266,15 @@ TOPICS = {"doc_topic": "SELECT doc_id, topic, 1 / sqrt(count(*) OVER (PARTITION
     "esim": "SELECT p.query, p.facet AS a, q.facet AS b, coalesce((SELECT sum(u.x * v.x) FROM centre u JOIN centre v ON u.topic = v.topic WHERE u.query = p.query AND v.query = p.query AND u.facet = p.facet AND v.facet = q.facet), 0) AS sim FROM named p JOIN named q ON p.query = q.query AND p.facet <= q.facet"}
 
 
-def _shown(c: Commerce) -> DataFrame:
-    return c.hits.join(c.ranked.select("query", F.col("group_label").alias("facet")), ["query", "facet"], "left_semi").select("query", "facet", "doc_id")
+def _shown(c: Commerce, ranked: DataFrame | None = None) -> DataFrame:
+    return c.hits.join((c.ranked if ranked is None else ranked).select("query", F.col("group_label").alias("facet")), ["query", "facet"], "left_semi").select("query", "facet", "doc_id")
 
 
 register("x02_eval_sim", lambda c: measures.eval_sim(_shown(c), _topics(c)), f"SELECT query, a, b, {r6('sim')} FROM esim", extra=TOPICS)
 NSIM = f"SELECT query, {r6('asim', 'isim', 'nsim')} FROM (SELECT query, avg(CASE WHEN a < b THEN sim END) AS asim, avg(CASE WHEN a = b THEN sim END) AS isim, avg(CASE WHEN a < b THEN sim END) / avg(CASE WHEN a = b THEN sim END) AS nsim FROM esim GROUP BY query)"
 register("x05_nsim", lambda c: measures.orthogonality(measures.eval_sim(_shown(c), _topics(c))), NSIM, extra=TOPICS)
+BY_SCORE_SHOWN = TOPICS | {"by_score": BY_SCORE, "shown": TOPICS["shown"].replace("JOIN ranked r", "JOIN by_score r")}
+register("w16_nsim_by_score", lambda c: measures.orthogonality(measures.eval_sim(_shown(c, select.by_score(c.groups)), _topics(c))), NSIM, extra=BY_SCORE_SHOWN)
 variant("w16_nsim_without_grouping", lambda c: measures.orthogonality(measures.eval_sim(_shown(c), _topics(c))), NSIM, extra=TOPICS, grouping=False)
 
 
