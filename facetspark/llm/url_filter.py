@@ -58,8 +58,8 @@ def rule_of(host: Column, path: Column, rules=RULES) -> tuple[Column, Column]:
 
 
 def _grams(urls: DataFrame, p: UrlModelParams, *keep: str) -> DataFrame:
-    """One row per character of ``host + path``: it with up to ``order`` characters before it."""
-    padded = F.concat(F.lit("\x02" * p.order), F.col("host"), F.col("path"), F.lit("\x03"))
+    """One row per character of the whole URL: it with up to ``order`` characters before it."""
+    padded = F.concat(F.lit("\x02" * p.order), F.col("url"), F.lit("\x03"))
     return (
         urls.select(*keep, padded.alias("s"))
         .select(*keep, "s", F.explode(F.sequence(F.lit(1), F.length("s") - p.order)).alias("i"))
@@ -94,35 +94,35 @@ def log_ratios(counts: DataFrame, p: UrlModelParams) -> DataFrame:
 def filter_urls(pages: DataFrame, p: UrlModelParams = UrlModelParams(), rules=RULES) -> DataFrame:
     """One row per input row: ``page_id, host, path, rule, verdict, score``.
 
-    A null or malformed URL has empty host and path and is judged by the model on its end mark
-    alone. Repeated rows get equal results; the models count each row. Without any URL that a
+    The rules read host and path, the models the whole URL. A null or malformed URL has empty
+    host and path; a null one is judged by the model on its end mark alone. Repeated rows get equal results; the models count each row. Without any URL that a
     rule decides, both models are the uniform floor, all scores are 0 and the verdict is allow,
     as it is at and above the threshold.
     """
     host, path = url_parts(F.col("url"))
-    split = pages.select(F.col("page_id"), host.alias("host"), path.alias("path"))
+    split = pages.select(F.col("page_id"), F.coalesce(F.col("url").cast("string"), F.lit("")).alias("url"), host.alias("host"), path.alias("path"))
     name, verdict = rule_of(F.col("host"), F.col("path"), rules)
-    ruled = split.withColumns({"rule": name, "ruled": verdict, "fold": F.pmod(F.xxhash64("host", "path"), F.lit(p.folds))})
+    ruled = split.withColumns({"rule": name, "ruled": verdict, "fold": F.pmod(F.xxhash64("url"), F.lit(p.folds))})
     # equal URLs are folded first: a hot host or page counts by its number
-    urls = written(ruled.groupBy("host", "path", "ruled", "fold").agg(F.count("*").alias("n")), "urls")
+    urls = written(ruled.groupBy("url", "ruled", "fold").agg(F.count("*").alias("n")), "urls")
     trains = F.col("fold") > 0
     weight = lambda kind: F.when(trains & (F.col("ruled") == kind), F.col("n")).otherwise(0)
-    grams = _grams(urls.withColumns({"a": weight("allow"), "b": weight("block")}), p, "host", "path", "a", "b")
+    grams = _grams(urls.withColumns({"a": weight("allow"), "b": weight("block")}), p, "url", "a", "b")
     # tables are written at each step, so plans stay short however high the order
     counts = written(grams.groupBy("gram").agg(F.sum("a").alias("allow"), F.sum("b").alias("block")), "grams")
     ratios = written(log_ratios(counts, p), "ratios")
     scored = written(
-        _grams(urls.select("host", "path"), p, "host", "path")
-        .groupBy("host", "path", "gram")
+        _grams(urls.select("url"), p, "url")
+        .groupBy("url", "gram")
         .agg(F.count("*").alias("times"))
         .join(ratios, "gram")
-        .groupBy("host", "path")
+        .groupBy("url")
         .agg(F.sum(F.col("ratio") * F.col("times")).alias("total"), F.sum("times").alias("chars"))
-        .select("host", "path", F.round(F.col("total").cast("double") / F.col("chars"), 6).alias("score")),
+        .select("url", F.round(F.col("total").cast("double") / F.col("chars"), 6).alias("score")),
         "scored",
     )
     # calibration: the score bin with the best balanced accuracy over held-out rule URLs
-    held = scored.join(urls.where("fold = 0 and ruled is not null"), ["host", "path"])
+    held = scored.join(urls.where("fold = 0 and ruled is not null"), "url")
     bins = held.groupBy(F.floor(F.least(F.greatest(F.col("score"), F.lit(-5.0)), F.lit(5.0)) * (p.bins / 10)).alias("bin")).agg(
         F.sum(F.when(F.col("ruled") == "allow", F.col("n")).otherwise(0)).alias("a"), F.sum(F.when(F.col("ruled") == "block", F.col("n")).otherwise(0)).alias("b")
     )
@@ -130,7 +130,7 @@ def filter_urls(pages: DataFrame, p: UrlModelParams = UrlModelParams(), rules=RU
     rates = bins.select("bin", F.sum("a").over(up).alias("kept_a"), F.sum("b").over(up).alias("kept_b"), F.sum("a").over(W.partitionBy()).alias("all_a"), F.sum("b").over(W.partitionBy()).alias("all_b"))
     gain = F.round(F.coalesce(F.try_divide("kept_a", "all_a"), F.lit(0)) - F.coalesce(F.try_divide("kept_b", "all_b"), F.lit(0)), 9)
     threshold = rates.select(gain.alias("gain"), "bin").agg(F.coalesce(F.max(F.struct("gain", "bin"))["bin"] / (p.bins / 10), F.lit(0.0)).alias("threshold"))
-    judged = scored.crossJoin(F.broadcast(threshold)).select("host", "path", "score", (F.col("score") >= F.col("threshold")).alias("good"))
-    return ruled.join(judged, ["host", "path"]).select(
+    judged = scored.crossJoin(F.broadcast(threshold)).select("url", "score", (F.col("score") >= F.col("threshold")).alias("good"))
+    return ruled.join(judged, "url").select(
         "page_id", "host", "path", "rule", F.coalesce("ruled", F.when(F.col("good"), "allow").otherwise("block")).alias("verdict"), "score"
     )
