@@ -59,23 +59,49 @@ def _grams(words: np.ndarray, n: int) -> np.ndarray:
     return np.unique(flat.shingles(words, np.array([0, len(words)]), n)[0][: len(words) - n + 1]) if n else np.zeros(0, np.uint64)
 
 
+@dataclass(frozen=True)
+class ItemStatistics:
+    """Of all test items, however many parts they are indexed in."""
+
+    n: int
+    words: int
+    longest: int
+    terms: np.ndarray
+    df: np.ndarray
+
+    @classmethod
+    def of(cls, texts: list[str]) -> ItemStatistics:
+        h, bounds, *_ = _words([t for t in texts if t])
+        lengths = np.diff(bounds)
+        terms, term = np.unique(h, return_inverse=True)
+        pairs = np.unique((term.astype(np.int64) << 32) | np.repeat(np.arange(len(lengths)), lengths))
+        return cls(int((lengths > 0).sum()), int(lengths.sum()), int(lengths.max(initial=1)), terms, np.bincount(pairs >> 32, minlength=len(terms)))
+
+    def __add__(self, other: ItemStatistics) -> ItemStatistics:
+        terms, at = np.unique(np.concatenate([self.terms, other.terms]), return_inverse=True)
+        df = np.zeros(len(terms), np.int64)
+        np.add.at(df, at, np.concatenate([self.df, other.df]))
+        return ItemStatistics(self.n + other.n, self.words + other.words, max(self.longest, other.longest), terms, df)
+
+
 class ItemIndex:
     """BM25 postings of test items in blocks of items, with block maxima per term."""
 
-    def __init__(self, items: list[tuple[int, str]], p: LeakParams):
+    def __init__(self, items: list[tuple[int, str]], p: LeakParams, whole: ItemStatistics | None = None):
         self.p = p
+        whole = whole or ItemStatistics.of([t for _, t in items])
         items = [(i, t) for i, t in items if t and _words([t])[1][-1]]
         self.ids = np.array([i for i, _ in items], np.int64)
         h, bounds, *_ = _words([t for _, t in items])
         n = len(items)
         lengths = np.diff(bounds)
-        mean = max(lengths.mean(), 1) if n else 1
+        mean = max(whole.words / whole.n, 1) if whole.n else 1
         item = np.repeat(np.arange(n), lengths)
         terms, term = np.unique(h, return_inverse=True)
         key, tf = np.unique((term.astype(np.int64) << 32) | item, return_counts=True)
         term, item = key >> 32, key & 0xFFFFFFFF
-        df = np.bincount(term, minlength=len(terms))
-        idf = np.log(1 + (n - df + 0.5) / (df + 0.5))
+        df = whole.df[np.searchsorted(whole.terms, terms)]
+        idf = np.log(1 + (whole.n - df + 0.5) / (df + 0.5))
         impact = idf[term] * tf * (p.k1 + 1) / (tf + p.k1 * (1 - p.b + p.b * lengths[item] / mean))
         impact /= np.bincount(item, impact, minlength=n)[item]
         # terms that start no candidate: per item, the smallest impacts while they stay below the threshold
@@ -109,7 +135,7 @@ class ItemIndex:
         self.blocks_from = np.searchsorted(bkey >> 32, np.arange(len(terms) + 1))
         self.slot = np.zeros(1 << p.table_bits, bool)
         self.slot[(terms >> np.uint64(64 - p.table_bits)).astype(np.int64)] = True
-        self.window = int(max(lengths, default=1))
+        self.window = whole.longest
         self.parts = []
         for _, text in items:
             whole = _words([text])[0]
@@ -204,9 +230,14 @@ def retrieved_items(documents: DataFrame, benchmark: DataFrame, p: LeakParams =
     texts = documents.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     names = [x.split()[0] for x in LEAKS.split(", ")]
     out = None
+    part_of = lambda k: sorted((r[0], r[1]) for r in items.where(F.pmod(F.xxhash64("item_id"), F.lit(parts)) == k).collect())  # noqa: E731  about index_bytes of text
+    # scores and passages are those of one index: its statistics are summed over the parts first
+    whole = None
+    for k in range(parts if parts > 1 else 0):
+        one = ItemStatistics.of([t for _, t in part_of(k)])
+        whole = one if whole is None else whole + one
     for k in range(parts):
-        rows = items.where(F.pmod(F.xxhash64("item_id"), F.lit(parts)) == k).collect()  # about index_bytes of text
-        held = spark.sparkContext.broadcast(ItemIndex(sorted((r[0], r[1]) for r in rows), p))
+        held = spark.sparkContext.broadcast(ItemIndex(part_of(k), p, whole))
 
         def run(batches, held=held):
             index = held.value
