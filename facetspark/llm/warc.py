@@ -147,14 +147,16 @@ def _writer(folder: str, p: WarcParams):
             count += 1
 
         name = None
-        told = (None, None)  # a page that refers to another is preceded by a row that says so
+        told: tuple = (None, {})  # rows of a page are preceded by rows that say to what its payloads refer
         for batch in batches:
-            for s, page_id, kind, url, html, refers_to in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            for s, page_id, kind, url, html, digest, refers_to in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if told[0] != page_id:
+                    told = (page_id, {})
                 if kind == 0:
-                    told = (page_id, refers_to)
+                    told[1][digest] = refers_to
                     continue
                 payload = (html or "").encode()
-                put((s, page_id, url, payload, payload_digest(payload), told[1] if told[0] == page_id else None))
+                put((s, page_id, url, payload, payload_digest(payload), told[1].get(f"{hashlib.sha1(payload).hexdigest()}:{len(payload)}") if told[1] else None))
         close()
         kinds = [pa.int32(), pa.int32(), pa.string(), pa.int64(), pa.int64(), pa.string()]
         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*files, strict=True) if files else [[]] * 6, kinds, strict=True)], names)
@@ -194,14 +196,14 @@ def write_archive(pages: DataFrame, folder: str, p: WarcParams = WarcParams()) -
 
     # what each page refers to: equal payloads are found by digest and size, without their text
     firsts = light.where(F.col("size") >= p.least_bytes).groupBy("digest", "size").agg(F.min("page_id").alias("first"), F.count("*").alias("n")).where("n > 1")
-    refers = light.join(firsts, ["digest", "size"]).where("page_id <> first").select("page_id", F.col("first").alias("refers_to")).distinct()
+    refers = light.join(firsts, ["digest", "size"]).where("page_id <> first").select("page_id", F.concat_ws(":", "digest", "size").alias("digest"), F.col("first").alias("refers_to")).distinct()
     # pages and what they refer to travel in one shuffle and meet in the writer
     null = F.lit(None).cast("string")
-    both = rows.select("page_id", F.lit(1).alias("kind"), "url", "html", F.lit(None).cast("long").alias("refers_to")).unionByName(
-        refers.select("page_id", F.lit(0).alias("kind"), null.alias("url"), null.alias("html"), "refers_to")
+    both = rows.select("page_id", F.lit(1).alias("kind"), "url", "html", null.alias("digest"), F.lit(None).cast("long").alias("refers_to")).unionByName(
+        refers.select("page_id", F.lit(0).alias("kind"), null.alias("url"), null.alias("html"), "digest", "refers_to")
     )
     placed = both.withColumn("cell", cell).join(F.broadcast(cells), "cell")
-    sorted_rows = placed.select("shard", "page_id", "kind", "url", "html", "refers_to").repartition(shard + 1, "shard").sortWithinPartitions("shard", "page_id", "kind", "url", "html")
+    sorted_rows = placed.select("shard", "page_id", "kind", "url", "html", "digest", "refers_to").repartition(shard + 1, "shard").sortWithinPartitions("shard", "page_id", "kind", "url", "html")
     done = sorted(sorted_rows.mapInArrow(_writer(folder, p), WRITTEN).collect())  # one row per file
     files = []
     for f in done:
