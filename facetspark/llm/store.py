@@ -51,7 +51,18 @@ def written(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = fresh_path(spark, label)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.scratch_path = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete tables of :func:`written` that no later plan reads."""
+    for table in tables:
+        jvm, path = table.sparkSession._jvm, table.__dict__.pop("scratch_path", None)
+        if path:
+            where = jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(table.sparkSession._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def connected(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -80,7 +91,8 @@ def connected(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             .where("u <> v")
             .distinct()
         )
-        current = written(small, "stars")
+        before, current = current, written(small, "stars")
+        discard(before)
         state = current.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if previous == tuple(state):
             break
