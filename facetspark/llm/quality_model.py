@@ -3,8 +3,17 @@
 One weight vector is shared by all grades; ordered thresholds cut its score:
 P(grade <= k) = sigmoid(threshold_k - w.x). Expected grade and tail probability follow.
 Features are the distinct hashed words of a text, their prefixes, and shares of word shapes.
-The model is fitted on the driver from at most ``sample`` labelled texts (smallest hashes of
-``doc_id`` first), so its cost and size do not grow with the corpus; scoring is one scan.
+
+The model is fitted from at most ``sample`` labelled texts (smallest hashes of ``doc_id`` first).
+Executors hash them; the driver gets how often each frequent bucket stands in texts of each
+grade, screens the buckets, and fetches only the sample's rows over those that stay. So
+texts never reach the driver, and what does is bounded by the sample. Scoring is one scan.
+
+Screening: a bucket stays if it is in ``least_share`` of the sample (3 texts at least) and if,
+for some threshold between grades, its texts lie on one side of it more than chance gives
+(``screen`` standard deviations) and more than a little (``effect`` of one). Without it, the tens of thousands
+of neutral words fit noise. The shape features are shares of repeated words, marks and capitals,
+some also capped, so that a moderate and an extreme share can weigh differently.
 """
 
 from __future__ import annotations
@@ -17,7 +26,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from facetspark.llm import flat
-from facetspark.llm.store import ship
+from facetspark.llm.store import discard, ship, written
 
 LETTERS = np.ones(256, bool)  # separators of words: all ASCII but letters and digits
 LETTERS[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = False
@@ -119,47 +128,28 @@ def minimise(loss, x: np.ndarray, rounds: int, memory: int = 12, tolerance: floa
     return x
 
 
-def fit_ordinal(texts: list[str | None], grades: list[int], p: OrdinalParams) -> OrdinalModel:
-    """Maximum likelihood with a ridge, by limited-memory quasi-Newton steps; no randomness."""
-    rows, buckets, dense, base = [], [], [], 0
-    for i in range(0, len(texts), 500):
-        part = pa.array(texts[i : i + 500], pa.string())
-        row, bucket, shape = hashed_features(part, p.bits, p.prefix)
-        key = np.unique((row << p.bits) | bucket)
-        rows.append((key >> p.bits).astype(np.int32) + base)
-        buckets.append((key & ((1 << p.bits) - 1)).astype(np.int32))
-        dense.append(shape)
-        base += len(part)
-    row, bucket, dense = np.concatenate(rows), np.concatenate(buckets), np.concatenate(dense)
-    frequent = np.bincount(bucket, minlength=1 << p.bits) >= max(3, p.least_share * len(texts))
-    keep = frequent[bucket]
-    row, bucket = row[keep], bucket[keep]
-    # screening: features without a clear association with any threshold only add noise
-    y = np.asarray(grades)
-    count = np.bincount(bucket, minlength=1 << p.bits).astype(float)
+def strong_buckets(counts: np.ndarray, sizes: np.ndarray, p: OrdinalParams) -> np.ndarray:
+    """Which buckets stay: ``counts`` has texts by bucket and grade, ``sizes`` those of the sample by grade."""
+    n = sizes.sum()
+    held = counts.sum(1).astype(float)
+    picked = np.zeros(len(counts), bool)
     for level in range(p.grades - 1):
-        rest = (y > level) - (y > level).mean()
-        spread = np.sqrt(np.maximum(count * (1 - count / len(y)) * rest.var(), 1e-12))
-        pull = np.abs(np.bincount(bucket, rest[row], minlength=1 << p.bits))
-        strong = (pull >= p.screen * spread) & (pull >= p.effect * count * rest.std())
-        picked = strong if level == 0 else picked | strong
-    frequent &= picked
-    keep = frequent[bucket]
-    row, bucket = row[keep], bucket[keep]
-    used = np.flatnonzero(frequent)
-    slot = np.zeros(1 << p.bits, np.int32)
-    slot[used] = np.arange(len(used))
-    col = slot[bucket]
+        share = sizes[level + 1 :].sum() / n
+        spread = share * (1 - share)
+        pull = np.abs(counts[:, level + 1 :].sum(1) - held * share)
+        noise = np.sqrt(np.maximum(held * (1 - held / n) * spread, 1e-12))
+        picked |= (pull >= p.screen * noise) & (pull >= p.effect * held * np.sqrt(spread))
+    return picked & (held >= max(3, p.least_share * n))
+
+
+def likelihood(row: np.ndarray, col: np.ndarray, features: int, dense: np.ndarray, y: np.ndarray, p: OrdinalParams):
+    """Mean negative log-likelihood with a ridge, and its gradient, of (weights, dense weights, first threshold, log gaps)."""
     n, levels = len(y), p.grades - 1
-    above = (y[:, None] > np.arange(levels)[None, :]).mean(0).clip(0.01, 0.99)
-    theta = np.sort(-np.log(above / (1 - above))) + np.arange(levels) * 1e-3
-    gaps = np.log(np.maximum(np.diff(theta), 1e-3))
-    x = np.concatenate([np.zeros(len(used) + dense.shape[1]), theta[:1], gaps])
     sig = lambda z: 1 / (1 + np.exp(-np.clip(z, -40, 40)))
-    i, split = np.arange(n), len(used) + dense.shape[1]
+    i, split = np.arange(n), features + dense.shape[1]
 
     def loss(x):
-        w, d, gap = x[: len(used)], x[len(used) : split], np.exp(x[split + 1 :])
+        w, d, gap = x[:features], x[features:split], np.exp(x[split + 1 :])
         theta = x[split] + np.concatenate([[0], np.cumsum(gap)])
         score = np.bincount(row, w[col], minlength=n) + dense @ d
         upto = np.concatenate([np.zeros((n, 1)), sig(theta[None, :] - score[:, None]), np.ones((n, 1))], axis=1)
@@ -168,12 +158,26 @@ def fit_ordinal(texts: list[str | None], grades: list[int], p: OrdinalParams) ->
         g_score = (slope[i, y + 1] - slope[i, y]) / like / n
         g_theta = np.array([(np.where(y == k, -slope[:, k + 1], 0) + np.where(y == k + 1, slope[:, k + 1], 0)) @ (1 / like) / n for k in range(levels)])
         g_gap = np.cumsum(g_theta[::-1])[::-1][1:] * gap
-        grad = np.concatenate([np.bincount(col, g_score[row], minlength=len(used)) + p.ridge * w, dense.T @ g_score + p.ridge * d, [g_theta.sum()], g_gap])
+        grad = np.concatenate([np.bincount(col, g_score[row], minlength=features) + p.ridge * w, dense.T @ g_score + p.ridge * d, [g_theta.sum()], g_gap])
         return -np.log(like).mean() + p.ridge / 2 * (w @ w + d @ d), grad
 
-    x = minimise(loss, x, p.rounds)
-    w, d = x[: len(used)], x[len(used) : len(used) + dense.shape[1]]
-    theta = x[len(used) + dense.shape[1]] + np.concatenate([[0], np.cumsum(np.exp(x[len(used) + dense.shape[1] + 1 :]))])
+    return loss
+
+
+def fit_rows(row: np.ndarray, col: np.ndarray, used: np.ndarray, dense: np.ndarray, y: np.ndarray, p: OrdinalParams) -> OrdinalModel:
+    """Maximum likelihood with a ridge, by limited-memory quasi-Newton steps; no randomness.
+
+    Text ``row[i]`` has bucket ``used[col[i]]``.
+    """
+    levels = p.grades - 1
+    above = (y[:, None] > np.arange(levels)[None, :]).mean(0).clip(0.01, 0.99)
+    theta = np.sort(-np.log(above / (1 - above))) + np.arange(levels) * 1e-3
+    gaps = np.log(np.maximum(np.diff(theta), 1e-3))
+    start = np.concatenate([np.zeros(len(used) + dense.shape[1]), theta[:1], gaps])
+    x = minimise(likelihood(row, col, len(used), dense, y, p), start, p.rounds)
+    split = len(used) + dense.shape[1]
+    w, d = x[: len(used)], x[len(used) : split]
+    theta = x[split] + np.concatenate([[0], np.cumsum(np.exp(x[split + 1 :]))])
     heavy = np.abs(w) > 1e-3
     return OrdinalModel(used[heavy], w[heavy], d, theta, p.bits, p.prefix)
 
@@ -187,26 +191,73 @@ def graded(labels: DataFrame) -> Column:
     return F.when(toxic, 0).when(F.col("quality") == 0, 1).when(F.col("quality") == 1, 2).cast("int")
 
 
+SHAPES = 8
+FEATURES = "doc_id long, grade int, digest long, buckets array<int>, shapes array<double>"
+
+
+def _featured(p: OrdinalParams):
+    names = [x.split()[0] for x in FEATURES.split(", ")]
+
+    def run(batches):
+        for batch in batches:
+            for part in flat.slices(batch, "text"):
+                row, bucket, dense = hashed_features(part.column(3), p.bits, p.prefix)
+                key = np.unique((row.astype(np.int64) << 32) | bucket)
+                at = np.searchsorted(key, np.arange(part.num_rows + 1) << 32).astype(np.int32)
+                lists = pa.ListArray.from_arrays(pa.array(at), pa.array((key & 0xFFFFFFFF).astype(np.int32)))
+                shapes = pa.ListArray.from_arrays(pa.array((np.arange(part.num_rows + 1) * SHAPES).astype(np.int32)), pa.array(dense.ravel()))
+                yield pa.RecordBatch.from_arrays([*part.columns[:3], lists, shapes], names)
+
+    return run
+
+
 def train(documents: DataFrame, labels: DataFrame, p: OrdinalParams = OrdinalParams(), grade: Column | None = None) -> OrdinalModel:
-    """Fit on at most ``p.sample`` labelled texts; labels without grade or text are left out."""
-    graded_rows = labels.select(F.col("doc_id").cast("long").alias("doc_id"), (graded(labels) if grade is None else grade).alias("grade"))
-    # the sample is taken from the labels alone, so few texts are moved
-    chosen = graded_rows.where("grade is not null and doc_id is not null").orderBy(F.xxhash64("doc_id"), "doc_id", "grade").limit(p.sample)
-    rows = (
-        documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-        .join(chosen, "doc_id")
-        .select("doc_id", "text", "grade")
-        .orderBy("doc_id", "grade")
-        .toLocalIterator()
-    )
-    texts, grades = [], []
-    for r in rows:
-        if len(grades) < p.sample:
-            texts.append(r["text"])
-            grades.append(r["grade"])
-    if not grades:
-        return OrdinalModel(np.zeros(0, np.int64), np.zeros(0), np.zeros(8), np.full(p.grades - 1, -20.0), p.bits, p.prefix)
-    return fit_ordinal(texts, grades, p)
+    """Fit on at most ``p.sample`` labelled texts.
+
+    Labels without a grade or a document are left out; a null or empty text has no words, but
+    counts. Labels that repeat an id, and rows that do, are each an example. Without labels the
+    model has no weights and accepts every text.
+    """
+    spark = documents.sparkSession
+    ship(spark)
+    texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    rated = labels.select(F.col("doc_id").cast("long").alias("doc_id"), (graded(labels) if grade is None else grade).alias("grade"))
+    rated = rated.where("grade is not null").join(texts.select("doc_id"), "doc_id", "left_semi")
+    chosen = written(rated.orderBy(F.xxhash64("doc_id"), "doc_id", "grade").limit(p.sample), "chosen")
+    # the sample has p.sample rows of two numbers at most: it goes to the texts
+    labelled = texts.join(F.broadcast(chosen), "doc_id").select("doc_id", "grade", F.xxhash64("text").alias("digest"), "text")
+    features = written(labelled.mapInArrow(_featured(p), FEATURES), "features")
+    if features.count() > p.sample:  # ids with many rows
+        features = written(features.orderBy("doc_id", "grade", "digest").limit(p.sample), "features")
+    sizes = np.zeros(p.grades, np.int64)
+    for r in features.groupBy("grade").count().collect():
+        sizes[r["grade"]] = r["count"]
+    if not sizes.sum():
+        return OrdinalModel(np.zeros(0, np.int64), np.zeros(0), np.zeros(SHAPES), np.full(p.grades - 1, -20.0), p.bits, p.prefix)
+    by_grade = [F.count_if(F.col("grade") == g).alias(f"n{g}") for g in range(p.grades)]
+    counts = features.select("grade", F.explode("buckets").alias("bucket")).groupBy("bucket").agg(*by_grade)
+    frequent = counts.where(sum((F.col(f"n{g}") for g in range(p.grades)), F.lit(0)) >= max(3, p.least_share * sizes.sum())).toArrow()
+    picked = strong_buckets(np.column_stack([np.asarray(frequent[f"n{g}"]) for g in range(p.grades)]), sizes, p)
+    used = np.sort(np.asarray(frequent["bucket"])[picked]).astype(np.int64)
+    held = spark.sparkContext.broadcast(used)  # at most 1 / least_share times the buckets of a text
+
+    def kept(batches):
+        for batch in batches:
+            lists, buckets = batch.column(3), np.asarray(batch.column(3).flatten())
+            row = np.repeat(np.arange(batch.num_rows), np.asarray(lists.value_lengths()))
+            at = np.searchsorted(held.value, buckets)
+            known = at < len(held.value)
+            known[known] = held.value[at[known]] == buckets[known]
+            bounds = np.searchsorted(row[known], np.arange(batch.num_rows + 1)).astype(np.int32)
+            cut = pa.ListArray.from_arrays(pa.array(bounds), pa.array(at[known].astype(np.int32)))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], cut, batch.column(4)], batch.schema.names)
+
+    rows = features.mapInArrow(kept, FEATURES).orderBy("doc_id", "grade", "digest").toArrow().combine_chunks()
+    discard(chosen, features)
+    lists = rows["buckets"].combine_chunks()
+    row = np.repeat(np.arange(len(rows)), np.asarray(lists.value_lengths()))
+    dense = np.asarray(rows["shapes"].combine_chunks().flatten()).reshape(-1, SHAPES)
+    return fit_rows(row, np.asarray(lists.flatten()), used, dense, np.asarray(rows["grade"]).astype(np.int64), p)
 
 
 def score_quality(documents: DataFrame, model: OrdinalModel, p: OrdinalParams = OrdinalParams()) -> DataFrame:

@@ -1,12 +1,15 @@
 """The operators against brute force on small rows: nulls, empty and long texts, copies, ties."""
 
 import hashlib
+import math
 import random
 import re
 from collections import Counter
 
+import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 from facetspark.llm import decontaminate, license_scan, near_duplicates, pieces, quality_model, quality_rules, repeated_bytes, repeated_passages, url_filter, warc
 
@@ -102,11 +105,38 @@ def test_label_model_rejects_what_one_rule_sees():
     assert (rate[1, :, 0] < rate[0, :, 0]).all()
 
 
-def test_ordinal_model_orders_grades():
+def test_ordinal_model_orders_grades(spark):
     texts = ["good plain words here " * 5] * 40 + ["good plain idiot words " * 5] * 40 + ["### $$$ %%% !!! " * 9] * 40
-    model = quality_model.fit_ordinal(texts, [2] * 40 + [0] * 40 + [1] * 40, quality_model.OrdinalParams())
+    grades = [2] * 40 + [0] * 40 + [1] * 40
+    documents = spark.createDataFrame(list(enumerate([*texts, None, ""])), "doc_id long, text string")
+    labels = spark.createDataFrame([*enumerate(grades), (7000, 1), (3, None)], "doc_id long, grade int")
+    model = quality_model.train(documents, labels, grade=F.col("grade"))
     tail = model.at_least(model.scores(pa.array([texts[0], texts[40], texts[80], None])))
     assert tail[0, 1] > 0.9 and tail[1, 1] < 0.1 and tail[2, 1] < 0.5 and model.thresholds[0] <= model.thresholds[1]
+    assert quality_model.score_quality(documents.where("false"), model).count() == 0
+    unlabelled = quality_model.score_quality(documents, quality_model.train(documents, labels.where("false"), grade=F.col("grade")))
+    assert unlabelled.where("accepted").count() == 122
+
+
+def test_ordinal_likelihood():
+    rng = np.random.default_rng(5)
+    p = quality_model.OrdinalParams(ridge=0.01)
+    row, col, dense, y = np.repeat(np.arange(30), 2), rng.integers(0, 4, 60), rng.normal(size=(30, 2)), rng.integers(0, 3, 30)
+    loss = quality_model.likelihood(row, col, 4, dense, y, p)
+    x = rng.normal(size=8)
+    value, grad = loss(x)
+    for i in range(8):  # the gradient against differences
+        step = np.eye(8)[i] * 1e-6
+        assert abs((loss(x + step)[0] - loss(x - step)[0]) / 2e-6 - grad[i]) < 1e-5
+    total = 0.0  # the likelihood from its definition
+    for i in range(30):
+        score = sum(x[c] for r, c in zip(row, col, strict=True) if r == i) + dense[i] @ x[4:6]
+        edges = [-math.inf, x[6], x[6] + math.exp(x[7]), math.inf]
+        below = [1 / (1 + math.exp(score - e)) if abs(e) < math.inf else float(e > 0) for e in edges]
+        total -= math.log(below[y[i] + 1] - below[y[i]])
+    assert abs(total / 30 + 0.005 * (x[:6] @ x[:6]) - value) < 1e-9
+    best = quality_model.minimise(loss, x, 400)
+    assert np.abs(loss(best)[1]).max() < 1e-3
 
 
 def test_repeated_passages(docs):
