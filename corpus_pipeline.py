@@ -14,35 +14,44 @@ from facetspark.llm.near_duplicates import NearDuplicateParams, near_duplicate_g
 from facetspark.llm.pieces import encode
 from facetspark.llm.quality_model import score_quality, train
 from facetspark.llm.repeated_passages import remove_repeated_passages
-from facetspark.llm.store import written
+from facetspark.llm.store import discard, written
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps documents whose probability of the top grade is at least one half."""
+    """Keeps documents whose probability of the top grade is at least one half.
+
+    Null and empty texts are judged by the thresholds alone; repeated rows get one verdict. The
+    rows travel as one column, so that no column of theirs clashes with the scores.
+    """
     model = train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return score_quality(docs, model).where("accepted").select(*docs.columns)
+    whole = docs.select(F.struct(*docs.columns).alias("row__"), "text")
+    return score_quality(whole, model).where("accepted").select("row__.*")
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the smallest ``doc_id`` of each group; of rows that repeat it, one."""
+    """Keeps the smallest ``doc_id`` of each group, with all its different texts.
+
+    Rows without ``doc_id`` stay. A row that repeats an id and its text goes; texts that differ
+    under one id are no copies of each other, so both stay.
+    """
     groups = near_duplicate_groups(docs, NearDuplicateParams(words=5))
     dropped = groups.where("not kept").select(F.col("doc_id").alias("dropped__")).distinct()
     kept = docs.join(dropped, docs["doc_id"] == dropped["dropped__"], "left_anti")
-    return kept.where("doc_id is not null").dropDuplicates(["doc_id"]).unionByName(kept.where("doc_id is null"))
+    return kept.where("doc_id is not null").dropDuplicates(["doc_id", "text"]).unionByName(kept.where("doc_id is null"))
 
 
 def passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Removes passages that an earlier document has too."""
+    """Removes passages that an earlier document has too; rows without id, text or passage stay as they are."""
     return remove_repeated_passages(docs)
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents that hold a benchmark item."""
+    """Drops documents that hold a benchmark item; rows without id or text stay."""
     return without_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sampled piece ids of every document left, with the check that they decode to its text."""
+    """Sampled piece ids of every document left, with the check that they decode to its text; a null text has null pieces."""
     return encode(docs)
 
 
@@ -61,5 +70,6 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES:
-        docs = written(stage(spark, docs, sf_dir), f"stage-{name}")
+        before, docs = docs, written(stage(spark, docs, sf_dir), f"stage-{name}")
+        discard(before)
     return docs
