@@ -22,7 +22,7 @@ def related(instance: DataFrame, n: int = 8) -> DataFrame:
 def cluster_labels(seed_hits: DataFrame, index: Index, own_terms: DataFrame, n: int = 8) -> DataFrame:
     """Labels of clusters of the seed's result pages: the words that are frequent there and rare elsewhere."""
     pages = seed_hits.select("query", "doc_id")
-    words = pages.join(index.postings, "doc_id").groupBy("query", "term").agg(F.count("*").alias("here"))
+    words = pages.join(index.forward.select("doc_id", "words"), "doc_id").select("query", F.explode(F.map_keys("words")).alias("term")).groupBy("query", "term").agg(F.count("*").alias("here"))
     words = words.join(own_terms, ["query", "term"], "left_anti").join(index.terms, "term").crossJoin(F.broadcast(index.totals))
     return _top(words.select("query", F.col("term").alias("group_label"), (F.col("here") * F.ln((1 + F.col("n")) / (1 + F.col("df")))).alias("score")), n)
 

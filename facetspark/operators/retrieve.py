@@ -1,4 +1,4 @@
-"""Inverted index and BM25 retrieval for many queries at once."""
+"""Forward index and exact BM25 retrieval for many queries at once."""
 
 from __future__ import annotations
 
@@ -9,42 +9,83 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from facetspark.functions.textkit import analyzed
+from facetspark.sources.storage import cut
+
+MARGIN = 1e-6
 
 
 @dataclass
 class Index:
-    """``postings (term, doc_id, tf)``, ``docs (doc_id, len)``, ``terms (term, df)``, ``totals (n, avg_len)``."""
+    """``forward (doc_id, len, words: map term -> tf, parts: map term -> BM25 part without idf)``, ``terms (term, df, most)``, ``totals (n, avg_len)``.
+
+    ``most`` is a term's largest part in any document.
+    """
 
-    postings: DataFrame
-    docs: DataFrame
+    forward: DataFrame
     terms: DataFrame
     totals: DataFrame
 
+    @property
+    def postings(self) -> DataFrame:
+        """``term, doc_id, tf``."""
+        return self.forward.select("doc_id", F.explode("words").alias("term", "tf"))
 
-def build_index(corpus: DataFrame, fields: tuple[str, ...] = ("head", "snippet")) -> Index:
-    """Index of the named fields; the body is read only where it is asked for."""
-    words = corpus.select("doc_id", F.explode(analyzed(F.concat_ws(" ", *fields))).alias("term"))
-    postings = words.groupBy("term", "doc_id").agg(F.count("*").alias("tf"))
-    docs = postings.groupBy("doc_id").agg(F.sum("tf").alias("len"))
-    terms = postings.groupBy("term").agg(F.count("*").alias("df"))
-    totals = docs.agg(F.count("*").alias("n"), F.avg("len").alias("avg_len"))
-    return Index(postings, docs, terms, totals)
+
+def build_index(corpus: DataFrame, fields: tuple[str, ...] = ("head", "snippet"), k1: float = 1.2, b: float = 0.75) -> Index:
+    """Index of the named fields; the body is read only where it is asked for.
+
+    Documents are dealt once by ``doc_id``; counting terms and packing them needs no second shuffle.
+    """
+    words = corpus.select("doc_id", F.explode(analyzed(F.concat_ws(" ", *fields))).alias("term")).repartition("doc_id")
+    counted = words.groupBy("doc_id", "term").agg(F.count("*").alias("tf"))
+    packed = counted.groupBy("doc_id").agg(F.sum("tf").alias("len"), F.map_from_entries(F.collect_list(F.struct("term", "tf"))).alias("words"))
+    packed = cut(packed, "documents")
+    totals = cut(packed.agg(F.count("*").alias("n"), F.avg("len").alias("avg_len")), "totals")
+    part = lambda tf: tf * (k1 + 1) / (tf + k1 * (1 - b + b * F.col("len") / F.col("avg_len")))
+    forward = packed.crossJoin(F.broadcast(totals)).withColumn("parts", F.transform_values("words", lambda _, tf: part(tf))).drop("n", "avg_len")  # one row of totals
+    terms = forward.select(F.explode("parts").alias("term", "part")).groupBy("term").agg(F.count("*").alias("df"), F.max("part").alias("most"))
+    return Index(forward, cut(terms, "terms"), totals)
 
 
-def top_hits(queries: DataFrame, index: Index, m: int = 8, k1: float = 1.2, b: float = 0.75) -> DataFrame:
+def _scored(pairs: DataFrame, index: Index, m: int) -> DataFrame:
+    """The best ``m`` of candidate rows ``query_text, ts, doc_id``; ties go to the smaller document."""
+    score = F.aggregate("ts", F.lit(0.0), lambda total, t: total + t["idf"] * F.coalesce(F.try_element_at("parts", t["term"]), F.lit(0.0)))
+    scored = pairs.join(index.forward.select("doc_id", "parts"), "doc_id").select("query_text", "doc_id", F.round(score, 9).alias("relevance"))
+    rank = F.row_number().over(W.partitionBy("query_text").orderBy(F.col("relevance").desc(), "doc_id"))
+    return scored.withColumn("rank", rank).where(F.col("rank") <= m)
+
+
+def top_hits(queries: DataFrame, index: Index, m: int = 8) -> DataFrame:
     """``query_text, rank, doc_id, relevance``: the best ``m`` documents of every distinct text.
 
-    Terms are joined with postings by hash; Spark limits each group before it is shuffled.
-    Ties go to the smaller document.
+    Terms are ordered by the most that they can add to a score. First come the documents that hold
+    a text's two strongest terms: their m-th best score is a floor. Where neither of the two terms
+    can be missing from a document above the floor, these are the best. The other texts
+    look at every document with one of the terms that a document above their floor cannot do without.
     """
     asked = queries.select("query_text").distinct().select("query_text", F.explode(F.array_distinct(analyzed(F.col("query_text")))).alias("term"))
     weighted = asked.join(index.terms, "term").crossJoin(F.broadcast(index.totals))  # one row of totals
     idf = F.ln(1 + (F.col("n") - F.col("df") + 0.5) / (F.col("df") + 0.5))
-    found = weighted.select("query_text", "term", "avg_len", idf.alias("idf")).join(index.postings, "term").join(index.docs, "doc_id")
-    part = F.col("idf") * F.col("tf") * (k1 + 1) / (F.col("tf") + k1 * (1 - b + b * F.col("len") / F.col("avg_len")))
-    scored = found.groupBy("query_text", "doc_id").agg(F.round(F.sum(part), 9).alias("relevance"))
-    rank = F.row_number().over(W.partitionBy("query_text").orderBy(F.col("relevance").desc(), "doc_id"))
-    return scored.withColumn("rank", rank).where(F.col("rank") <= m).select("query_text", "rank", "doc_id", "relevance")
+    strong = F.struct((idf * F.col("most")).alias("bound"), "term", idf.alias("idf"))
+    texts = weighted.groupBy("query_text").agg(F.sort_array(F.collect_list(strong), asc=False).alias("ts"))
+    total = F.aggregate("ts", F.lit(0.0), lambda x, t: x + t["bound"])
+    second = F.get("ts", 1)
+    texts = cut(texts.select("query_text", "ts", F.get("ts", 0)["term"].alias("one"), F.coalesce(second["term"], F.get("ts", 0)["term"]).alias("two"), (total - F.least(F.get("ts", 0)["bound"], F.coalesce(second["bound"], F.get("ts", 0)["bound"]))).alias("without")), "texts")
+
+    postings = index.postings.select("term", "doc_id")
+    holds = lambda name: postings.join(texts.select(F.col(name).alias("term")).distinct(), "term").select(F.col("term").alias(name), "doc_id")
+    both = holds("one").join(holds("two"), "doc_id")
+    first = cut(_scored(both.join(texts.select("query_text", "ts", "one", "two"), ["one", "two"]).select("query_text", "ts", "doc_id"), index, m), "first-hits")
+    floors = first.where(F.col("rank") == m).select("query_text", F.col("relevance").alias("floor"))
+    judged = texts.join(floors, "query_text", "left").withColumn("floor", F.coalesce("floor", F.lit(0.0)))
+    settled = F.col("floor") > F.col("without") + MARGIN
+    # a term is needed while those after it can reach the floor together
+    after = lambda i: F.aggregate(F.slice("ts", i + 2, F.size("ts")), F.lit(0.0), lambda x, t: x + t["bound"])
+    needed = F.filter(F.transform("ts", lambda t, i: F.struct(t["term"].alias("term"), ((i == 0) | (after(i - 1) >= F.col("floor") - MARGIN)).alias("on"))), lambda x: x["on"])
+    rest = judged.where(~settled).select("query_text", "ts", F.explode(needed).alias("x")).select("query_text", "ts", F.col("x.term").alias("term"))
+    more = rest.join(postings, "term").select("query_text", "ts", "doc_id").dropDuplicates(["query_text", "doc_id"])
+    done = first.join(judged.where(settled).select("query_text"), "query_text", "left_semi")
+    return done.unionByName(_scored(more, index, m)).select("query_text", "rank", "doc_id", "relevance")
 
 
 def facet_hits(facets: DataFrame, index: Index, m: int = 8) -> DataFrame:

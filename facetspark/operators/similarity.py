@@ -17,7 +17,7 @@ def doc_vectors(hits: DataFrame, index: Index, strip_seed: bool = True) -> DataF
     ``strip_seed`` leaves the seed's own words out, which all its pages share.
     """
     wanted = hits.select("query", "doc_id").distinct()
-    x = wanted.join(index.postings, "doc_id")
+    x = wanted.join(index.forward.select("doc_id", "words"), "doc_id").select("query", "doc_id", F.explode("words").alias("term", "tf"))
     if strip_seed:
         own = hits.select("query").distinct().select("query", F.explode(F.array_distinct(analyzed(F.col("query")))).alias("term"))
         x = x.join(own, ["query", "term"], "left_anti")

@@ -16,15 +16,14 @@ def folded(text: str) -> str:
     return FOLDED.format(text)
 
 
-def expressions(*, skew=True, panel=True, k=0.1, mode="indicator", sources=("refine", "super"), follow="any_later", match="token", cap=30, m=8, n=8, sigma=0.35, method="best_match", body=False, strip=True, ambiguity="drop", grouping=True, dedupe=True) -> dict[str, str]:
+def expressions(*, k=0.1, mode="indicator", sources=("refine", "super"), follow="any_later", match="token", cap=30, m=8, n=8, sigma=0.35, method="best_match", body=False, strip=True, ambiguity="drop", grouping=True, dedupe=True) -> dict[str, str]:
     e: dict[str, str] = {}
-    tail = " WHERE o_orderkey % (n_nationkey + 1) = 0" if skew else ""
-    e["lines"] = f"""SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, o_custkey, o_orderdate, p_size,
+    e["lines"] = """SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, o_custkey, o_orderdate, p_size,
       row_number() OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_shipdate, l_extendedprice) AS step,
       lower(n_name) AS ent, lower(c_mktsegment) AS prop, lower(p_name) AS name, split_part(lower(p_name), ' ', 1) AS adj, split_part(lower(p_name), ' ', 2) AS noun,
       lower(p_type) AS type, lower(p_brand) AS brand, lower(s_name) AS supp, lower(o_orderpriority) AS priority
       FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey
-      JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey{tail}"""
+      JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey"""
     e["log"] = """SELECT o_custkey AS user_id, l_orderkey AS session_id, step, o_orderdate + to_minutes(step) AS ts,
       CASE WHEN step = 1 THEN ent WHEN step = 2 THEN CASE WHEN l_orderkey % 7 = 0 THEN prop ELSE ent || ' ' || prop END
         WHEN step % 4 = 3 THEN ent || ' ' || prop || ' ' || noun || CASE WHEN l_linenumber % 2 = 1 THEN 's' ELSE '' END
@@ -33,10 +32,6 @@ def expressions(*, skew=True, panel=True, k=0.1, mode="indicator", sources=("ref
         WHEN l_suppkey % 4 = 0 THEN name WHEN l_suppkey % 4 = 1 THEN brand WHEN l_suppkey % 4 = 2 THEN brand || ' ' || noun ELSE supp END AS query FROM lines"""
     e["seeds"] = """SELECT lower(n_name) || ' ' || s.property AS query, lower(n_name) AS entity, s.property, lower(r_name) AS domain
       FROM nation JOIN region ON n_regionkey = r_regionkey, (SELECT DISTINCT lower(c_mktsegment) AS property FROM customer) s"""
-    e["panel"] = """SELECT query, entity, property, domain FROM (SELECT *, row_number() OVER (PARTITION BY entity ORDER BY property) AS r FROM seeds)
-      WHERE r = CAST(regexp_extract(entity, '(\\d+)$', 1) AS INT) % 5 + 1"""
-    if not panel:
-        e["panel"] = "SELECT query, entity, property, domain FROM seeds"
     e["freq"] = "SELECT query, count(*) AS freq FROM log GROUP BY query"
     if follow == "next":
         e["succ"] = """SELECT query, candidate, count(*) AS sessions FROM (SELECT DISTINCT session_id, query, candidate FROM
@@ -72,7 +67,7 @@ def expressions(*, skew=True, panel=True, k=0.1, mode="indicator", sources=("ref
         mixed = "coalesce(c.p_class, 0)" if k == float("inf") else f"(coalesce(i.score, 0) + {float(k)} * coalesce(c.p_class, 0)) / {1 + float(k)}"
         e["scored"] = f"""SELECT coalesce(i.query, c.query) AS query, coalesce(i.facet, c.facet) AS facet, {mixed} AS score
           FROM inst i FULL JOIN (SELECT n.query, facet, p_class FROM nodes n JOIN cls USING (class, property)) c ON i.query = c.query AND i.facet = c.facet WHERE {mixed} > 0"""
-    e["pool"] = f"""SELECT s.query, s.facet, s.score, replace(replace(s.facet, '<q>', s.query), '<e>', entity) AS facet_query FROM scored s JOIN panel USING (query)
+    e["pool"] = f"""SELECT s.query, s.facet, s.score, replace(replace(s.facet, '<q>', s.query), '<e>', entity) AS facet_query FROM scored s JOIN seeds USING (query)
       QUALIFY row_number() OVER (PARTITION BY s.query ORDER BY round(s.score, 9) DESC, s.facet) <= {cap}"""
     snippet = "ent || ' ' || prop || ' ' || type || ' ' || brand || ' s' || l_suppkey || ' z' || p_size || ' ' || split_part(priority, '-', 2)"
     text = snippet + " || ' c' || o_custkey || ' p' || l_partkey || ' m' || strftime(o_orderdate, '%Y%m')" if body else "name || ' ' || " + snippet

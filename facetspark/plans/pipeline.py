@@ -29,8 +29,6 @@ class Params:
     ambiguity: str = "drop"
     grouping: bool = True
     dedupe: bool = True
-    skew: bool = True
-    panel: bool = True
 
 
 def capped(scored: DataFrame, n: int) -> DataFrame:
@@ -41,14 +39,14 @@ def capped(scored: DataFrame, n: int) -> DataFrame:
 
 #: parameters that each stage depends on, besides those of the stages before it
 DEPENDS = {
-    "log": ("skew",),
-    "instance": ("skew", "sources"),
-    "scored": ("skew", "sources", "k", "mode"),
-    "pool": ("skew", "panel", "sources", "k", "mode", "cap"),
-    "index": ("skew", "fields"),
-    "hits": ("skew", "panel", "sources", "k", "mode", "cap", "fields", "m"),
-    "vectors": ("skew", "panel", "sources", "k", "mode", "cap", "fields", "m", "strip_seed"),
-    "sim": ("skew", "panel", "sources", "k", "mode", "cap", "fields", "m", "strip_seed", "method"),
+    "log": (),
+    "instance": ("sources",),
+    "scored": ("sources", "k", "mode"),
+    "pool": ("sources", "k", "mode", "cap"),
+    "index": ("fields",),
+    "hits": ("sources", "k", "mode", "cap", "fields", "m"),
+    "vectors": ("sources", "k", "mode", "cap", "fields", "m", "strip_seed"),
+    "sim": ("sources", "k", "mode", "cap", "fields", "m", "strip_seed", "method"),
 }
 _stages: dict[tuple, object] = {}
 
@@ -73,17 +71,12 @@ class Commerce:
 
     @cached_property
     def log(self) -> DataFrame:
-        return worlds.commerce_log(self.t, self.p.skew)
+        return self._shared("log", lambda: worlds.commerce_log(self.t))
 
     @cached_property
     def seeds(self) -> DataFrame:
         return worlds.seeds(self.t)
 
-    @cached_property
-    def asked(self) -> DataFrame:
-        """The seeds that are followed from retrieval on: the panel, or all."""
-        return worlds.panel(self.t) if self.p.panel else self.seeds
-
     @cached_property
     def nodes(self) -> DataFrame:
         return propagate.classes_of(self.seeds, worlds.membership(self.t))
@@ -98,21 +91,12 @@ class Commerce:
 
     @cached_property
     def pool(self) -> DataFrame:
-        """The capped facets of the followed seeds, with the text that poses them."""
-
-        def make():
-            some = self.scored.join(self.asked.select("query"), "query", "left_semi")
-            return candidates.posed(capped(some, self.p.cap), self.seeds)
-
-        return self._shared("pool", make)
+        """The capped facets of every seed, with the text that poses them."""
+        return self._shared("pool", lambda: candidates.posed(capped(self.scored, self.p.cap), self.seeds))
 
     @cached_property
     def index(self) -> retrieve.Index:
-        def make():
-            made = retrieve.build_index(worlds.corpus(self.t, self.p.skew), self.p.fields)
-            return retrieve.Index(*(cut(x, "index") for x in (made.postings, made.docs, made.terms, made.totals)))
-
-        return self._shared("index", make)
+        return self._shared("index", lambda: retrieve.build_index(worlds.corpus(self.t), self.p.fields))
 
     @cached_property
     def hits(self) -> DataFrame:

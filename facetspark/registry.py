@@ -22,8 +22,6 @@ from facetspark.streaming import logs
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
-FULL = Params(skew=False)
-WHOLE = {"skew": False, "panel": False}
 
 
 @lru_cache(maxsize=64)
@@ -36,25 +34,43 @@ def commerce(spark: SparkSession, folder: str, p: Params = Params()) -> Commerce
 
 
 def shaped(df: DataFrame) -> DataFrame:
-    """Counts as long, measures rounded to six digits: the form in which engines are compared."""
+    """Counts as long, measures to six digits: the form in which engines are compared.
+
+    Engines differ in how they round a decimal half that no double holds; floor of the shifted value is the same in all.
+    """
     kinds = {"int": "long", "bigint": "long", "double": None}
     out = []
     for name, kind in df.dtypes:
         c = F.col(f"`{name}`")
-        out.append((c.cast("long") if kinds.get(kind) == "long" else F.round(F.round(c, 9), 6) + F.lit(0.0) if kind == "double" else c).alias(name))
+        six = F.floor(F.round(c, 9) * 1000000 + 0.5) / 1000000
+        out.append((c.cast("long") if kinds.get(kind) == "long" else six if kind == "double" else c).alias(name))
     return df.select(*out)
 
 
+def six_digits(sql: str) -> str:
+    """``round(x, 6)`` and ``round(round(x, 9), 6)`` in the form of :func:`shaped`."""
+    at = 0
+    while (at := sql.find("round(", at)) >= 0:
+        depth, end = 1, at + len("round(")
+        while depth:
+            depth += {"(": 1, ")": -1}.get(sql[end], 0)
+            end += 1
+        inner = sql[at + len("round(") : end - 1]
+        if inner.endswith(", 6"):
+            inner = inner[:-3]
+            inner = inner if inner.startswith("round(") and inner.endswith(", 9)") else f"round({inner}, 9)"
+            made = f"(floor({inner} * 1000000 + 0.5) / 1000000)"
+            sql = sql[:at] + made + sql[end:]
+            at += len("(floor(round(")
+        else:
+            at += len("round(")
+    return sql
+
+
 def register(name: str, make: Callable[[Commerce], DataFrame], sql: str | None = None, p: Params = Params(), extra: dict[str, str] | None = None, **params) -> None:
     QUERIES[name] = lambda spark, folder: shaped(make(commerce(spark, folder, p)))
     if sql is not None:
-        ORACLES[name] = oracles.oracle(sql, extra, **{"skew": p.skew, **params})
-    if p.skew and p.panel:
-        whole = oracles.oracle(sql, extra, **{**params, **WHOLE}) if sql is not None else None
-        if whole is None or whole != ORACLES[name]:  # the world is cut: the same query over every order and seed
-            QUERIES[f"{name}_whole"] = lambda spark, folder: shaped(make(commerce(spark, folder, replace(p, **WHOLE))))
-            if whole is not None:
-                ORACLES[f"{name}_whole"] = whole
+        ORACLES[name] = six_digits(oracles.oracle(sql, extra, **params))
 
 
 def variant(name: str, make, sql: str, extra: dict[str, str] | None = None, **changes) -> None:
@@ -76,7 +92,7 @@ def r6(*names: str) -> str:
 
 # --- logs, sessions, candidates -------------------------------------------------------------
 register("world_commerce_log", lambda c: c.log.drop("ts"), "SELECT user_id, session_id, step, query FROM log")
-register("world_commerce_log_full", lambda c: c.log.groupBy("query").agg(F.count("*").alias("n"), F.count_distinct("session_id").alias("sessions")), "SELECT query, count(*) AS n, count(DISTINCT session_id) AS sessions FROM log GROUP BY query", FULL)
+register("world_commerce_counts", lambda c: c.log.groupBy("query").agg(F.count("*").alias("n"), F.count_distinct("session_id").alias("sessions")), "SELECT query, count(*) AS n, count(DISTINCT session_id) AS sessions FROM log GROUP BY query")
 register("m01_normalize", lambda c: worlds.dialogue_log(c.t).select("session_id", "step", textkit.normalize(F.col("query")).alias("query")),
     r"""SELECT conv_id AS session_id, turn AS step, array_to_string(list_filter(regexp_split_to_array(lower(text), '[^\p{L}\p{N}_#]+'), lambda t: t <> '')[1:least(1 + turn // 2, 4)], ' ') AS query FROM conversations WHERE role = 'user'""")
 CLICKS = """SELECT user_id, event_id, ts, CASE WHEN event_id % 2 = 0 THEN event_type ELSE event_type || ' k' || json_extract_string(props, '$.k') END AS query FROM events"""
@@ -124,21 +140,26 @@ def _weighted(c: Commerce) -> DataFrame:
     return propagate.class_scores(c.instance, c.nodes, "mean", weights)
 
 
-register("m15b_weighted", _weighted, """SELECT class, property, facet, round(sum(score * w) / any_value(size), 6) AS p_class FROM (SELECT n.class, n.property, facet, score, coalesce(f.freq, 0) AS w,
+register("m15b_weighted", _weighted, """SELECT class, property, facet, round(round(sum(score * w) / any_value(size), 9), 6) AS p_class FROM (SELECT n.class, n.property, facet, score, coalesce(f.freq, 0) AS w,
     (SELECT sum(coalesce(g.freq, 0)) FROM nodes z LEFT JOIN freq g ON g.query = z.query WHERE z.class = n.class AND z.property = n.property) AS size
     FROM nodes n JOIN inst i ON n.query = i.query LEFT JOIN freq f ON f.query = n.query) GROUP BY class, property, facet""")
 
 
 def _many_classes(c: Commerce) -> DataFrame:
+    """Entities in two classes: scores spread through shared members, so they are iterated until they settle."""
     extra = worlds.seeds(c.t).select("entity", F.concat(F.lit("group"), F.pmod(F.regexp_extract("entity", r"(\d+)$", 1).cast("int"), F.lit(3)).cast("string")).alias("class")).distinct()
-    nodes = propagate.classes_of(c.seeds, worlds.membership(c.t).unionByName(extra))
-    return propagate.smooth(c.instance, propagate.class_scores(c.instance, nodes, "mean"), nodes, 0.1)
+    nodes = cut(propagate.classes_of(c.seeds, worlds.membership(c.t).unionByName(extra)), "nodes")
+    return propagate.iterate(c.instance, nodes, 0.1, tolerance=1e-12, cut=lambda d: cut(d, "round"))[0]
 
 
+ROUNDS = 14  # each round contracts by 0.1 / 1.1, so the change falls below 1e-14
 TWO = {"twice": "SELECT query, class, property FROM nodes UNION SELECT query, 'group' || CAST(regexp_extract(entity, '(\\d+)$', 1) AS INT) % 3, property FROM seeds",
-       "cls2": "SELECT class, property, facet, sum(score) / any_value(size) AS p FROM (SELECT t.class, t.property, facet, score, (SELECT count(*) FROM twice z WHERE z.class = t.class AND z.property = t.property) AS size FROM twice t JOIN inst i ON i.query = t.query) GROUP BY ALL",
-       "mean2": "SELECT query, facet, sum(p) / 2 AS p FROM twice JOIN cls2 USING (class, property) GROUP BY ALL"}
-register("m15c_multiclass", _many_classes, "SELECT coalesce(i.query, c.query) AS query, coalesce(i.facet, c.facet) AS facet, round((coalesce(score, 0) + 0.1 * coalesce(p, 0)) / 1.1, 6) AS score FROM inst i FULL JOIN mean2 c ON c.query = i.query AND c.facet = i.facet", extra=TWO)
+       "sizes2": "SELECT class, property, count(*) AS size FROM twice GROUP BY ALL", "held2": "SELECT query, count(*) AS classes FROM twice GROUP BY query", "round0": "SELECT query, facet, score FROM inst"}
+for _r in range(1, ROUNDS + 1):
+    TWO[f"class{_r}"] = f"SELECT t.class, t.property, facet, sum(score) / any_value(size) AS p FROM twice t JOIN round{_r - 1} i ON i.query = t.query JOIN sizes2 z ON z.class = t.class AND z.property = t.property GROUP BY t.class, t.property, facet"
+    TWO[f"mean{_r}"] = f"SELECT t.query, facet, sum(p) / any_value(classes) AS p FROM twice t JOIN class{_r} c ON c.class = t.class AND c.property = t.property JOIN held2 h ON h.query = t.query GROUP BY t.query, facet"
+    TWO[f"round{_r}"] = f"SELECT coalesce(i.query, m.query) AS query, coalesce(i.facet, m.facet) AS facet, (coalesce(score, 0) + 0.1::DOUBLE * coalesce(p, 0)) / 1.1::DOUBLE AS score FROM inst i FULL JOIN mean{_r} m ON m.query = i.query AND m.facet = i.facet"
+register("m15c_multiclass", _many_classes, f"SELECT query, facet, {r6('score')} FROM round{ROUNDS}", extra=TWO)
 
 # --- retrieval, similarity, clusters --------------------------------------------------------
 register("m16_hits", lambda c: c.hits, "SELECT query, facet, doc_id, rank FROM hits")
@@ -176,7 +197,7 @@ register("m29_facet_sets", lambda c: present.facet_sets(c.ranked, c.groups, c.cl
 
 
 def _seed_hits(c: Commerce, n: int) -> DataFrame:
-    hits = retrieve.top_hits(c.asked.select(F.col("query").alias("query_text")), c.index, n)
+    hits = retrieve.top_hits(c.seeds.select(F.col("query").alias("query_text")), c.index, n)
     return hits.withColumnRenamed("query_text", "query")
 
 
@@ -184,7 +205,7 @@ def _seed_hits(c: Commerce, n: int) -> DataFrame:
 
 def _seed_sql(n: int) -> dict[str, str]:
     e = oracles.expressions(m=n)
-    return {"asked_seeds": "SELECT query AS text FROM panel", "seed_hits": e["found"].replace("FROM asked)", "FROM asked_seeds)").replace("SELECT text, doc_id,", "SELECT text AS query, doc_id,", 1)}
+    return {"asked_seeds": "SELECT query AS text FROM seeds", "seed_hits": e["found"].replace("FROM asked)", "FROM asked_seeds)").replace("SELECT text, doc_id,", "SELECT text AS query, doc_id,", 1)}
 
 
 def _categorize(c: Commerce) -> DataFrame:
@@ -216,7 +237,7 @@ register("b01b_related_superstrings", lambda c: baselines.related(candidates.min
 
 
 def _cluster_labels(c: Commerce) -> DataFrame:
-    own = c.asked.select("query", F.explode(F.array_distinct(textkit.analyzed(F.col("query")))).alias("term"))
+    own = c.seeds.select("query", F.explode(F.array_distinct(textkit.analyzed(F.col("query")))).alias("term"))
     return baselines.cluster_labels(_seed_hits(c, 500), c.index, own)
 
 
@@ -255,7 +276,7 @@ def _centroid_sims(c: Commerce) -> DataFrame:
 
 def _topics(c: Commerce) -> DataFrame:
     """Topic of a line document: its type, brand and order month, one unit-norm vector per document."""
-    x = worlds.corpus(c.t, c.p.skew).select("doc_id", F.explode(F.filter(F.split("body", " "), lambda w: w.rlike("^(m[0-9]|brand|z[0-9])"))).alias("topic"))
+    x = worlds.corpus(c.t).select("doc_id", F.explode(F.filter(F.split("body", " "), lambda w: w.rlike("^(m[0-9]|brand|z[0-9])"))).alias("topic"))
     return x.distinct().withColumn("share", 1 / F.sqrt(F.count("*").over(W.partitionBy("doc_id")).cast("double")))
 
 
@@ -375,9 +396,9 @@ register("w20_kb_in_top_queries", _kb_in_top, """SELECT entity, count(DISTINCT q
     QUALIFY row_number() OVER (PARTITION BY s.entity ORDER BY f.freq DESC, f.query) <= 10) x JOIN attrs a ON a.class = x.domain AND a.attribute = x.w GROUP BY entity""", extra=ATTR)
 
 
-def _pair(a: float, b: float, **world: bool) -> Callable[[SparkSession, str], DataFrame]:
+def _pair(a: float, b: float) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, folder: str) -> DataFrame:
-        top = lambda k: capped(commerce(spark, folder, Params(k=k, **world)).scored, 8).select("query", F.row_number().over(W.partitionBy("query").orderBy(F.round("score", 9).desc(), "facet")).alias("rank"), F.col("facet").alias("group_label"))
+        top = lambda k: capped(commerce(spark, folder, Params(k=k)).scored, 8).select("query", F.row_number().over(W.partitionBy("query").orderBy(F.round("score", 9).desc(), "facet")).alias("rank"), F.col("facet").alias("group_label"))
         return shaped(measures.same_list(top(a), top(b)).select(F.lit(float(a)).alias("k1"), F.lit(float(b)).alias("k2"), "seeds", "same"))
 
     return run
@@ -394,21 +415,16 @@ for a, b in ((0, 0.1), (0, 1), (0.1, 1), (0.1, 10), (1, 10), (1, 100), (10, 100)
     lists = "SELECT query, list(facet ORDER BY r) AS facets FROM (SELECT query, facet, row_number() OVER (PARTITION BY query ORDER BY round(score, 9) DESC, facet) AS r FROM {0}) WHERE r <= 8 GROUP BY query"
     ORACLES[name] = oracles.oracle(f"SELECT {float(a)}::DOUBLE AS k1, {float(b)}::DOUBLE AS k2, count(*) AS seeds, count_if(x.facets = y.facets) AS same FROM listed_a x JOIN listed_b y USING (query)",
         {"scored_a": _top_sql(a), "scored_b": _top_sql(b), "listed_a": lists.format("scored_a"), "listed_b": lists.format("scored_b")})
-    QUERIES[f"{name}_whole"] = _pair(a, b, **WHOLE)
-    ORACLES[f"{name}_whole"] = oracles.oracle(f"SELECT {float(a)}::DOUBLE AS k1, {float(b)}::DOUBLE AS k2, count(*) AS seeds, count_if(x.facets = y.facets) AS same FROM listed_a x JOIN listed_b y USING (query)",
-        {"scored_a": _top_sql(a), "scored_b": _top_sql(b), "listed_a": lists.format("scored_a"), "listed_b": lists.format("scored_b")}, **WHOLE)
 
 
-def _mode_difference(spark: SparkSession, folder: str, **world: bool) -> DataFrame:
-    top = lambda mode: capped(commerce(spark, folder, Params(mode=mode, **world)).scored, 8).select("query", "facet")
+def _mode_difference(spark: SparkSession, folder: str) -> DataFrame:
+    top = lambda mode: capped(commerce(spark, folder, Params(mode=mode)).scored, 8).select("query", "facet")
     return shaped(top("mean").join(top("indicator"), ["query", "facet"]).groupBy("query").agg(F.count("*").alias("shared")))
 
 
 QUERIES["w19_class_mode_ablation"] = _mode_difference
-QUERIES["w19_class_mode_ablation_whole"] = lambda spark, folder: _mode_difference(spark, folder, **WHOLE)
 _best8 = "SELECT query, facet FROM {0} QUALIFY row_number() OVER (PARTITION BY query ORDER BY round(score, 9) DESC, facet) <= 8"
 ORACLES["w19_class_mode_ablation"] = oracles.oracle("SELECT query, count(*) AS shared FROM best_a JOIN best_b USING (query, facet) GROUP BY query", {"cls_a": oracles.expressions(mode="mean")["cls"], "scored_a": oracles.expressions()["scored"].replace("JOIN cls ", "JOIN cls_a "), "best_a": _best8.format("scored_a"), "best_b": _best8.format("scored")})
-ORACLES["w19_class_mode_ablation_whole"] = oracles.oracle("SELECT query, count(*) AS shared FROM best_a JOIN best_b USING (query, facet) GROUP BY query", {"cls_a": oracles.expressions(mode="mean")["cls"], "scored_a": oracles.expressions()["scored"].replace("JOIN cls ", "JOIN cls_a "), "best_a": _best8.format("scored_a"), "best_b": _best8.format("scored")}, **WHOLE)
 register("x18_grouped_rate", lambda c: c.groups.groupBy("query").agg(F.max((F.col("kind") == "group").cast("int")).alias("g")).agg(F.count("*").alias("seeds"), F.sum("g").alias("grouped")), "SELECT count(*) AS seeds, CAST(sum(g) AS BIGINT) AS grouped FROM (SELECT query, max(CASE WHEN kind = 'group' THEN 1 ELSE 0 END) AS g FROM groups GROUP BY query)")
 variant("x18_grouped_rate_vote", lambda c: c.groups.groupBy("query").agg(F.max((F.col("kind") == "group").cast("int")).alias("g")).agg(F.count("*").alias("seeds"), F.sum("g").alias("grouped")), "SELECT count(*) AS seeds, CAST(sum(g) AS BIGINT) AS grouped FROM (SELECT query, max(CASE WHEN kind = 'group' THEN 1 ELSE 0 END) AS g FROM groups GROUP BY query)", ambiguity="vote")
 

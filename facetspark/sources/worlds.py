@@ -25,19 +25,14 @@ class Tables:
         return self.spark.read.parquet(f"{self.folder}/{name}.parquet")
 
 
-def commerce_lines(t: Tables, skew: bool = False) -> DataFrame:
-    """Order lines with their dimension words and step within the order.
-
-    ``skew`` keeps fewer orders the larger the nation's number: a long tail of rare seeds.
-    """
+def commerce_lines(t: Tables) -> DataFrame:
+    """Order lines with their dimension words and step within the order."""
     o = t.orders.select("o_orderkey", "o_custkey", "o_orderdate", "o_orderpriority")
     c = t.customer.select("c_custkey", "c_nationkey", "c_mktsegment")
     n = t.nation.select("n_nationkey", "n_name", "n_regionkey")
     p = t.part.select("p_partkey", "p_name", "p_brand", "p_type", "p_size")
     s = t.supplier.select("s_suppkey", "s_name")
     owners = o.join(c, F.col("o_custkey") == F.col("c_custkey")).join(F.broadcast(n), F.col("c_nationkey") == F.col("n_nationkey"))  # 25 nations
-    if skew:
-        owners = owners.where(F.col("o_orderkey") % (F.col("n_nationkey") + 1) == 0)
     in_order = W.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice")
     lines = t.lineitem.select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice")
     joined = lines.join(owners, F.col("l_orderkey") == F.col("o_orderkey")).join(p, F.col("l_partkey") == F.col("p_partkey")).join(s, F.col("l_suppkey") == F.col("s_suppkey"))
@@ -51,9 +46,9 @@ def commerce_lines(t: Tables, skew: bool = False) -> DataFrame:
     )
 
 
-def commerce_log(t: Tables, skew: bool = False) -> DataFrame:
+def commerce_log(t: Tables) -> DataFrame:
     """``user_id, session_id, step, ts, query``; one row per logged query."""
-    x = commerce_lines(t, skew)
+    x = commerce_lines(t)
     turn = F.col("step") % 4
     words = lambda *c: F.concat_ws(" ", *c)
     text = (
@@ -94,13 +89,6 @@ def seeds(t: Tables) -> DataFrame:
     return n.crossJoin(s).select(F.concat_ws(" ", "entity", "property").alias("query"), "entity", "property", "domain")  # 25 x 5 names
 
 
-def panel(t: Tables) -> DataFrame:
-    """Five seeds of each of five domains: every nation with one of the segments, in turn."""
-    ranked = seeds(t).withColumn("r", F.row_number().over(W.partitionBy("entity").orderBy("property")))
-    turn = F.pmod(F.regexp_extract("entity", r"(\d+)$", 1).cast("int"), F.lit(5)) + 1
-    return ranked.where(F.col("r") == turn).drop("r")
-
-
 def membership(t: Tables) -> DataFrame:
     """Single-class memberships ``entity, class``: nations in regions, nouns and adjectives of part names, and so on."""
     part = t.part.select(F.lower("p_name").alias("name"), F.lower("p_type").alias("type"), F.lower("p_brand").alias("brand"))
@@ -148,9 +136,9 @@ def attributes(t: Tables) -> DataFrame:
     return rows.groupBy("class", "attribute").agg(F.count("*").alias("n"))
 
 
-def corpus(t: Tables, skew: bool = False) -> DataFrame:
+def corpus(t: Tables) -> DataFrame:
     """One document per order line: ``doc_id, head, snippet, body``."""
-    x = commerce_lines(t, skew)
+    x = commerce_lines(t)
     tag = lambda letter, c: F.concat(F.lit(letter), F.col(c).cast("string"))
     snippet = F.concat_ws(" ", "ent", "prop", "type", "brand", tag("s", "l_suppkey"), tag("z", "p_size"), F.element_at(F.split("priority", "-"), 2))
     body = F.concat_ws(" ", snippet, tag("c", "o_custkey"), tag("p", "l_partkey"), F.concat(F.lit("m"), F.date_format("o_orderdate", "yyyyMM")))

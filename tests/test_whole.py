@@ -1,4 +1,4 @@
-"""The queries over every order and seed, beside those over the thinned log and the panel."""
+"""The queries over every order and seed."""
 
 import duckdb
 import pytest
@@ -8,17 +8,15 @@ from facetspark import registry
 FOLDER = "/root/testdata/sf0.001"
 
 
-def test_whole_log_has_every_order_line(spark):
+def test_log_has_every_order_line(spark):
     lines = duckdb.sql(f"SELECT count(*) FROM '{FOLDER}/lineitem.parquet'").fetchall()[0][0]
-    assert registry.QUERIES["world_commerce_log_whole"](spark, FOLDER).count() == lines
-    assert registry.QUERIES["world_commerce_log"](spark, FOLDER).count() < lines
+    assert registry.QUERIES["world_commerce_log"](spark, FOLDER).count() == lines
 
 
-@pytest.mark.parametrize("name", ["m16_hits_whole", "m25_pipeline_whole", "b05_seed_results_whole"])
+@pytest.mark.parametrize("name", ["m16_hits", "m25_pipeline", "b05_seed_results"])
 def test_every_seed_is_followed(spark, name):
     assert registry.QUERIES[name](spark, FOLDER).select("query").distinct().count() == 125
 
 
-def test_every_cut_query_has_a_whole_one():
-    cut = {n for n, sql in registry.ORACLES.items() if not n.endswith("_whole") and ("% (n_nationkey + 1)" in sql or "% 5 + 1" in sql)}
-    assert cut and {f"{n}_whole" for n in cut} <= set(registry.QUERIES)
+def test_no_query_thins_the_log():
+    assert not [n for n, sql in registry.ORACLES.items() if "% (n_nationkey + 1)" in sql or "% 5 + 1" in sql]
