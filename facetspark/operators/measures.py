@@ -124,6 +124,7 @@ def t_tail(t: float, df: int) -> float:
 
 
 def relevance(votes: DataFrame) -> DataFrame:
-    """``covered`` with yes and no responses, and pages by majority (ties count as no)."""
+    """``covered, domain`` (null: all domains) with yes and no responses, and pages by majority (ties count as no)."""
     pages = votes.groupBy("covered", "domain", "url").agg(F.count_if("relevant").alias("y"), F.count_if(~F.col("relevant")).alias("n"))
-    return pages.groupBy("covered").agg(F.sum("y").alias("yes"), F.sum("n").alias("no"), F.count_if(F.col("y") > F.col("n")).alias("pages_yes"), F.count_if(F.col("y") <= F.col("n")).alias("pages_no"))
+    sets = pages.groupingSets([["covered", "domain"], ["covered"]], "covered", "domain")
+    return sets.agg(F.sum("y").alias("yes"), F.sum("n").alias("no"), F.count_if(F.col("y") > F.col("n")).alias("pages_yes"), F.count_if(F.col("y") <= F.col("n")).alias("pages_no"))

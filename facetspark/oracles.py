@@ -16,6 +16,13 @@ def folded(text: str) -> str:
     return FOLDED.format(text)
 
 
+def found(numbered: str, m: int) -> str:
+    """The best documents of numbered texts."""
+    return f"""SELECT text, doc_id, relevance, rank FROM (SELECT tid, doc_id, relevance, row_number() OVER (PARTITION BY tid ORDER BY relevance DESC, doc_id) AS rank FROM (
+      SELECT tid, doc_id, round(sum(w), 9) AS relevance FROM (SELECT tid, unnest(list_distinct({folded("text")})) AS term FROM {numbered}) a JOIN weighted USING (term) GROUP BY tid, doc_id)
+      QUALIFY rank <= {m}) x JOIN {numbered} y USING (tid)"""
+
+
 def expressions(*, k=0.1, mode="indicator", sources=("refine", "super"), follow="any_later", match="token", cap=30, m=8, n=8, sigma=0.35, method="best_match", body=False, strip=True, ambiguity="drop", grouping=True, dedupe=True) -> dict[str, str]:
     e: dict[str, str] = {}
     e["lines"] = """SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, o_custkey, o_orderdate, p_size,
@@ -75,10 +82,10 @@ def expressions(*, k=0.1, mode="indicator", sources=("refine", "super"), follow=
     e["docs"] = "SELECT doc_id, sum(tf) AS len FROM postings GROUP BY doc_id"
     e["terms"] = "SELECT term, count(*) AS df FROM postings GROUP BY term"
     e["totals"] = "SELECT count(*) AS n, avg(len) AS avg_len FROM docs"
-    e["found"] = f"""SELECT text, doc_id, relevance, row_number() OVER (PARTITION BY text ORDER BY relevance DESC, doc_id) AS rank FROM (
-      SELECT text, p.doc_id, round(sum(ln(1 + (n - df + 0.5) / (df + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * len / avg_len))), 9) AS relevance
-      FROM (SELECT text, unnest(list_distinct({folded("text")})) AS term FROM asked) a JOIN terms USING (term) JOIN postings p USING (term) JOIN docs d ON d.doc_id = p.doc_id, totals GROUP BY ALL)
-      QUALIFY rank <= {m}"""
+    e["weighted"] = """SELECT p.term, p.doc_id, ln(1 + (n - df + 0.5) / (df + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * len / avg_len)) AS w
+      FROM postings p JOIN terms USING (term) JOIN docs d ON d.doc_id = p.doc_id, totals"""
+    e["numbered"] = "SELECT text, row_number() OVER (ORDER BY text) AS tid FROM asked"
+    e["found"] = found("numbered", m)
     e["asked"] = "SELECT DISTINCT facet_query AS text FROM pool"
     e["hits"] = "SELECT query, facet, doc_id, rank FROM pool JOIN found ON text = facet_query"
     own = f"AND NOT list_contains({folded('query')}, term)" if strip else ""
@@ -140,7 +147,9 @@ def with_expressions(select: str, e: dict[str, str]) -> str:
             needed.add(name)
             todo.append(e[name])
     order = _sorted({n: e[n] for n in needed})
-    parts = ", ".join(f"{n} AS ({e[n]})" for n in order)
+    # written down once, however many expressions name them; only those that name themselves recur
+    own = lambda n: re.search(rf"(?:FROM|JOIN|,)\s+{n}\b", e[n])
+    parts = ", ".join(f"{n} AS {'' if own(n) else 'MATERIALIZED '}({e[n]})" for n in order)
     return f"WITH RECURSIVE {parts} {select}" if parts else select
 
 

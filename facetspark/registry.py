@@ -204,8 +204,8 @@ def _seed_hits(c: Commerce, n: int) -> DataFrame:
 
 
 def _seed_sql(n: int) -> dict[str, str]:
-    e = oracles.expressions(m=n)
-    return {"asked_seeds": "SELECT query AS text FROM seeds", "seed_hits": e["found"].replace("FROM asked)", "FROM asked_seeds)").replace("SELECT text, doc_id,", "SELECT text AS query, doc_id,", 1)}
+    numbered = "SELECT query AS text, row_number() OVER (ORDER BY query) AS tid FROM seeds"
+    return {"numbered_seeds": numbered, "seed_hits": f"SELECT text AS query, doc_id, relevance, rank FROM ({oracles.found('numbered_seeds', n)}) f"}
 
 
 def _categorize(c: Commerce) -> DataFrame:
@@ -299,22 +299,45 @@ register("w16_nsim_by_score", lambda c: measures.orthogonality(measures.eval_sim
 variant("w16_nsim_without_grouping", lambda c: measures.orthogonality(measures.eval_sim(_shown(c), _topics(c))), NSIM, extra=TOPICS, grouping=False)
 
 
+TEN = Params(n=10)
+POPULAR = {"popular30": "SELECT query FROM seeds LEFT JOIN freq USING (query) ORDER BY coalesce(freq, 0) DESC, query LIMIT 30"}
+
+
+def _popular(c: Commerce, n: int = 30) -> DataFrame:
+    freq = candidates.frequency(c.log)
+    return c.seeds.select("query").join(freq, "query", "left").orderBy(F.coalesce("freq", F.lit(0)).desc(), "query").limit(n).select("query")
+
+
+def _selected_hits(c: Commerce) -> DataFrame:
+    """Pages of the selected facets; a group's are those of its best member."""
+    best = c.ranked.join(c.groups.select("query", "group_label", F.get("members", 0).alias("facet")), ["query", "group_label"])
+    return c.hits.join(best.select("query", "facet"), ["query", "facet"], "left_semi")
+
+
 def _overlaps(c: Commerce, k: int) -> DataFrame:
+    """Mean overlap for every N, over all seeds and over the popular ones."""
     seed = cut(_seed_hits(c, 500), "seed-hits")
-    rows = [measures.overlap(c.hits, seed, k, n).agg(F.lit(k).alias("k"), F.lit(n).alias("n"), F.avg("overlap").alias("overlap")) for n in (10, 50, 100, 200, 500)]
-    out = rows[0]
-    for r in rows[1:]:
-        out = out.unionByName(r)
+    hits, popular = cut(_selected_hits(c), "selected"), _popular(c).withColumn("known", F.lit(True))
+    out = None
+    for n in (10, 50, 100, 200, 500):
+        each = measures.overlap(hits, seed, k, n).join(popular, "query", "left")
+        row = each.agg(F.lit(k).alias("k"), F.lit(n).alias("n"), F.avg("overlap").alias("overlap"), F.avg(F.when(F.col("known"), F.col("overlap"))).alias("popular"))
+        out = row if out is None else out.unionByName(row)
     return out
 
 
-OVER = "SELECT {k} AS k, n, round(avg(o), 6) AS overlap FROM (SELECT n, query, count(hit) / count(*) AS o FROM (SELECT g.n, h.query, h.doc_id, s.doc_id AS hit FROM (SELECT DISTINCT query, doc_id FROM hits WHERE rank <= {k}) h CROSS JOIN (SELECT unnest([10, 50, 100, 200, 500]) AS n) g LEFT JOIN seed_hits s ON s.query = h.query AND s.doc_id = h.doc_id AND s.rank <= g.n) GROUP BY ALL) GROUP BY n"
+SELECTED = {"best_member": "SELECT r.query, split_part(g.members, ',', 1) AS facet FROM ranked r JOIN groups g ON g.query = r.query AND g.group_label = r.group_label",
+            "chosen_hits": "SELECT h.query, h.facet, h.doc_id, h.rank FROM hits h JOIN best_member b ON b.query = h.query AND b.facet = h.facet"}
+OVER = """SELECT {k} AS k, n, round(avg(o), 6) AS overlap, round(avg(CASE WHEN query IN (SELECT query FROM popular30) THEN o END), 6) AS popular FROM (
+    SELECT n, query, count(hit) / count(*) AS o FROM (SELECT g.n, h.query, h.doc_id, s.doc_id AS hit FROM (SELECT DISTINCT query, doc_id FROM chosen_hits WHERE rank <= {k}) h
+    CROSS JOIN (SELECT unnest([10, 50, 100, 200, 500]) AS n) g LEFT JOIN seed_hits s ON s.query = h.query AND s.doc_id = h.doc_id AND s.rank <= g.n) GROUP BY ALL) GROUP BY n"""
 for k in (1, 8):
-    register(f"w06_overlap_curve_k{k}", lambda c, k=k: _overlaps(c, k), OVER.format(k=k), extra=_seed_sql(500))
-register("x07_new_information", lambda c: measures.overlap(c.hits, _seed_hits(c, 500), 8, 500).select("query", (1 - F.col("overlap")).alias("new_share")), "SELECT h.query, round(1 - count(s.doc_id) / count(*), 6) AS new_share FROM (SELECT DISTINCT query, doc_id FROM hits) h LEFT JOIN seed_hits s ON s.query = h.query AND s.doc_id = h.doc_id GROUP BY h.query", extra=_seed_sql(500))
+    register(f"w06_overlap_curve_k{k}", lambda c, k=k: _overlaps(c, k), OVER.format(k=k), TEN, extra=_seed_sql(500) | SELECTED | POPULAR, n=10)
+register("x07_new_information", lambda c: measures.overlap(_selected_hits(c), _seed_hits(c, 500), 8, 500).select("query", (1 - F.col("overlap")).alias("new_share")),
+    "SELECT h.query, round(1 - count(s.doc_id) / count(*), 6) AS new_share FROM (SELECT DISTINCT query, doc_id FROM chosen_hits) h LEFT JOIN seed_hits s ON s.query = h.query AND s.doc_id = h.doc_id GROUP BY h.query", TEN, extra=_seed_sql(500) | SELECTED, n=10)
 RELEVANT = {"judged": "SELECT lower(p_type) AS domain, l_partkey AS url, p_size <= 25 AS covered, l_linestatus = 'F' AS yes FROM lineitem JOIN part ON l_partkey = p_partkey",
             "per_page": "SELECT covered, domain, url, count_if(yes) AS y, count_if(NOT yes) AS n FROM judged GROUP BY ALL"}
-register("x08_relevance_table", lambda c: measures.relevance(worlds.relevance_votes(c.t)), "SELECT covered, CAST(sum(y) AS BIGINT) AS yes, CAST(sum(n) AS BIGINT) AS no, count_if(y > n) AS pages_yes, count_if(y <= n) AS pages_no FROM per_page GROUP BY covered", extra=RELEVANT)
+register("x08_relevance_table", lambda c: measures.relevance(worlds.relevance_votes(c.t)), "SELECT covered, domain, CAST(sum(y) AS BIGINT) AS yes, CAST(sum(n) AS BIGINT) AS no, count_if(y > n) AS pages_yes, count_if(y <= n) AS pages_no FROM per_page GROUP BY GROUPING SETS ((covered, domain), (covered))", extra=RELEVANT)
 VOTES = {"votes": "SELECT lower(r_name) AS domain, lower(n_name) AS query, CASE l_returnflag WHEN 'R' THEN 'F' WHEN 'N' THEN 'E' ELSE 'A' END AS verdict FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey",
          "tally": "SELECT domain, query, count_if(verdict = 'F') AS f, count_if(verdict = 'E') AS e, count_if(verdict = 'A') AS a FROM votes GROUP BY ALL"}
 register("x09_preference_table", lambda c: measures.preference(worlds.preference_votes(c.t)), "SELECT domain, CAST(sum(f) AS BIGINT) AS f, CAST(sum(e) AS BIGINT) AS e, CAST(sum(a) AS BIGINT) AS a, count_if(f > a) AS qf, count_if(f = a) AS qe, count_if(a > f) AS qa FROM tally GROUP BY ROLLUP (domain)", extra=VOTES)
@@ -330,7 +353,7 @@ GOLD = {"golden": f"SELECT query, facet, component, array_to_string(list_sort({o
 register("x11_pair_f", lambda c: measures.pair_f(c.clusters, _gold(c)), PAIRF, extra=GOLD)
 for method in ("all_pairs", "concat", "words"):
     variant(f"w17_pair_f_{method}", lambda c: measures.pair_f(c.clusters, _gold(c)), PAIRF, extra=GOLD, method=method)
-for m in (1, 2, 4):
+for m in (1, 2, 4, 16):
     variant(f"w18_pair_f_m{m}", lambda c: measures.pair_f(c.clusters, _gold(c)), PAIRF, extra=GOLD, m=m)
 
 
@@ -338,13 +361,14 @@ def _sigma_sweep(c: Commerce) -> DataFrame:
     grid = c.t.spark.range(1, 20).select((F.col("id") * 5).alias("percent"))
     nodes = c.pool.select("query", "facet").crossJoin(F.broadcast(grid))  # 19 thresholds
     edges = c.sim.crossJoin(F.broadcast(grid)).where(F.col("sim") * 100 > F.col("percent")).select("percent", "query", "a", "b")
-    return measures.pair_f(cluster.components(nodes, edges), _gold(c), ["percent"])
+    found = cluster.components(nodes, edges).join(c.seeds.select("query", "domain"), "query")
+    return measures.pair_f(found, _gold(c), ["percent", "domain"])
 
 
 SWEEP = {"grid": "SELECT unnest(range(1, 20)) * 5 AS percent",
     "wide": "SELECT percent, query, facet AS a, facet AS b FROM pool, grid UNION SELECT r.percent, r.query, r.a, x.b FROM wide r JOIN (SELECT query, a, b, sim FROM sim UNION SELECT query, b, a, sim FROM sim) x ON x.query = r.query AND x.a = r.b AND x.sim * 100 > r.percent",
     "golden": f"SELECT percent, query, a AS facet, min(b) AS component, array_to_string(list_sort({oracles.folded('a')}), ' ') AS gold FROM wide GROUP BY percent, query, a"}
-SWEPT = PAIRF.replace("SELECT round(tp", "SELECT percent, round(tp", 1).replace("SELECT sum(", "SELECT x.percent, sum(", 1).replace("x.query = y.query", "x.percent = y.percent AND x.query = y.query").replace("x.facet < y.facet)", "x.facet < y.facet GROUP BY x.percent)")
+SWEPT = PAIRF.replace("SELECT round(tp", "SELECT percent, domain, round(tp", 1).replace("SELECT sum(", "SELECT x.percent, s.domain, sum(", 1).replace("x.query = y.query", "x.percent = y.percent AND x.query = y.query").replace("x.facet < y.facet)", "x.facet < y.facet JOIN seeds s ON s.query = x.query GROUP BY x.percent, s.domain)")
 register("w14_sigma_sweep", _sigma_sweep, SWEPT, extra=SWEEP)
 variant("w14_sigma_sweep_unmasked", _sigma_sweep, SWEPT, extra=SWEEP, strip_seed=False)
 
