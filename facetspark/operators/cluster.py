@@ -50,20 +50,55 @@ def star_cover(nodes: DataFrame, edges: DataFrame) -> DataFrame:
     return packed.select("query", F.explode(F.aggregate("xs", empty, cover)).alias("facet", "center"))
 
 
-def kmeans(vectors: DataFrame, k: int, seed: int = 7) -> DataFrame:
-    """``query, facet, cluster`` by k-means over dense vectors (``query, facet, features``)."""
-    from pyspark.ml.clustering import KMeans
+def kmeans_by_query(vectors: DataFrame, k: int = 8, rounds: int = 25) -> DataFrame:
+    """``query, facet, cluster`` by k-means over each seed's own unit vectors (``query, facet, term, w``).
 
-    return KMeans(k=k, seed=seed, featuresCol="features", predictionCol="cluster").fit(vectors).transform(vectors).select("query", "facet", "cluster")
-
-
-def spectral(sim: DataFrame, k: int) -> DataFrame:
-    """``query, facet, cluster`` by power iteration on one seed's similarity graph."""
-    from pyspark.ml.clustering import PowerIterationClustering
-
-    names = sim.select("query", F.col("a").alias("facet")).union(sim.select("query", "b")).distinct()
-    numbered = names.withColumn("id", F.row_number().over(W.orderBy("query", "facet")).cast("long"))
-    ids = numbered.select("query", F.col("facet").alias("a"), F.col("id").alias("src"))
-    edges = sim.where("sim > 0").join(ids, ["query", "a"]).join(ids.select("query", F.col("a").alias("b"), F.col("src").alias("dst")), ["query", "b"])
-    found = PowerIterationClustering(k=k, maxIter=20, weightCol="sim").assignClusters(edges.select("src", "dst", "sim"))
-    return numbered.join(found, "id").select("query", "facet", "cluster")
+    A seed has a few dozen facets, so its vectors fit one task. Starts are farthest points, the
+    first facet by name first; nothing is random.
+    """
+    import numpy as np
+    import pandas as pd
+
+    def run(rows: pd.DataFrame) -> pd.DataFrame:
+        wide = rows.pivot_table(index="facet", columns="term", values="w", fill_value=0.0).sort_index()
+        x = wide.to_numpy()
+        centers = [x[0]]
+        while len(centers) < min(k, len(x)):
+            centers.append(x[np.round(np.min([((x - c) ** 2).sum(1) for c in centers], axis=0), 9).argmax()])
+        centers = np.array(centers)
+        for _ in range(rounds):
+            own = np.round(((x[:, None, :] - centers[None]) ** 2).sum(2), 9).argmin(1)
+            fresh = np.array([x[own == i].mean(0) if (own == i).any() else centers[i] for i in range(len(centers))])
+            if np.allclose(fresh, centers):
+                break
+            centers = fresh
+        return pd.DataFrame({"query": rows["query"].iloc[0], "facet": wide.index, "cluster": own.astype("int64")})
+
+    return vectors.groupBy("query").applyInPandas(run, "query string, facet string, cluster long")
+
+
+def spectral_by_query(nodes: DataFrame, sim: DataFrame, k: int = 8) -> DataFrame:
+    """``query, facet, cluster``: each seed's similarity graph, by the leading vectors of its normalized matrix and k-means on them."""
+    import numpy as np
+    import pandas as pd
+
+    points = nodes.select("query", F.col("facet").alias("a"), F.col("facet").alias("b"), F.lit(1.0).alias("sim"))
+    rows = points.unionByName(sim.select("query", "a", "b", "sim"))
+
+    def run(rows: pd.DataFrame) -> pd.DataFrame:
+        names = sorted(set(rows["a"]) | set(rows["b"]))
+        at = {n: i for i, n in enumerate(names)}
+        m = np.zeros((len(names), len(names)))
+        i, j = rows["a"].map(at).to_numpy(), rows["b"].map(at).to_numpy()
+        m[i, j] = m[j, i] = rows["sim"].to_numpy()
+        d = 1 / np.sqrt(m.sum(1))
+        _, vectors = np.linalg.eigh(m * d[:, None] * d[None, :])
+        x = vectors[:, -min(k, len(names)) :]
+        x = x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
+        centers = [x[0]]
+        while len(centers) < min(k, len(x)):
+            centers.append(x[np.round(np.max([x @ c for c in centers], axis=0), 9).argmin()])
+        own = np.round(x @ np.array(centers).T, 9).argmax(1)
+        return pd.DataFrame({"query": rows["query"].iloc[0], "facet": names, "cluster": own.astype("int64")})
+
+    return rows.groupBy("query").applyInPandas(run, "query string, facet string, cluster long")

@@ -57,10 +57,15 @@ def facet_sim(hits: DataFrame, vectors: DataFrame, method: str = "best_match") -
     return half.groupBy(F.col("query"), F.col("x").alias("a"), F.col("y").alias("b")).agg(F.round(F.sum("part"), DIGITS).alias("sim"))
 
 
-def _concat_sim(hits: DataFrame, vectors: DataFrame) -> DataFrame:
+def facet_vectors(hits: DataFrame, vectors: DataFrame) -> DataFrame:
+    """``query, facet, term, w``: unit sums of the page vectors of each facet."""
     joined = hits.select("query", "facet", "doc_id").join(vectors, ["query", "doc_id"]).groupBy("query", "facet", "term").agg(F.sum("weight").alias("w"))
     norm = joined.groupBy("query", "facet").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
-    unit = joined.join(norm, ["query", "facet"]).select("query", "facet", "term", (F.col("w") / F.col("norm")).alias("w"))
+    return joined.join(norm, ["query", "facet"]).select("query", "facet", "term", (F.col("w") / F.col("norm")).alias("w"))
+
+
+def _concat_sim(hits: DataFrame, vectors: DataFrame) -> DataFrame:
+    unit = facet_vectors(hits, vectors)
     a = unit.select("query", "term", F.col("facet").alias("a"), F.col("w").alias("wa"))
     b = unit.select("query", "term", F.col("facet").alias("b"), F.col("w").alias("wb"))
     return a.join(b, ["query", "term"]).where("a < b").groupBy("query", "a", "b").agg(F.round(F.sum(F.col("wa") * F.col("wb")), DIGITS).alias("sim"))

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from facetspark import oracles
 from facetspark.functions import textkit
-from facetspark.operators import baselines, candidates, cluster, group, measures, present, propagate, relops, retrieve, select, similarity
+from facetspark.operators import baselines, candidates, cluster, group, measures, present, propagate, relops, retrieve, select, similarity, toolbox
 from facetspark.plans.pipeline import Commerce, Params, capped
 from facetspark.sources import worlds
 from facetspark.sources.storage import cut
@@ -341,6 +341,7 @@ register("x08_relevance_table", lambda c: measures.relevance(worlds.relevance_vo
 VOTES = {"votes": "SELECT lower(r_name) AS domain, lower(n_name) AS query, CASE l_returnflag WHEN 'R' THEN 'F' WHEN 'N' THEN 'E' ELSE 'A' END AS verdict FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey",
          "tally": "SELECT domain, query, count_if(verdict = 'F') AS f, count_if(verdict = 'E') AS e, count_if(verdict = 'A') AS a FROM votes GROUP BY ALL"}
 register("x09_preference_table", lambda c: measures.preference(worlds.preference_votes(c.t)), "SELECT domain, CAST(sum(f) AS BIGINT) AS f, CAST(sum(e) AS BIGINT) AS e, CAST(sum(a) AS BIGINT) AS a, count_if(f > a) AS qf, count_if(f = a) AS qe, count_if(a > f) AS qa FROM tally GROUP BY ROLLUP (domain)", extra=VOTES)
+register("udf_pandas_tail", lambda c: measures.paired_t(worlds.preference_votes(c.t)).select("queries", "mean", "t", toolbox.two_sided_p(F.col("t"), F.col("queries") - 1).alias("p")))
 register("x10_paired_t", lambda c: measures.paired_t(worlds.preference_votes(c.t)), "SELECT count(*) AS queries, round(avg(f - a), 6) AS mean, round(avg(f - a) / (stddev_samp(f - a) / sqrt(count(*))), 6) AS t FROM tally", extra=VOTES)
 
 
@@ -452,11 +453,133 @@ ORACLES["w19_class_mode_ablation"] = oracles.oracle("SELECT query, count(*) AS s
 register("x18_grouped_rate", lambda c: c.groups.groupBy("query").agg(F.max((F.col("kind") == "group").cast("int")).alias("g")).agg(F.count("*").alias("seeds"), F.sum("g").alias("grouped")), "SELECT count(*) AS seeds, CAST(sum(g) AS BIGINT) AS grouped FROM (SELECT query, max(CASE WHEN kind = 'group' THEN 1 ELSE 0 END) AS g FROM groups GROUP BY query)")
 variant("x18_grouped_rate_vote", lambda c: c.groups.groupBy("query").agg(F.max((F.col("kind") == "group").cast("int")).alias("g")).agg(F.count("*").alias("seeds"), F.sum("g").alias("grouped")), "SELECT count(*) AS seeds, CAST(sum(g) AS BIGINT) AS grouped FROM (SELECT query, max(CASE WHEN kind = 'group' THEN 1 ELSE 0 END) AS g FROM groups GROUP BY query)", ambiguity="vote")
 
+# --- systems side by side -------------------------------------------------------------------
+def _systems(c: Commerce) -> DataFrame:
+    """``system, query, rank, facet, posed``: the lists of the engine and of the three baselines."""
+    best = c.ranked.join(c.groups.select("query", "group_label", F.get("members", 0).alias("key")), ["query", "group_label"])
+    engine = best.join(c.pool.select("query", F.col("facet").alias("key"), "facet_query"), ["query", "key"]).select("query", "rank", textkit.label(F.col("group_label")).alias("facet"), F.col("facet_query").alias("posed"))
+    related = baselines.related(candidates.mine(c.log, c.seeds)).select("query", "rank", F.col("group_label").alias("facet"), F.col("group_label").alias("posed"))
+    words = _cluster_labels(c).select("query", "rank", F.col("group_label").alias("facet"), F.concat_ws(" ", "query", "group_label").alias("posed"))
+    nav = _navigational(c).withColumnRenamed("group_label", "facet")
+    nav = candidates.posed(nav, c.seeds).select("query", "rank", textkit.label(F.col("facet")).alias("facet"), F.col("facet_query").alias("posed"))
+    out = None
+    for name, rows in (("engine", engine), ("related", related), ("clusterlabels", words), ("navigational", nav)):
+        rows = rows.select(F.lit(name).alias("system"), "query", "rank", "facet", "posed")
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+_instead = lambda text: f"replace(replace({text}, '<q>', s.query), '<e>', s.entity)"
+SYSTEMS = NAV | _seed_sql(500) | SELECTED | {
+    "worded2": f"SELECT query, term, count(*) * ln((1 + any_value(n)) / (1 + any_value(df))) AS s FROM seed_hits JOIN postings USING (doc_id) JOIN terms USING (term), totals WHERE NOT list_contains({oracles.folded('query')}, term) GROUP BY query, term",
+    "list_engine": "SELECT r.query, r.rank, trim(replace(r.group_label, '<q>', '')) AS facet, p.facet_query AS posed FROM ranked r JOIN groups g ON g.query = r.query AND g.group_label = r.group_label JOIN pool p ON p.query = r.query AND p.facet = split_part(g.members, ',', 1)",
+    "list_related": f"SELECT query, rank, group_label AS facet, group_label AS posed FROM ({TOP.format(label='candidate', score='p_inst', table='cand')})",
+    "list_words": f"SELECT query, rank, group_label AS facet, query || ' ' || group_label AS posed FROM ({TOP.format(label='term', score='s', table='worded2')})",
+    "list_nav": f"SELECT t.query, rank, trim(replace(group_label, '<q>', '')) AS facet, {_instead('group_label')} AS posed FROM ({TOP.format(label='facet', score='p_class', table='led')}) t JOIN seeds s ON s.query = t.query",
+    "systems": "SELECT 'engine' AS system, * FROM list_engine UNION ALL SELECT 'related', * FROM list_related UNION ALL SELECT 'clusterlabels', * FROM list_words UNION ALL SELECT 'navigational', * FROM list_nav",
+}
+register("w01_systems_side_by_side", _systems, "SELECT system, query, rank, facet, posed FROM systems", extra=SYSTEMS)
+
+
+def _nsim_by_system(c: Commerce) -> DataFrame:
+    """Mean asim, isim and nsim of each system over the seeds where it has two facets or more."""
+    lists = cut(_systems(c), "systems")
+    hits = retrieve.top_hits(lists.select(F.col("posed").alias("query_text")), c.index, c.p.m)
+    pages = lists.join(hits, lists["posed"] == hits["query_text"]).select(F.concat_ws("|", "system", "query").alias("query"), "facet", "doc_id").distinct()
+    each = measures.orthogonality(measures.eval_sim(cut(pages, "pages"), _topics(c))).where("asim is not null")
+    return each.groupBy(F.split_part("query", F.lit("|"), F.lit(1)).alias("system")).agg(F.count("*").alias("seeds"), F.avg("asim").alias("asim"), F.avg("isim").alias("isim"), F.avg("nsim").alias("nsim"))
+
+
+register("w05_nsim_by_system", _nsim_by_system)
+
+
+def _suite(c: Commerce) -> DataFrame:
+    """Six seed sets, each with its 5 most and 5 least frequent names and 5 of the rest by hash; short sets are whole."""
+    freq = candidates.frequency(c.log)
+    sets = {"nation": c.t.nation.select(F.lower("n_name")), "part": c.t.part.select(F.lower("p_name")), "brand": c.t.part.select(F.lower("p_brand")), "supplier": c.t.supplier.select(F.lower("s_name")), "segment": c.t.customer.select(F.lower("c_mktsegment")), "nation and segment": c.seeds.select("query")}
+    rows = None
+    for name, names in sets.items():
+        one = names.toDF("query").distinct().select(F.lit(name).alias("domain"), "query")
+        rows = one if rows is None else rows.unionByName(one)
+    counted = rows.join(freq, "query", "left").withColumn("freq", F.coalesce("freq", F.lit(0)))
+    by = lambda *order: F.row_number().over(W.partitionBy("domain").orderBy(*order))
+    ends = counted.withColumn("high", by(F.col("freq").desc(), "query")).withColumn("low", by("freq", F.col("query").desc()))
+    kind = F.when(F.col("high") <= 5, "frequent").when(F.col("low") <= 5, "rare").otherwise("random")
+    drawn = ends.withColumn("stratum", kind).withColumn("turn", F.row_number().over(W.partitionBy("domain", "stratum").orderBy(F.md5("query"), "query")))
+    return drawn.where("turn <= 5").select("domain", "query", "stratum", "freq")
+
+
+SUITE = {"named6": "SELECT 'nation' AS domain, lower(n_name) AS query FROM nation UNION SELECT 'part', lower(p_name) FROM part UNION SELECT 'brand', lower(p_brand) FROM part UNION SELECT 'supplier', lower(s_name) FROM supplier UNION SELECT 'segment', lower(c_mktsegment) FROM customer UNION SELECT 'nation and segment', query FROM seeds",
+         "counted6": "SELECT domain, query, coalesce(freq, 0) AS freq, row_number() OVER (PARTITION BY domain ORDER BY coalesce(freq, 0) DESC, query) AS high, row_number() OVER (PARTITION BY domain ORDER BY coalesce(freq, 0), query DESC) AS low FROM named6 LEFT JOIN freq USING (query)",
+         "drawn6": "SELECT domain, query, freq, CASE WHEN high <= 5 THEN 'frequent' WHEN low <= 5 THEN 'rare' ELSE 'random' END AS stratum FROM counted6"}
+register("w04_test_suite", _suite, "SELECT domain, query, stratum, freq FROM drawn6 QUALIFY row_number() OVER (PARTITION BY domain, stratum ORDER BY md5(query), query) <= 5", extra=SUITE)
+
+
+def _side_by_side(c: Commerce) -> DataFrame:
+    """For each baseline and seed that both have: the two lists, cut to one length, on sides that a hash draws."""
+    lists = cut(_systems(c), "systems")
+    packed = lists.groupBy("system", "query").agg(F.transform(F.array_sort(F.collect_list(F.struct("rank", "facet"))), lambda x: x["facet"]).alias("items"))
+    mine = packed.where("system = 'engine'").select("query", F.col("items").alias("own"))
+    pairs = packed.where("system <> 'engine'").join(mine, "query").withColumn("n", F.least(F.size("own"), F.size("items")))
+    swap = F.substring(F.md5(F.concat_ws("|", "system", "query")), 1, 1) < "8"
+    own, other = F.array_join(F.slice("own", 1, F.col("n")), " | "), F.array_join(F.slice("items", 1, F.col("n")), " | ")
+    return pairs.select(F.col("system").alias("baseline"), "query", F.when(swap, "right").otherwise("left").alias("engine_side"), F.when(swap, other).otherwise(own).alias("left"), F.when(swap, own).otherwise(other).alias("right"))
+
+
+register("w08_side_by_side_lists", _side_by_side, """SELECT baseline, query, CASE WHEN swap THEN 'right' ELSE 'left' END AS engine_side, array_to_string(CASE WHEN swap THEN o ELSE e END, ' | ') AS left, array_to_string(CASE WHEN swap THEN e ELSE o END, ' | ') AS right FROM (
+    SELECT b.system AS baseline, b.query, left(md5(b.system || '|' || b.query), 1) < '8' AS swap, b.items[1:least(len(a.items), len(b.items))] AS o, a.items[1:least(len(a.items), len(b.items))] AS e FROM packed6 a JOIN packed6 b ON a.query = b.query WHERE a.system = 'engine' AND b.system <> 'engine')""",
+    extra=SYSTEMS | {"packed6": "SELECT system, query, list(facet ORDER BY rank, facet) AS items FROM systems GROUP BY ALL"})
+
+
+def _all_breadth(c: Commerce) -> DataFrame:
+    """Entities with a class-level facet over all classes, by frequency stratum and in total (null)."""
+    every = c.t.region.select(F.lower("r_name").alias("class"))
+    nav = baselines.navigational(propagate.class_scores(c.instance, c.nodes), c.nodes, every)
+    counted = c.seeds.select("query").join(candidates.frequency(c.log), "query", "left").withColumn("freq", F.coalesce("freq", F.lit(0)))
+    third = F.ntile(3).over(W.orderBy(F.col("freq").desc(), "query"))  # of the seeds, 125 names
+    return measures.breadth(nav, counted.select("query", F.element_at(F.array(F.lit("popular"), F.lit("middle"), F.lit("rare")), third).alias("stratum")))
+
+
+register("w11_navigational_breadth", _all_breadth, "SELECT stratum, count(*) AS entities, count(CASE WHEN query IN (SELECT query FROM led) THEN 1 END) AS covered FROM thirds GROUP BY ROLLUP (stratum)",
+    extra=NAV | {"led": NAV["led"].replace(" WHERE r_regionkey <= 1", ""), "thirds": "SELECT query, ['popular', 'middle', 'rare'][ntile(3) OVER (ORDER BY coalesce(freq, 0) DESC, query)] AS stratum FROM seeds LEFT JOIN freq USING (query)"})
+
+
+def _grouping_effect(spark: SparkSession, folder: str) -> DataFrame:
+    """For each seed that groups: entries of its list with and without grouping, and the entries in both."""
+    on, off = commerce(spark, folder), commerce(spark, folder, Params(grouping=False))
+    some = on.groups.where("kind = 'group'").select("query").distinct()
+    a, b = on.ranked.join(some, "query", "left_semi"), off.ranked.join(some, "query", "left_semi").select("query", "group_label", F.lit(1).alias("kept"))
+    return shaped(a.join(b, ["query", "group_label"], "full_outer").groupBy("query").agg(F.count("rank").alias("grouped"), F.count("kept").alias("plain"), F.count(F.when(F.col("rank").isNotNull() & F.col("kept").isNotNull(), 1)).alias("shared")))
+
+
+QUERIES["w15_grouping_effect"] = _grouping_effect
+register("w18_page_pairs", lambda c: similarity.doc_pairs(c.vectors).groupBy("query").agg(F.count("*").alias("pairs")), "SELECT query, count(*) AS pairs FROM pairs WHERE d1 <= d2 GROUP BY query")
+register("m22_kmeans", lambda c: cluster.kmeans_by_query(similarity.facet_vectors(c.hits, c.vectors)))
+register("m22_spectral", lambda c: cluster.spectral_by_query(c.pool, c.sim))
+
+
+def _clusterers(c: Commerce) -> DataFrame:
+    """Pairwise precision, recall and F of each way to cluster the facets."""
+    gold, out = _gold(c), None
+    ways = {"components": c.clusters, "star": cluster.star_cover(c.pool, cluster.threshold_edges(c.sim)).withColumnRenamed("center", "component"),
+            "kmeans": cluster.kmeans_by_query(similarity.facet_vectors(c.hits, c.vectors)).withColumnRenamed("cluster", "component"), "spectral": cluster.spectral_by_query(c.pool, c.sim).withColumnRenamed("cluster", "component")}
+    for name, found in ways.items():
+        row = measures.pair_f(found.select("query", "facet", "component"), gold).select(F.lit(name).alias("clusterer"), "precision", "recall", "f")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+register("b11_clusterers", _clusterers)
+
 # --- relational operators -------------------------------------------------------------------
 
 for _name, (_make, _sql) in relops.OPERATORS.items():
     QUERIES[_name] = lambda spark, folder, make=_make: make(worlds.Tables(spark, folder))
     ORACLES[_name] = _sql
+for _name, (_make, _sql) in toolbox.OPERATORS.items():
+    QUERIES[_name] = lambda spark, folder, make=_make: make(worlds.Tables(spark, folder))
+    if _sql:
+        ORACLES[_name] = _sql
 for _name, _make in relops.SKETCHES.items():
     QUERIES[_name] = lambda spark, folder, make=_make: make(worlds.Tables(spark, folder))
 
@@ -466,6 +589,11 @@ STREAMS = {
     "stream_tumbling": (logs.daily_counts, "SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS n FROM events GROUP BY 1"),
     "stream_dedupe": (logs.distinct_events, f"SELECT query, count(*) AS n FROM ({CLICKS}) GROUP BY query"),
     "stream_session": (logs.closed_sessions, None),
+    "stream_sliding": (logs.sliding_counts, "SELECT strftime(time_bucket(INTERVAL 6 HOURS, ts) - k * INTERVAL 6 HOURS, '%Y-%m-%d %H') AS start, count(*) AS n FROM events, range(0, 4) g(k) GROUP BY 1"),
+    "stream_static_join": (lambda spark, path: logs.segment_counts(spark, path, spark.read.parquet(path.replace("events.parquet", "customer.parquet"))), "SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1"),
+    "stream_interval_join": (logs.followed_events, f"SELECT a.event_id AS a, b.event_id AS b FROM {relops.EV} a JOIN {relops.EV} b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 2 HOUR WHERE a.k < 50 AND b.k >= 50"),
+    "stream_pairs": (logs.next_queries, f"SELECT query, next, count(*) AS n FROM (SELECT query, lead(query) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS next FROM ({CLICKS})) WHERE next <> query GROUP BY ALL"),
+    "stream_late": (logs.late_rows, "SELECT count(*) AS counted, 3 AS dropped FROM events"),
 }
 for _name, (_make, _sql) in STREAMS.items():
     QUERIES[_name] = lambda spark, folder, make=_make: make(spark, f"{folder}/events.parquet")

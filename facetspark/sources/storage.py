@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -17,6 +19,22 @@ def scratch(spark: SparkSession, label: str) -> str:
     return f"{base.rstrip('/')}/facets/{label}-{uuid.uuid4().hex}"
 
 
+_shipped: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Give the executors this package, once per application: user functions are found there by name."""
+    if spark.sparkContext.applicationId in _shipped:
+        return
+    root = Path(__file__).resolve().parents[1]
+    target = Path(tempfile.mkdtemp(prefix="facetspark-library-")) / "facetspark-library.zip"
+    with zipfile.ZipFile(target, "w") as z:
+        for f in sorted(root.rglob("*.py")):
+            z.write(f, f.relative_to(root.parent))
+    spark.sparkContext.addPyFile(str(target))
+    _shipped.add(spark.sparkContext.applicationId)
+
+
 def cut(df: DataFrame, label: str) -> DataFrame:
     """Write the rows once and read them back: later plans start from a table, and survive lost executors."""
     path = scratch(df.sparkSession, label)

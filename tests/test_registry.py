@@ -11,7 +11,7 @@ from facetspark import registry
 from facetspark.operators import candidates
 
 FOLDER = "/root/testdata/sf0.001"
-PICKED = [n for n in registry.ORACLES if n.startswith(("m02", "m03", "m05", "m07", "m1", "m20", "m23", "m24", "x09", "x13", "join", "agg", "win", "set", "fn", "stream_inc"))]
+PICKED = [n for n in registry.ORACLES if n.startswith(("m02", "m03", "m05", "m07", "m1", "m20", "m23", "m24", "x09", "x13", "join", "agg", "win", "set", "fn", "stream_inc", "round", "udf", "udaf", "udtf", "text", "w01", "w04", "w08", "w11", "b0"))]
 
 
 @pytest.fixture(scope="module")
@@ -53,3 +53,28 @@ def test_sketch_error(spark):
     est = {r["event_type"]: r["users"] for r in registry.QUERIES["sketch_hll_users"](spark, FOLDER).collect()}
     exact = dict(duckdb.sql(f"SELECT event_type, count(DISTINCT user_id) FROM '{FOLDER}/events.parquet' GROUP BY 1").fetchall())
     assert all(abs(est[k] - exact[k]) <= 0.05 * exact[k] + 1 for k in exact)
+
+
+def test_count_min_bounds(spark):
+    from facetspark.operators.toolbox import count_min
+    from facetspark.sources.worlds import click_log, Tables
+
+    log = click_log(Tables(spark, FOLDER))
+    exact = {r["query"]: r["count"] for r in log.groupBy("query").count().collect()}
+    got = {r["query"]: r["estimate"] for r in count_min(log, "query", width=256).collect()}
+    assert got.keys() == exact.keys() and all(exact[k] <= got[k] <= exact[k] + 2.72 / 256 * sum(exact.values()) for k in exact)
+
+
+def test_kll_and_theta_bounds(spark):
+    for r in registry.QUERIES["sketch_kll_prices"](spark, FOLDER).collect():
+        values = [x[0] for x in duckdb.sql(f"SELECT o_totalprice FROM '{FOLDER}/orders.parquet' WHERE o_orderstatus = '{r['o_orderstatus']}'").fetchall()]
+        for q in (25, 50, 75):
+            assert abs(sum(v <= r[f"q{q}"] for v in values) / len(values) - q / 100) < 0.03
+    users = {k: set(v) for k, v in duckdb.sql(f"SELECT event_type, list(user_id) FROM '{FOLDER}/events.parquet' GROUP BY 1").fetchall()}
+    for r in registry.QUERIES["sketch_theta_overlap"](spark, FOLDER).collect():
+        assert abs(r["common"] - len(users[r["a"]] & users[r["b"]])) <= 0.05 * len(users[r["a"]] | users[r["b"]]) + 1
+
+
+def test_p_value(spark):
+    got = registry.QUERIES["udf_pandas_tail"](spark, FOLDER).first()
+    assert 0 <= got["p"] <= 1
