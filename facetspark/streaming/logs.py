@@ -123,13 +123,14 @@ def next_queries(spark: SparkSession, path: str) -> DataFrame:
 def late_rows(spark: SparkSession, path: str) -> DataFrame:
     """``counted, dropped``: rows that windows take in, and rows behind the watermark that they do not.
 
-    The input is the events, then three of them again, a year older than the last: they come too late.
+    The input is the events, then three of them again, a year and more older than the last, on three days:
+    they come too late.
     """
     source = scratch(spark, "late")
     events = spark.read.parquet(path).select("event_id", F.col("ts").cast("timestamp").alias("ts"))
     events.repartition(1).write.parquet(f"{source}/part=1")
     last = events.agg(F.max("ts").alias("last"))
-    older = events.orderBy("event_id").limit(3).crossJoin(last).select("event_id", (F.col("last") - F.expr("INTERVAL 365 DAYS")).alias("ts"))
+    older = events.orderBy("event_id").limit(3).crossJoin(last).select("event_id", F.expr("last - make_dt_interval(365 + cast(2 * event_id as int))").alias("ts"))
     stream = spark.readStream.schema("event_id long, ts timestamp, part int").option("maxFilesPerTrigger", 1).parquet(source)
     state = scratch(spark, "late-state")
 
