@@ -91,6 +91,8 @@ def _routed(p: RepeatParams):
             anchor, content, ids, start, width = (np.concatenate(x) for x in zip(*parts, strict=True))
             order = np.lexsort((start, ids, content, anchor))
             anchor, content, ids, start, width = (x[order] for x in (anchor, content, ids, start, width))
+            twin = ~_runs(anchor, content, ids, start)  # rows that repeat id and text
+            anchor, content, ids, start, width = (x[~twin] for x in (anchor, content, ids, start, width))
             settled = np.zeros(len(anchor), bool)
             settled[1:] = (anchor[1:] == anchor[:-1]) & (content[1:] == content[:-1])
             route = np.where(settled, flat.mix(ids.astype(np.uint64) + start.astype(np.uint64)), flat.mix(anchor))
@@ -129,7 +131,10 @@ def _judged(batches) -> Iterator[pa.RecordBatch]:
             kinds = np.bincount(group, weights=new_content)
             shared = kinds[group] > 1
             is_open = new_content & shared
+            # a row that repeats the first one is that very place, not a later copy
             gone = ~new_content
+            lead = np.flatnonzero(new_content)[np.cumsum(new_content) - 1]
+            gone &= (ids != ids[lead]) | (start != start[lead])
             last = np.flatnonzero(new_content & (group == group[-1]))
             skip = np.zeros(len(anchor), bool)
             if held:
@@ -243,8 +248,12 @@ def _first_in_bundle(p: RepeatParams):
         doc, begin = np.asarray(ids)[which], np.asarray(begins)[which] + found - at[which]
         group = np.cumsum(~same)
         order = np.lexsort((begin, doc, group))
-        later = ~_runs(group[order])
-        doc, begin = doc[order][later], begin[order][later]
+        doc, begin, fresh = doc[order], begin[order], _runs(group[order])
+        lead = np.flatnonzero(fresh)[np.cumsum(fresh) - 1]
+        later = ~fresh & ((doc != doc[lead]) | (begin != begin[lead]))
+        doc, begin = doc[later], begin[later]
+        if not len(doc):
+            return
         order = np.lexsort((begin, doc))
         doc, begin = doc[order], begin[order]
         fresh = np.ones(len(doc), bool)
@@ -322,8 +331,9 @@ def remove_repeated_bytes(documents: DataFrame, p: RepeatParams = RepeatParams()
     A byte goes if a string of ``length`` bytes that covers it also starts earlier: in a
     smaller ``doc_id``, or earlier in its document. ``spans`` are the maximal removed byte
     ranges. A null text is empty. Rows without ``doc_id`` are returned untouched and are
-    nobody's earlier copy. ``doc_id`` must be unique: rows that repeat one share their
-    removals. An empty table gives an empty result.
+    nobody's earlier copy. Rows that repeat id and text are one document, returned each time;
+    rows that repeat an id with another text share their removals. An empty table gives an
+    empty result.
     """
     spans = repeated_spans(documents, p).groupBy("doc_id").agg(F.collect_list(F.struct("start", "width")).alias("spans"))
     texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
