@@ -30,10 +30,14 @@ UPPER = np.zeros(256, bool)
 UPPER[65:91] = True
 LETTER = UPPER.copy()
 LETTER[97:123] = True
+MARK = np.zeros(256, bool)  # ASCII marks
+MARK[[*range(33, 48), *range(58, 65), *range(91, 97), *range(123, 127)]] = True
+SPOKEN = LETTER.copy()  # bytes of letters, and of all characters beyond ASCII
+SPOKEN[128:] = True
 ENDING = np.zeros(256, bool)
 ENDING[list(b".!?\"')")] = True
 
-COUNTS = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_lines long, n_ended_lines long, n_letters long, n_upper long, n_distinct long"
+COUNTS = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_lines long, n_ended_lines long, n_letters long, n_upper long, n_distinct long, n_marks long, n_mute_words long"
 NAMES = [x.split()[0] for x in COUNTS.split(", ")]
 
 
@@ -55,6 +59,8 @@ class Rule:
 
 RULES = (
     Rule("symbols", "n_symbols", "n_words", (0, 0.02), (0, 0.1)),
+    Rule("marks", "n_marks", "word_chars", (0, 0.06), (0, 0.1)),
+    Rule("mute_words", "n_mute_words", "n_words", (0, 0.1), (0, 0.3)),
     Rule("word_length", "word_chars", "n_words", (3, 9), (2, 14)),
     Rule("repeated_lines", "n_dup_lines", "n_lines", (0, 0.05), (0, 0.3)),
     Rule("repeated_words", "n_repeat_words", "n_words", (0, 0.1), (0, 0.3)),
@@ -104,6 +110,7 @@ def count_text(column: pa.Array) -> dict[str, np.ndarray]:
     last_word = end[np.searchsorted(start, l_end) - 1] - 1
     ended = np.bincount(l_doc[ENDING[s.buf[last_word]]], minlength=s.docs)
     in_word = ~flat.IS_SPACE[s.buf]
+    spoken = np.concatenate([[0], np.cumsum(SPOKEN[s.buf])])
     return dict(
         n_words=n_words,
         word_chars=per_doc(in_word & ~CONTINUES[s.buf]),
@@ -115,6 +122,8 @@ def count_text(column: pa.Array) -> dict[str, np.ndarray]:
         n_letters=per_doc(LETTER[s.buf]),
         n_upper=per_doc(UPPER[s.buf]),
         n_distinct=n_distinct,
+        n_marks=per_doc(MARK[s.buf]),
+        n_mute_words=np.bincount(doc[spoken[end] == spoken[start]], minlength=s.docs),
     )
 
 
@@ -125,15 +134,13 @@ def _counted(batches):
             yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(counts[n].astype(np.int64)) for n in NAMES)], ["doc_id", *NAMES])
 
 
-def estimate(patterns: list[tuple[tuple[int, ...], int]], rules: int, false_alarm: float = 0.002, catch: float = 0.15, miss: float = 0.7, rounds: int = 500, tolerance: float = 1e-10) -> tuple[float, np.ndarray]:
+def estimate(patterns: list[tuple[tuple[int, ...], int]], rules: int, rounds: int = 500, tolerance: float = 1e-10) -> tuple[float, np.ndarray]:
     """Share of good texts, and per class, rule and vote how often that vote is cast.
 
-    Returns ``(good, rate)`` with ``rate[c, j, v + 1]`` for class c (0 bad, 1 good). A rule may
-    miss most bad texts and still be right whenever it votes bad, so its accuracy is kept per
-    class. Texts fail in unlike ways, each seen by one rule or two; without a constraint the
-    classes would follow the largest such way. So no rule may accuse more than ``false_alarm``
-    of the good class, and every rule accuses at least ``catch``, and passes at least ``miss``,
-    of the bad class.
+    Returns ``(good, rate)`` with ``rate[c, j, v + 1]`` for class c (0 bad, 1 good), by expectation
+    maximisation without bounds; half a vote of each kind keeps rates off zero. The start says
+    only that rules accuse bad texts more often than good ones. The classes follow the defect
+    that several rules see together; a defect that one rule alone sees does not make a class.
     """
     rate = np.empty((2, rules, 3))
     rate[0], rate[1] = (0.35, 0.15, 0.5), (0.02, 0.08, 0.9)
@@ -147,15 +154,9 @@ def estimate(patterns: list[tuple[tuple[int, ...], int]], rules: int, false_alar
         like = np.exp(np.log(rate)[:, np.arange(rules), votes].sum(2)) * np.array([1 - good, good])[:, None]
         post = like[1] / like.sum(0)
         sizes = np.stack([(1 - post) * weight, post * weight])
-        fresh = np.einsum("cp,pjv->cjv", sizes, cast) + np.array([[[0.7, 0.3, 1.0]], [[0.02, 0.08, 1.9]]])
+        fresh = np.einsum("cp,pjv->cjv", sizes, cast) + 0.5
         fresh /= fresh.sum(2, keepdims=True)
-        accused = np.minimum(fresh[1, :, 0], false_alarm)
-        fresh[1, :, 1:] *= ((1 - accused) / fresh[1, :, 1:].sum(1))[:, None]
-        fresh[1, :, 0] = accused
-        fresh[0, :, 0] = np.clip(fresh[0, :, 0], catch, 1 - miss - 0.02)
-        fresh[0, :, 2] = np.clip(fresh[0, :, 2], miss, 1 - fresh[0, :, 0] - 0.01)
-        fresh[0, :, 1] = 1 - fresh[0, :, 0] - fresh[0, :, 2]
-        new_good = min(max((sizes[1].sum() + 1.6) / (weight.sum() + 2), 0.01), 0.99)
+        new_good = (sizes[1].sum() + 1) / (weight.sum() + 2)
         moved = max(np.abs(fresh - rate).max(), abs(new_good - good))
         good, rate = float(new_good), fresh
         if moved < tolerance:

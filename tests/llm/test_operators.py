@@ -98,11 +98,20 @@ def test_quality_counts(docs):
     assert all(not r["kept"] for r in got.values() if r["base_failed"])
 
 
-def test_label_model_rejects_what_one_rule_sees():
-    patterns = [((1, 1, 1, 1), 900), ((-1, 1, 1, 1), 40), ((1, 1, -1, -1), 60)]
-    good, rate = quality_rules.estimate(patterns, 4)
-    assert 0.8 < good < 0.95
-    assert (rate[1, :, 0] < rate[0, :, 0]).all()
+def test_label_model_follows_rules_that_agree():
+    """Three rules see one defect, a fourth errs at random: its vote alone does not condemn a text."""
+    rng = random.Random(8)
+    patterns, truth = Counter(), []
+    for _ in range(4000):
+        bad = rng.random() < 0.15
+        votes = tuple(-1 if rng.random() < (0.8 if bad else 0.02) else 1 for _ in range(3)) + (-1 if rng.random() < 0.1 else 1,)
+        patterns[votes] += 1
+        truth.append((bad, votes))
+    good, rate = quality_rules.estimate(sorted(patterns.items()), 4)
+    assert abs(good - 0.85) < 0.03 and np.abs(rate[0, :3, 0] - 0.8).max() < 0.06 and np.abs(rate[1, :3, 0] - 0.02).max() < 0.02
+    posterior = lambda v: 1 / (1 + (1 - good) / good * math.prod(rate[0, j, x + 1] / rate[1, j, x + 1] for j, x in enumerate(v)))
+    assert posterior((1, 1, 1, -1)) > 0.9 and posterior((-1, 1, 1, 1)) > 0.5 and posterior((-1, -1, 1, 1)) < 0.5
+    assert sum((posterior(v) < 0.5) != bad for bad, v in truth) < 0.05 * len(truth)
 
 
 def test_ordinal_model_orders_grades(spark):
