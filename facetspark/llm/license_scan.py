@@ -124,14 +124,14 @@ def scan_licenses(documents: DataFrame, p: LicenseParams = LicenseParams(), temp
     high = {n: floor((2 - p.dice) / p.dice * len(s) + 1e-9) for n, s in sets.items()}
     least, most = max(1, min(low.values())), max(high.values())
     marks = marking_words(sets, low, p.dice)
-    marked = lambda u: reduce(or_, (F.contains(F.lower(u), F.lit(w)) for w in marks))
-    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    # bound by a lambda, the lowered text is made once and not once for each word
+    marked = lambda u: F.transform(F.array(F.lower(u)), lambda t: reduce(or_, (F.contains(t, F.lit(w)) for w in marks)))[0]
     none = F.array().cast("array<string>")
-    lines = F.split(text, "\n")
-    paragraphs = F.split(text, "\n[ \t\r]*\n")
-    units = F.concat(lines, F.when(F.size(paragraphs) > 1, paragraphs).otherwise(none), F.when(F.size(lines) > 1, F.array(text)).otherwise(none))
-    several = F.when(marked(text) & (F.size(paragraphs) > 1), paragraphs).otherwise(none)
-    shape = documents.select(F.col("doc_id"), F.when(marked(text), F.filter(units, marked)).otherwise(none).alias("units"), several.alias("paragraphs"))
+    texts = documents.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("hit", marked(F.col("text")))
+    lines, paragraphs = F.split("text", "\n"), F.split("text", "\n[ \t\r]*\n")
+    units = F.concat(lines, F.when(F.size(paragraphs) > 1, paragraphs).otherwise(none), F.when(F.size(lines) > 1, F.array("text")).otherwise(none))
+    several = F.when(F.col("hit") & (F.size(paragraphs) > 1), paragraphs).otherwise(none)
+    shape = texts.select("doc_id", F.when(F.col("hit"), F.filter(units, marked)).otherwise(none).alias("units"), several.alias("paragraphs"))
     all_grams = F.concat(F.transform("units", lambda u: bigrams_of(words_of(u))), _runs(F.col("paragraphs"), most))
     grams = shape.select("doc_id", F.filter(all_grams, lambda g: (F.size(g) >= least) & (F.size(g) <= most)).alias("grams"))
     scores = []
