@@ -1,9 +1,10 @@
 """Deterministic, sharded WARC writer and reader.
 
-Records are dealt into ranges of ``page_id`` of about equal payload size, sorted inside a
-range, and written to files that roll at a compressed size. Range bounds come from a fixed
-number of equal-width cells, so they depend on the data alone. Every record is its own gzip
-member; headers and digests are made anew. Of records with equal payloads the one with the
+Records are dealt into ranges of ``(page_id, payload digest)`` of about equal payload size,
+sorted inside a range, and written to files that roll at a compressed size. Range bounds are
+weighted quantiles of keys that a hash of the key picks in proportion to their bytes, so they
+depend on the data alone, neither on gaps between ids nor on partitions; a ``page_id`` with many
+payloads is split. Every record is its own gzip member; headers and digests are made anew. Of records with equal payloads the one with the
 smallest ``page_id`` is a ``response``, the others are ``revisit`` records that refer to it.
 
 Tasks write under temporary names that hold the attempt, so lost or repeated attempts do no
@@ -22,23 +23,31 @@ import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
+import pandas as pd
 import pyarrow as pa
+from pyarrow.fs import FileSelector
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from facetspark.llm.store import fresh_path, ship
+from facetspark.llm.store import discard, fresh_path, ship, written
 
 END = b"\r\n\r\n"
 
 
 @dataclass(frozen=True)
 class WarcParams:
-    """``least_bytes``: smaller payloads are always responses. Times are fixed for determinism."""
+    """``least_bytes``: smaller payloads are always responses. Times are fixed for determinism.
+
+    A range holds about ``shard_bytes``, more where that would make over ``max_shards`` ranges;
+    about ``bound_keys`` keys come to the driver to set the bounds.
+    """
 
     shard_bytes: int = 24_000_000
     roll_bytes: int = 8_000_000
-    cells: int = 4096
+    max_shards: int = 4096
+    bound_keys: int = 60_000
     least_bytes: int = 0
     date: str = "2024-01-01T00:00:00Z"
     level: int = 6
@@ -109,6 +118,13 @@ def read_records(data: Iterator[bytes]) -> Iterator[tuple[dict[str, str], bytes]
         raise ValueError("the file ends inside a record")
 
 
+def _told(chunks: Iterator[bytes], total) -> Iterator[bytes]:
+    """The chunks as they are, each added to a running digest."""
+    for chunk in chunks:
+        total.update(chunk)
+        yield chunk
+
+
 WRITTEN = "shard int, part int, temporary string, records long, bytes long, sha256 string"
 
 
@@ -147,16 +163,14 @@ def _writer(folder: str, p: WarcParams):
             count += 1
 
         name = None
-        told: tuple = (None, {})  # rows of a page are preceded by rows that say to what its payloads refer
+        told: tuple = (None, None)  # the rows of a payload are preceded by one that says to what it refers
         for batch in batches:
-            for s, page_id, kind, url, html, digest, refers_to in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if told[0] != page_id:
-                    told = (page_id, {})
+            for s, page_id, kind, url, html, digest, size_of, refers_to in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                key = page_id, digest, size_of
                 if kind == 0:
-                    told[1][digest] = refers_to
-                    continue
-                payload = (html or "").encode()
-                put((s, page_id, url, payload, payload_digest(payload), told[1].get(f"{hashlib.sha1(payload).hexdigest()}:{len(payload)}") if told[1] else None))
+                    told = (key, refers_to)
+                else:
+                    put((s, page_id, url, (html or "").encode(), base64.b32encode(digest).decode(), told[1] if told[0] == key else None))
         close()
         kinds = [pa.int32(), pa.int32(), pa.string(), pa.int64(), pa.int64(), pa.string()]
         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*files, strict=True) if files else [[]] * 6, kinds, strict=True)], names)
@@ -164,47 +178,86 @@ def _writer(folder: str, p: WarcParams):
     return run
 
 
+#: The leading bits of a payload's digest: orders the payloads of one page.
+TIE = "cast(conv(substring(hex(digest), 1, 15), 16, 10) as long)"
+
+
+def _bounds(keys: DataFrame, p: WarcParams) -> list[tuple[int, int]]:
+    """First keys of all ranges but the lowest: quantiles of ``(page_id, TIE)`` weighted by bytes.
+
+    A key of weight w stands for max(w, step) bytes and is picked with probability min(1, w / step),
+    by its hash; step is the total over ``bound_keys``.
+    """
+    weight = (F.col("size") + 400) * F.col("n")
+    total = int(keys.agg(F.sum(weight)).first()[0] or 0)
+    share = max(p.shard_bytes, -(-total // p.max_shards))
+    if total <= share:
+        return []
+    step = max(1, total // p.bound_keys)
+    draw = F.pmod(F.xxhash64("page_id", "digest", "size"), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    picked = keys.select("page_id", F.expr(TIE).alias("tie"), weight.alias("weight"), draw.alias("draw")).where(F.col("draw") * step < F.col("weight"))
+    bounds, filled = [], 0
+    for page_id, tie, w in sorted(tuple(r) for r in picked.select("page_id", "tie", "weight").collect()):
+        w = max(w, step)
+        if filled and filled + w > share and (page_id, tie) not in bounds[-1:]:
+            bounds.append((page_id, tie))
+            filled = 0
+        filled += w
+    return bounds
+
+
+def _shard_of(bounds: list[tuple[int, int]]):
+    """The number of bounds at or below a key."""
+    ids, ties = (np.array([b[i] for b in bounds], dtype=np.int64) for i in (0, 1))
+
+    def place(page_id: pd.Series, tie: pd.Series) -> pd.Series:
+        page, rest = page_id.to_numpy(), tie.to_numpy()
+        low, high = np.searchsorted(ids, page, "left"), np.searchsorted(ids, page, "right")
+        out = low.copy()
+        inside = np.flatnonzero(low < high)
+        for start in np.unique(low[inside]):  # ids that bounds split
+            own = inside[low[inside] == start]
+            out[own] += np.searchsorted(ties[start : high[own[0]]], rest[own], "right")
+        return pd.Series(out.astype(np.int32))
+
+    return F.pandas_udf(place, "int")
+
+
 def write_archive(pages: DataFrame, folder: str, p: WarcParams = WarcParams()) -> str:
     """Write ``page_id, url, html`` rows as WARC files under ``folder``; returns the manifest's path.
 
     A null html is an empty payload, a null url is written as ``about:blank``. Rows without
     ``page_id`` cannot be named and are left out; rows that repeat a ``page_id`` are all
-    written. An empty table gives a manifest without files.
+    written, and refer only to a smaller page's equal payload. An empty table gives a manifest
+    without files; other columns are not looked at. What failed attempts left is removed.
     """
     spark = pages.sparkSession
     ship(spark)
     fs, root = file_system(folder)
     fs.create_dir(root, recursive=True)
+    html = F.coalesce(F.col("html").cast("string"), F.lit(""))
     rows = pages.where("page_id is not null").select(
         F.col("page_id").cast("long").alias("page_id"),
         F.col("url").cast("string").alias("url"),
-        F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html"),
+        html.alias("html"),
+        F.unhex(F.sha1(html.cast("binary"))).alias("digest"),
+        F.octet_length(html).cast("long").alias("size"),
     )
-    light = rows.select("page_id", F.sha1("html").alias("digest"), F.octet_length("html").alias("size"))
-    ends = rows.agg(F.min("page_id"), F.max("page_id")).first()
-    low, high = (ends[0] or 0), (ends[1] or 0)
-    width = (high - low) // p.cells + 1
-    cell = F.floor((F.col("page_id") - F.lit(low)) / F.lit(width)).cast("int")
-    weights = dict(rows.groupBy(cell.alias("cell")).agg(F.sum(F.octet_length("html") + 400)).collect())  # p.cells rows at most
-    shard_of, shard, filled = [], 0, 0
-    for c in range(p.cells):
-        if filled and filled + weights.get(c, 0) > p.shard_bytes:
-            shard, filled = shard + 1, 0
-        shard_of.append((c, shard))
-        filled += weights.get(c, 0)
-    cells = spark.createDataFrame(shard_of, "cell int, shard int")
-
-    # what each page refers to: equal payloads are found by digest and size, without their text
-    firsts = light.where(F.col("size") >= p.least_bytes).groupBy("digest", "size").agg(F.min("page_id").alias("first"), F.count("*").alias("n")).where("n > 1")
-    refers = light.join(firsts, ["digest", "size"]).where("page_id <> first").select("page_id", F.concat_ws(":", "digest", "size").alias("digest"), F.col("first").alias("refers_to")).distinct()
-    # pages and what they refer to travel in one shuffle and meet in the writer
+    keys = written(rows.groupBy("page_id", "digest", "size").agg(F.count("*").alias("n")), "warc-keys")
+    bounds = _bounds(keys, p)
+
+    # what each payload refers to: equal payloads are found by digest and size, without their text
+    firsts = keys.where(F.col("size") >= p.least_bytes).groupBy("digest", "size").agg(F.min("page_id").alias("first"), F.count("*").alias("pages")).where("pages > 1")
+    refers = keys.join(firsts, ["digest", "size"]).where("page_id <> first").select("page_id", "digest", "size", F.col("first").alias("refers_to"))
+    # records and what they refer to travel in one shuffle and meet in the writer
     null = F.lit(None).cast("string")
-    both = rows.select("page_id", F.lit(1).alias("kind"), "url", "html", null.alias("digest"), F.lit(None).cast("long").alias("refers_to")).unionByName(
-        refers.select("page_id", F.lit(0).alias("kind"), null.alias("url"), null.alias("html"), "digest", "refers_to")
+    both = rows.select("page_id", F.lit(1).alias("kind"), "url", "html", "digest", "size", F.lit(None).cast("long").alias("refers_to")).unionByName(
+        refers.select("page_id", F.lit(0).alias("kind"), null.alias("url"), null.alias("html"), "digest", "size", "refers_to")
     )
-    placed = both.withColumn("cell", cell).join(F.broadcast(cells), "cell")
-    sorted_rows = placed.select("shard", "page_id", "kind", "url", "html", "digest", "refers_to").repartition(shard + 1, "shard").sortWithinPartitions("shard", "page_id", "kind", "url", "html")
+    placed = both.select(_shard_of(bounds)("page_id", F.expr(TIE)).alias("shard"), "page_id", "kind", "url", "html", "digest", "size", "refers_to")
+    sorted_rows = placed.repartitionById(len(bounds) + 1, F.col("shard")).sortWithinPartitions("shard", "page_id", "digest", "size", "kind", "url")
     done = sorted(sorted_rows.mapInArrow(_writer(folder, p), WRITTEN).collect())  # one row per file
+    discard(keys)
     files = []
     for f in done:
         final = f"part-{f['shard']:06d}-{f['part']:05d}.warc.gz"
@@ -214,6 +267,9 @@ def write_archive(pages: DataFrame, folder: str, p: WarcParams = WarcParams()) -
     with fs.open_output_stream(f"{root}/_manifest.tmp") as out:
         out.write(manifest.encode())
     fs.move(f"{root}/_manifest.tmp", f"{root}/manifest.json")
+    for left in fs.get_file_info(FileSelector(root)):
+        if left.base_name.startswith("_temporary-"):
+            fs.delete_file(left.path)
     return f"{folder}/manifest.json"
 
 
@@ -221,7 +277,7 @@ RECORDS = "page_id long, url string, payload_bytes long, payload_digest string,
 
 
 def read_archive(spark: SparkSession, folder: str) -> DataFrame:
-    """Every record of a committed archive; digests of responses are checked against their payload.
+    """Every record of a committed archive; files are checked against the manifest, blocks and responses against their digests.
 
     A revisit's size and digest are those of the full payload, which its headers hold.
     """
@@ -246,14 +302,16 @@ def read_archive(spark: SparkSession, folder: str) -> DataFrame:
     def run(batches):
         fs, root = file_system(folder)
         for batch in batches:
-            for name in batch.column(0).to_pylist():
-                rows = []
+            for name, sha256 in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                rows, total = [], hashlib.sha256()
                 with fs.open_input_stream(f"{root}/{name}", compression=None) as f:
-                    for headers, block in read_records(iter(lambda: f.read(1 << 20), b"")):
+                    for headers, block in read_records(_told(iter(lambda: f.read(1 << 20), b""), total)):
                         rows.append(parse(headers, block))
                         if len(rows) == 5000:
                             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
                             rows = []
+                if total.hexdigest() != sha256:
+                    raise ValueError(f"{name} differs from the manifest")
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
 
