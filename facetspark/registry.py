@@ -335,6 +335,21 @@ for k in (1, 8):
     register(f"w06_overlap_curve_k{k}", lambda c, k=k: _overlaps(c, k), OVER.format(k=k), TEN, extra=_seed_sql(500) | SELECTED | POPULAR, n=10)
 register("x07_new_information", lambda c: measures.overlap(_selected_hits(c), _seed_hits(c, 500), 8, 500).select("query", (1 - F.col("overlap")).alias("new_share")),
     "SELECT h.query, round(1 - count(s.doc_id) / count(*), 6) AS new_share FROM (SELECT DISTINCT query, doc_id FROM chosen_hits) h LEFT JOIN seed_hits s ON s.query = h.query AND s.doc_id = h.doc_id GROUP BY h.query", TEN, extra=_seed_sql(500) | SELECTED, n=10)
+
+
+def _relevance_sample(c: Commerce) -> DataFrame:
+    """What the raters of a seed see: of its facets' first pages two that its 500 results hold and two that they do not, drawn by hash, and its top five."""
+    seed = cut(_seed_hits(c, 500), "seed-hits")
+    first = _selected_hits(c).where("rank = 1").select("query", "doc_id").distinct()
+    held = first.join(seed.select("query", "doc_id", F.lit("covered").alias("role")), ["query", "doc_id"], "left").withColumn("role", F.coalesce("role", F.lit("uncovered")))
+    turn = F.row_number().over(W.partitionBy("query", "role").orderBy(F.md5(F.concat_ws("|", "query", "doc_id")), "doc_id"))
+    rated = held.withColumn("turn", turn).where("turn <= 2").select("query", "role", "doc_id")
+    return rated.unionByName(seed.where("rank <= 5").select("query", F.lit("context").alias("role"), "doc_id"))
+
+
+register("w07_relevance_sample", _relevance_sample, """SELECT query, role, doc_id FROM (SELECT query, doc_id, CASE WHEN s.rank IS NULL THEN 'uncovered' ELSE 'covered' END AS role FROM
+    (SELECT DISTINCT query, doc_id FROM chosen_hits WHERE rank = 1) h LEFT JOIN seed_hits s USING (query, doc_id)) QUALIFY row_number() OVER (PARTITION BY query, role ORDER BY md5(query || '|' || doc_id), doc_id) <= 2
+    UNION ALL SELECT query, 'context', doc_id FROM seed_hits WHERE rank <= 5""", TEN, extra=_seed_sql(500) | SELECTED)
 RELEVANT = {"judged": "SELECT lower(p_type) AS domain, l_partkey AS url, p_size <= 25 AS covered, l_linestatus = 'F' AS yes FROM lineitem JOIN part ON l_partkey = p_partkey",
             "per_page": "SELECT covered, domain, url, count_if(yes) AS y, count_if(NOT yes) AS n FROM judged GROUP BY ALL"}
 register("x08_relevance_table", lambda c: measures.relevance(worlds.relevance_votes(c.t)), "SELECT covered, domain, CAST(sum(y) AS BIGINT) AS yes, CAST(sum(n) AS BIGINT) AS no, count_if(y > n) AS pages_yes, count_if(y <= n) AS pages_no FROM per_page GROUP BY GROUPING SETS ((covered, domain), (covered))", extra=RELEVANT)
@@ -554,6 +569,18 @@ def _grouping_effect(spark: SparkSession, folder: str) -> DataFrame:
 
 QUERIES["w15_grouping_effect"] = _grouping_effect
 register("w18_page_pairs", lambda c: similarity.doc_pairs(c.vectors).groupBy("query").agg(F.count("*").alias("pairs")), "SELECT query, count(*) AS pairs FROM pairs WHERE d1 <= d2 GROUP BY query")
+
+
+def _cost_counters(c: Commerce) -> DataFrame:
+    """Rows that each stage hands on: scored candidates, capped facets, pages, compared page pairs."""
+    out = None
+    for stage, rows in (("candidates", c.instance), ("facets", c.pool), ("pages", c.hits), ("page_pairs", similarity.doc_pairs(c.vectors))):
+        row = rows.agg(F.lit(stage).alias("stage"), F.count("*").alias("rows"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+register("x19_cost_counters", _cost_counters, "SELECT 'candidates' AS stage, count(*) AS rows FROM inst UNION ALL SELECT 'facets', count(*) FROM pool UNION ALL SELECT 'pages', count(*) FROM hits UNION ALL SELECT 'page_pairs', count(*) FROM pairs WHERE d1 <= d2")
 register("m22_kmeans", lambda c: cluster.kmeans_by_query(similarity.facet_vectors(c.hits, c.vectors)))
 register("m22_spectral", lambda c: cluster.spectral_by_query(c.pool, c.sim))
 

@@ -12,7 +12,7 @@ from facetspark.operators import candidates
 
 FOLDER = "/root/testdata/sf0.001"
 #: one query of each chain over the corpus; their variants take the same steps
-CHAINS = ["m16_hits", "m18_best_match", "m24_greedy", "w01_systems_side_by_side"]
+CHAINS = ["m16_hits", "m18_best_match", "m24_greedy", "w01_systems_side_by_side", "w07_relevance_sample", "x19_cost_counters"]
 STARTS = ("m02", "m03", "m05", "m07", "m10", "m11", "m12", "m13", "m14", "m15", "x09", "x13", "join", "agg", "win", "set", "fn", "stream", "round", "udf", "udaf", "udtf", "text", "w04", "w11")
 PICKED = CHAINS + [n for n in registry.ORACLES if n.startswith(STARTS)]
 
