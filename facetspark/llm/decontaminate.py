@@ -15,6 +15,7 @@ are indexed in several parts, one scan each.
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -38,6 +39,7 @@ class LeakParams:
     block: int = 8
     index_bytes: int = 16_000_000
     table_bits: int = 20
+    table_cells: int = 32_000_000
 
 
 def parts_of_item(text: str) -> tuple[str, str]:
@@ -59,6 +61,14 @@ def _grams(words: np.ndarray, n: int) -> np.ndarray:
     return np.unique(flat.shingles(words, np.array([0, len(words)]), n)[0][: len(words) - n + 1]) if n else np.zeros(0, np.uint64)
 
 
+def _ranges(bounds: np.ndarray, k: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """All places of the ranges ``k``, each with the place in ``k`` it belongs to; bounds as one array or as starts and ends."""
+    start, end = bounds if bounds.ndim == 2 else (bounds[:-1], bounds[1:])
+    n = end[k] - start[k]
+    which = np.repeat(np.arange(len(k)), n)
+    return which, np.arange(len(which)) - np.repeat(np.cumsum(n) - n - start[k], n)
+
+
 @dataclass(frozen=True)
 class ItemStatistics:
     """Of all test items, however many parts they are indexed in."""
@@ -104,43 +114,41 @@ class ItemIndex:
         idf = np.log(1 + (whole.n - df + 0.5) / (df + 0.5))
         impact = idf[term] * tf * (p.k1 + 1) / (tf + p.k1 * (1 - p.b + p.b * lengths[item] / mean))
         impact /= np.bincount(item, impact, minlength=n)[item]
-        # terms that start no candidate: per item, the smallest impacts while they stay below the threshold
-        rank = np.zeros(len(terms))
-        np.maximum.at(rank, term, impact)
-        order = np.lexsort((-df[term], item))  # commonest terms of each item first
-        running = np.zeros(len(term))
-        total, last = 0.0, -1
+        # terms that start no candidate: an item's commonest terms, while their impacts stay below the threshold
+        order = np.lexsort((-df[term], item))
+        running = np.cumsum(impact[order])
+        first = np.searchsorted(item[order], item[order])
         starts = np.ones(len(term), bool)
-        for k in order:
-            total = impact[k] if item[k] != last else total + impact[k]
-            last = item[k]
-            running[k] = total
-            starts[k] = total >= p.threshold - 1e-9
-        self.terms, self.item_terms = terms, [terms[term[item == i]] for i in range(n)]
-        self.item_impacts = [impact[item == i] for i in range(n)]
+        starts[order] = running - running[first] + impact[order][first] >= p.threshold - 1e-9
+        self.terms = terms
+        by_item = np.argsort(item, kind="stable")
+        self.item_terms, self.item_impacts = term[by_item], impact[by_item]
+        self.items_from = np.searchsorted(item[by_item], np.arange(n + 1))
         block = item // p.block
+        self.blocks = -(-n // p.block)
         lead = np.unique((term[starts] << 32) | block[starts])
-        self.lead_term, self.lead_block = lead >> 32, lead & 0xFFFFFFFF
-        self.lead_from = np.searchsorted(self.lead_term, np.arange(len(terms) + 1))
+        self.lead_block = lead & 0xFFFFFFFF
+        self.lead_from = np.searchsorted(lead >> 32, np.arange(len(terms) + 1))
         bkey, binv = np.unique((term << 32) | block, return_inverse=True)
         most = np.zeros(len(bkey))
         np.maximum.at(most, binv, impact)
-        # bounds: impact of each lead posting, and the most that an item's other terms give
+        # bounds: largest impact of each lead term in a block, and the most that an item's other terms give
         self.lead_most = most[np.searchsorted(bkey, lead)]
-        self.rest_most = np.zeros(n // p.block + 1)
+        self.rest_most = np.zeros(self.blocks)
         rest = np.bincount(item, np.where(starts, 0, impact), minlength=n)
         np.maximum.at(self.rest_most, np.arange(n) // p.block, rest)
-        # block maxima by term
-        self.block_of, self.block_most = bkey & 0xFFFFFFFF, most
-        self.blocks_from = np.searchsorted(bkey >> 32, np.arange(len(terms) + 1))
+        # block maxima of all terms, block by block
+        by_block = np.argsort(bkey & 0xFFFFFFFF, kind="stable")
+        self.block_terms, self.block_most = bkey[by_block] >> 32, most[by_block]
+        self.blocks_from = np.searchsorted((bkey & 0xFFFFFFFF)[by_block], np.arange(self.blocks + 1))
         self.slot = np.zeros(1 << p.table_bits, bool)
         self.slot[(terms >> np.uint64(64 - p.table_bits)).astype(np.int64)] = True
         self.window = whole.longest
         self.parts = []
         for _, text in items:
-            whole = _words([text])[0]
+            words = _words([text])[0]
             question, answer = (_words([x])[0] for x in parts_of_item(text))
-            self.parts.append([_grams(x if len(x) else whole, p.gram) for x in (question, answer)])
+            self.parts.append([_grams(x if len(x) else words, p.gram) for x in (question, answer)])
 
     def term_of(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Places of the words that the index knows, and their term numbers."""
@@ -149,6 +157,45 @@ class ItemIndex:
         hit = self.terms[at] == h[maybe] if len(self.terms) else np.zeros(len(maybe), bool)
         return maybe[hit], at[hit]
 
+    def candidates(self, term: np.ndarray, passage: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Passages and blocks whose lead terms, with the most of the others, may reach the threshold; terms are distinct by passage."""
+        which, posting = _ranges(self.lead_from, term)
+        key, inverse = np.unique(passage[which] * self.blocks + self.lead_block[posting], return_inverse=True)
+        passage, block = np.divmod(key, self.blocks)
+        may = np.bincount(inverse, self.lead_most[posting], minlength=len(key)) + self.rest_most[block] >= self.p.threshold - 1e-9
+        return passage[may], block[may]
+
+    def scored(self, term: np.ndarray, passage: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """Passages, items and scores of all at or above the threshold, in the order of passages and items.
+
+        Candidates are taken some at a time, as many as a table of their passages' terms has room for.
+        """
+        p = self.p
+        where, block = self.candidates(term, passage)
+        few = max(1, min(512, p.table_cells // max(len(self.terms), 1)))
+        local = np.zeros(len(self.terms), np.int32)
+        for k in range(0, len(where), few):
+            own, row = np.unique(where[k : k + few], return_inverse=True)
+            b = block[k : k + few]
+            from_, to = np.searchsorted(passage, own), np.searchsorted(passage, own, "right")
+            which, at = _ranges(np.stack([from_, to]), np.arange(len(own)))
+            seen, column = np.unique(term[at], return_inverse=True)
+            local[seen] = np.arange(1, len(seen) + 1)
+            holds = np.zeros((len(own), len(seen) + 1), bool)
+            holds[which, column + 1] = True
+            # block maxima of the terms that the passage holds, then the items of the blocks left
+            which, at = _ranges(self.blocks_from, b)
+            most = np.where(holds[row[which], local[self.block_terms[at]]], self.block_most[at], 0)
+            left = np.flatnonzero(np.bincount(which, most, minlength=len(b)) >= p.threshold - 1e-9)
+            if len(left):
+                item = (b[left, None] * p.block + np.arange(p.block)).ravel()
+                row = np.repeat(row[left], p.block)
+                row, item = row[item < len(self.ids)], item[item < len(self.ids)]
+                which, at = _ranges(self.items_from, item)
+                score = np.bincount(which, np.where(holds[row[which], local[self.item_terms[at]]], self.item_impacts[at], 0), minlength=len(item))
+                hit = score >= p.threshold
+                yield own[row[hit]], item[hit], score[hit]
+            local[seen] = 0
 
     def search(self, h: np.ndarray, bounds: np.ndarray):
         """Yields ``(document, first word, last word, item, score, question, answer)``."""
@@ -156,58 +203,35 @@ class ItemIndex:
         if not len(self.ids):
             return
         place, term = self.term_of(h)
-        leads = np.diff(self.lead_from)[term]
-        which = np.flatnonzero(leads)
-        if not len(which):
-            return
-        doc = np.searchsorted(bounds, place[which], "right") - 1
-        step = (place[which] - bounds[doc]) // self.window
-        n = leads[which]
-        offset = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-        posting = np.repeat(self.lead_from[term[which]], n) + offset
-        block, most = self.lead_block[posting], self.lead_most[posting]
-        doc, step = np.repeat(doc, n), np.repeat(step, n)
-        # the word lies in the passages that begin at its step and at the one before
-        doc, step, block = (np.concatenate([x, y]) for x, y in ((doc, doc), (step, np.maximum(step - 1, 0)), (block, block)))
-        most = np.concatenate([most, np.where(step[: len(most)] > 0, most, 0)])  # step 0 has no step before
-        order = np.lexsort((block, step, doc))
-        key = np.column_stack([doc, step, block])[order]
-        fresh = np.ones(len(key), bool)
-        fresh[1:] = (key[1:] != key[:-1]).any(1)
-        bound = np.bincount(np.cumsum(fresh) - 1, most[order])
-        key = key[fresh]
-        key = key[bound + self.rest_most[key[:, 2]] >= p.threshold - 1e-9]
+        doc = np.searchsorted(bounds, place, "right") - 1
+        step = (place - bounds[doc]) // self.window
+        # passages are numbered through; one begins at every step and is two steps long
+        base = np.concatenate([[0], np.cumsum(-(-np.diff(bounds) // self.window))])
+        passage = base[doc] + step
+        key = np.unique(np.concatenate([passage * len(self.terms) + term, (passage[step > 0] - 1) * len(self.terms) + term[step > 0]]))
+        passage, term = np.divmod(key, len(self.terms))
         best: dict[tuple[int, int], tuple] = {}
-        at, seen = (-1, -1), None
-        for d, s, b in key:
-            if (d, s) != at:
-                at = (d, s)
-                first = bounds[d] + s * self.window
-                last = min(first + 2 * self.window, bounds[d + 1])
-                x, y = np.searchsorted(place, (first, last))
-                seen = np.unique(term[x:y])
-                n = self.blocks_from[seen + 1] - self.blocks_from[seen]
-                at_most = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(self.blocks_from[seen], n)
-                bounds_here = np.bincount(self.block_of[at_most], self.block_most[at_most], minlength=len(self.ids) // p.block + 1)
-            if bounds_here[b] < p.threshold - 1e-9:
-                continue
-            held = self.terms[seen]
-            for item in range(b * p.block, min((b + 1) * p.block, len(self.ids))):
-                score = float(self.item_impacts[item][np.isin(self.item_terms[item], held)].sum())
-                if score < p.threshold:
-                    continue
-                words = h[first:last]
+        for places, items, scores in self.scored(term, passage):
+            at = -1
+            for q, item, score in zip(places.tolist(), items.tolist(), scores.tolist(), strict=True):
+                if q != at:
+                    at, grams_of = q, {}
+                    d = int(np.searchsorted(base, q, "right")) - 1
+                    first = bounds[d] + (q - base[d]) * self.window
+                    last = min(first + 2 * self.window, bounds[d + 1])
+                    words = h[first:last]
                 overlaps = []
                 for grams in self.parts[item]:
-                    size = min(p.gram, len(words))
-                    own = _grams(words, size)
-                    if len(grams) == 1:  # a part shorter than a gram is one gram of its own length
-                        own = np.concatenate([own, *(_grams(words, k) for k in range(1, size))])
-                    overlaps.append(float(np.isin(grams, own).mean()))
+                    # a part shorter than a gram is one gram of its own length
+                    short = len(grams) == 1
+                    if short not in grams_of:
+                        sizes = range(1 if short else p.gram, p.gram + 1)
+                        grams_of[short] = np.concatenate([_grams(words, k) for k in sizes])
+                    overlaps.append(float(np.isin(grams, grams_of[short]).mean()))
                 found = (score, *overlaps)
-                old = best.get((int(d), item))
-                if old is None or (min(found[1:]), score) > (min(old[2:][1:3]), old[2]):
-                    best[int(d), item] = (int(first - bounds[d]), int(last - bounds[d]), *found)
+                old = best.get((d, item))
+                if old is None or (min(overlaps), score) > (min(old[3:]), old[2]):
+                    best[d, item] = (int(first - bounds[d]), int(last - bounds[d]), *found)
         for (d, item), row in sorted(best.items()):
             yield d, row[0], row[1], int(self.ids[item]), *row[2:]
 
