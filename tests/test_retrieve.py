@@ -34,3 +34,17 @@ def test_best_documents(spark, seed):
         got.setdefault(r["query_text"], []).append((r["doc_id"], r["relevance"]))
     assert got.keys() == want.keys()
     assert all([i for i, _ in got[q]] == [i for i, _ in want[q]] and all(abs(a - b) < 1e-8 for (_, a), (_, b) in zip(got[q], want[q], strict=True)) for q in want)
+
+
+def test_alike_documents_are_scored_once(spark, monkeypatch):
+    """Texts tell four kinds of documents apart; a document of two rows is one."""
+    kinds = ["red anvil", "red gizmo", "blue anvil", "red red anvil"]
+    rows = [(i, f"{kinds[i % 4]} own{i}") for i in range(400)] + [(7, "anvil")]
+    pairs, scored = [], retrieve._scored
+    monkeypatch.setattr(retrieve, "_scored", lambda found, *rest: pairs.append(found.count()) or scored(found, *rest))
+    index = retrieve.build_index(spark.createDataFrame(rows, "doc_id long, head string"), ("head",))
+    got = retrieve.top_hits(spark.createDataFrame([("red anvil",), ("gizmo",)], "query_text string"), index).orderBy("query_text", "rank").collect()
+    assert [r["doc_id"] for r in got if r["query_text"] == "gizmo"] == [1, 5, 9, 13, 17, 21, 25, 29]
+    assert [r["doc_id"] for r in got if r["query_text"] == "red anvil"] == [7, 3, 11, 15, 19, 23, 27, 31]
+    assert {r["doc_id"]: r["words"] for r in index.forward.where("doc_id = 7").collect()} == {7: {"red": 2, "anvil": 2, "own7": 1}}
+    assert sum(pairs) <= 2 * 2 * 5
