@@ -10,9 +10,10 @@ Windows of one function and value form a group. Every window of a member is link
 every distinct place of the group's first (smallest) document. Windows that no verified
 passage holds are open: they are grouped again, by the min-hash of the half length before
 and of that behind their place, and linked with the first and the previous document there, if bit
-sketches allow a common passage. What is still open is at last keyed by every sequence of the
-wanted length around it, so that no word-for-word copy is lost. All steps are linear in the
-windows. Per pair of documents the links of all functions are joined as intervals along the
+sketches allow a common passage, and keyed by every sequence of the wanted length around it, so
+that no word-for-word copy is lost. These steps are linear in the windows. What is then still open
+meets every earlier place of its group that the sketches allow, places with equal surroundings
+once; large groups are dealt over several tasks. Per pair of documents the links of all functions are joined as intervals along the
 pair's alignment, and stretches that enough functions agree on become candidates, which are
 verified on their shingles.
 """
@@ -28,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from facetspark.llm import flat
-from facetspark.llm.store import discard, ship, written
+from facetspark.llm.store import discard, release, ship, written
 
 
 @dataclass(frozen=True)
@@ -36,8 +37,8 @@ class PassageParams:
     """``slack`` words of shift inside one passage are aligned together.
 
     At similarity 0.8 each function agrees with probability 0.8: fewer than two of five agree with
-    probability 6.7e-3, and those pairs are found among the open windows unless the one agreeing
-    function's half differs too, which leaves about 2e-3. Exact copies are never missed that way.
+    probability 6.7e-3. Where a third document is in the group, those pairs are found among the open windows.
+    Exact copies are never missed that way.
     """
 
     words: int = 5
@@ -177,14 +178,14 @@ def _linked(batches):
         second = seconds[-1] if seconds[-1] != ids[start[-1]] else None
 
 
-HALVES = "key long, doc_id long, lr long, c long, hash int, open boolean, route long, same long, own_0 long, own_1 long, near_0 long, near_1 long"
+HALVES = "key long, doc_id long, lr long, c long, hash int, open boolean, route long, side int, same long, around long, own_0 long, own_1 long, near_0 long, near_1 long"
 
 
 def _halves(p: PassageParams):
     """Each asked place by the half length before it, and by that behind it, where they are inside the document.
 
     ``key`` holds the half's min-hash, ``same`` its whole content. ``own`` are bits of its shingles, ``near`` of
-    those up to ``slack`` further: a common passage around two places leaves few of one's own outside the other's near.
+    those up to ``slack`` further; ``around`` is that of :func:`_windows`: a common passage around two places leaves few of one's own outside the other's near.
     """
     names = [x.split()[0] for x in HALVES.split(", ")]
     half = (p.window - 1) // 2
@@ -200,6 +201,9 @@ def _halves(p: PassageParams):
                 low, high = bounds[:-1][doc], bounds[1:][doc] - p.words + 1
                 second = flat.mix(h ^ flat.MULTIPLIERS[340])
                 bit = h >> np.uint64(57)
+                prefix = np.zeros(len(h) + 1, np.uint64)
+                np.cumsum(flat.powers(len(h))[0] * h, out=prefix[1:])
+                _, inverse = flat.powers(len(h) + 1)
                 for side, step in ((0, -1), (1, 1)):
                     fits = np.flatnonzero((low + c - half >= low if side == 0 else low + c + half < high) & (low + c < high))  # rows that repeat a document's number may be shorter
                     at = (low + c)[fits]
@@ -220,8 +224,10 @@ def _halves(p: PassageParams):
                             if t:
                                 least[inside] = np.minimum(least[inside], second[here])
                             content[inside] += h[here] * flat.MULTIPLIERS[350 + t]
+                    x, y = np.maximum(at - p.window + 1, low[fits]), np.minimum(at + p.window, high[fits])
+                    around = flat.mix((prefix[y] - prefix[x]) * inverse[x] + ((at - x) * 4096 + (y - at)).astype(np.uint64))
                     key = flat.mix(least + route[fits].view(np.uint64) * flat.MULTIPLIERS[341 + side])
-                    columns = (key.view(np.int64), np.asarray(part.column(0))[doc[fits]], lr[fits], c[fits], k[fits].astype(np.int32), open_[fits].astype(bool), route[fits], flat.mix(content + np.uint64(side)).view(np.int64), *bits.view(np.int64))
+                    columns = (key.view(np.int64), np.asarray(part.column(0))[doc[fits]], lr[fits], c[fits], k[fits].astype(np.int32), open_[fits].astype(bool), route[fits], np.full(len(at), side, np.int32), flat.mix(content + np.uint64(side)).view(np.int64), around.view(np.int64), *bits.view(np.int64))
                     yield pa.RecordBatch.from_arrays([pa.array(x) for x in columns], names)
 
     return run
@@ -260,6 +266,44 @@ def _chained(p: PassageParams):
     return run
 
 
+MOST_TESTS = 2_000_000
+
+
+def _every(p: PassageParams):
+    """Sorted by route, side, turn and document: open windows meet every earlier place of the group that the sketches allow."""
+    names = [x.split()[0] for x in LINKS.split(", ")]
+    missing = p.window - p.contained
+
+    def run(batches):
+        group, held = None, None  # places of the group that the last batch ended in
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            route, side, turn, ids, lr, c, k, open_, *bits = (np.asarray(x.to_numpy(zero_copy_only=False)) for x in batch.columns)
+            own, near = (np.column_stack(x).astype(np.int64).view(np.uint64) for x in (bits[:2], bits[2:]))
+            cuts = np.append(np.flatnonzero(_starts(route) | _starts(side) | _starts(turn)), len(route))
+            open_ = open_.astype(bool)
+            for x, y in zip(cuts[:-1], cuts[1:], strict=True):
+                refs = np.flatnonzero(~open_[x:y]) + x
+                places = [v[refs] for v in (ids, lr, c, near)]
+                if (here := (route[x], side[x], turn[x])) == group:
+                    places = [np.concatenate(v) for v in zip(held, places, strict=True)]
+                group, held = here, places
+                asks = np.flatnonzero(open_[x:y]) + x
+                before = np.searchsorted(places[0], ids[asks])
+                step = max(1, MOST_TESTS // max(1, len(places[0])))
+                for i in range(0, len(asks), step):
+                    some, most = asks[i : i + step], before[i : i + step]
+                    for j in range(0, int(most.max(initial=0)), MOST_TESTS):
+                        there = places[3][j : min(j + MOST_TESTS, most.max())]
+                        fits = np.bitwise_count(own[some, None, 0] & ~there[None, :, 0]) + np.bitwise_count(own[some, None, 1] & ~there[None, :, 1]) <= missing
+                        a, b = np.nonzero(fits & (np.arange(j, j + len(there))[None] < most[:, None]))
+                        a, b = some[a], b + j
+                        yield pa.RecordBatch.from_arrays([pa.array(v) for v in (ids[a], lr[a], c[a], places[0][b], places[1][b], places[2][b], k[a].astype(np.int32))], names)
+
+    return run
+
+
 def _starts(x: np.ndarray) -> np.ndarray:
     out = np.ones(len(x), bool)
     out[1:] = x[1:] != x[:-1]
@@ -455,6 +499,7 @@ def _passages_of(texts: DataFrame, links: DataFrame, p: PassageParams) -> DataFr
     spread = links.repartition("doc_id", "ref_id").sortWithinPartitions("doc_id", "ref_id")
     found = spread.mapInArrow(_candidates(p), "doc_id long, first long, stop long, ref_id long, ref_first long, ref_stop long").distinct()
     candidates = written(found.withColumn("pair", F.monotonically_increasing_id()), "passages")
+    release(texts.sparkSession)
     ask = lambda doc, first, stop, side: F.struct(F.col(doc).alias("doc_id"), F.struct("pair", F.lit(side).cast("int").alias("side"), F.col(first).alias("first"), F.col(stop).alias("stop"), "ref_id").alias("ask"))
     both = candidates.select(F.explode(F.array(ask("doc_id", "first", "stop", 0), ask("ref_id", "ref_first", "ref_stop", 1))).alias("x"))
     # a passage of a reference that many documents repeat is fetched by many asks: split them
@@ -463,6 +508,7 @@ def _passages_of(texts: DataFrame, links: DataFrame, p: PassageParams) -> DataFr
     fetched = texts.join(asked, "doc_id").select("doc_id", "text", "asks").mapInArrow(_fetched(p), FETCHED)
     out = written(fetched.repartition("pair").sortWithinPartitions("pair", "side").mapInArrow(_verified(p), PASSAGES), "verified")
     discard(candidates)
+    release(texts.sparkSession)
     return out
 
 
@@ -482,6 +528,28 @@ def _word_for_word(texts: DataFrame, halves: DataFrame, p: PassageParams) -> Dat
     return links.select("doc_id", "lr", "c", F.col("ref.doc_id").alias("ref_id"), F.col("ref.lr").alias("ref_lr"), F.col("ref.c").alias("ref_c"), "hash").distinct()
 
 
+TESTED = "route, side, turn, doc_id, lr, c, hash, open, own_0, own_1, near_0, near_1"
+TESTS_PER_TASK = 2_000_000_000
+
+
+def _all_partners(halves: DataFrame, left: DataFrame) -> DataFrame:
+    """What :func:`_every` reads: the windows still open, and of their groups one place for equal surroundings.
+
+    The open windows of a large group take turns, each of which has all places.
+    """
+    of = halves.drop("open", "key", "same").distinct()
+    asks = of.join(left.select("route", "doc_id", "lr", "c", "hash").distinct(), ["route", "doc_id", "lr", "c", "hash"], "left_semi")
+    sizes = asks.groupBy("route", "side").agg(F.count("*").alias("n"))
+    rest = [x for x in of.columns if x not in ("route", "side", "around")]
+    places = of.join(sizes, ["route", "side"], "left_semi").groupBy("route", "side", "around").agg(F.min(F.struct("doc_id", *(x for x in rest if x != "doc_id"))).alias("x")).select("route", "side", "x.*")
+    turns = places.groupBy("route", "side").agg(F.count("*").alias("m")).join(sizes, ["route", "side"]).select("route", "side", F.ceil(F.col("n") * F.col("m") / TESTS_PER_TASK).cast("int").alias("turns"))
+    mine = asks.join(turns, ["route", "side"]).withColumn("turn", F.pmod(F.xxhash64("doc_id", "c"), F.col("turns")).cast("int")).withColumn("open", F.lit(True))
+    theirs = places.join(turns, ["route", "side"]).withColumn("turn", F.explode(F.sequence(F.lit(0), F.col("turns") - 1))).withColumn("open", F.lit(False))
+    columns = TESTED.split(", ")
+    # of one document the open rows come after the places: both orders give only earlier documents
+    return mine.select(*columns).unionByName(theirs.select(*columns)).repartition("route", "side", "turn").sortWithinPartitions("route", "side", "turn", "doc_id", "open", "c")
+
+
 def repeated_passages(documents: DataFrame, p: PassageParams = PassageParams()) -> DataFrame:
     """Passages of ``length`` words or more that an earlier document has too, nearly word for word.
 
@@ -498,18 +566,26 @@ def repeated_passages(documents: DataFrame, p: PassageParams = PassageParams())
     ship(documents.sparkSession)
     texts = documents.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     windows = texts.mapInArrow(_windows(p), WINDOWS)
-    grouped = written(windows.repartition("route").sortWithinPartitions("route", "doc_id", "around", "ck").mapInArrow(_linked, GROUPED), "links")
+    grouped = written(windows.repartition("route").sortWithinPartitions("route", "doc_id", "around", "ck").mapInArrow(_linked, GROUPED), "links", "zstd")
+    release(documents.sparkSession)
     found = _passages_of(texts, grouped.select(*(x.split()[0] for x in LINKS.split(", "))), p)
     asked = written(_unsettled(grouped.where("lead and more").select("route", "doc_id", "lr", "c", "hash"), found, p), "open")
     if not asked.isEmpty():
         members = grouped.where("lead").select("route", "doc_id", "lr", "c", "hash").join(asked.select("route").distinct(), "route", "left_semi")
         members = members.join(asked.select("route", "doc_id", "c", F.lit(True).alias("open")), ["route", "doc_id", "c"], "left")
+        # a group's first document has shared one function only with the open windows
+        firsts = grouped.select("route", F.col("ref_id").alias("doc_id"), F.col("ref_lr").alias("lr"), F.col("ref_c").alias("c"), "hash").join(asked.select("route").distinct(), "route", "left_semi").distinct()
+        members = members.unionByName(firsts.withColumn("open", F.lit(False)))
         asks = members.groupBy("doc_id").agg(F.collect_list(F.struct("route", "lr", "c", "hash", F.coalesce("open", F.lit(False)).alias("open"))).alias("asks"))
         halves = written(texts.join(asks, "doc_id").select("doc_id", "text", "asks").mapInArrow(_halves(p), HALVES), "halves")
-        dealt = halves.drop("route", "same").repartition("key").sortWithinPartitions("key", "doc_id", "c")
+        dealt = halves.drop("route", "side", "same", "around").repartition("key").sortWithinPartitions("key", "doc_id", "c")
         links = dealt.mapInArrow(_chained(p), LINKS).unionByName(_word_for_word(texts, halves, p))
         found = found.unionByName(_passages_of(texts, links, replace(p, enough=1)))
-        discard(halves, grouped, asked)
+        left = written(_unsettled(asked, found, p), "left")
+        if not left.isEmpty():
+            links = _all_partners(halves, left).mapInArrow(_every(p), LINKS)
+            found = found.unionByName(_passages_of(texts, links, replace(p, enough=1)))
+        discard(halves, grouped, asked, left)
     # several places of a reference, or both steps, may give the same passage
     keys = [x.split()[0] for x in PASSAGES.split(", ")]
     return found.groupBy(*keys[:-1]).agg(F.max("similarity").alias("similarity"))

@@ -46,11 +46,11 @@ def fresh_path(spark: SparkSession, label: str) -> str:
     return f"{shared_dir(spark)}/facetspark/{label}-{uuid.uuid4().hex}"
 
 
-def written(df: DataFrame, label: str) -> DataFrame:
+def written(df: DataFrame, label: str, compression: str = "snappy") -> DataFrame:
     """Cut lineage: write ``df`` as Parquet into the shared folder and read it back."""
     spark = df.sparkSession
     path = fresh_path(spark, label)
-    df.write.parquet(path)
+    df.write.parquet(path, compression=compression)
     out = spark.read.schema(df.schema).parquet(path)
     out.scratch_path = path
     return out
@@ -65,6 +65,11 @@ def discard(*tables: DataFrame) -> None:
             where.getFileSystem(table.sparkSession._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files behind written tables: it does once the driver's garbage is collected."""
+    spark._jvm.System.gc()
+
+
 def connected(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Connected parts of an undirected graph, by alternating large and small stars.
 

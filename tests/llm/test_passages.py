@@ -52,3 +52,28 @@ def test_reference_with_a_part_of_the_passage(spark, quoters):
     assert {r["doc_id"] for r in got} == set(want)
     assert all(covered(got, i, [at]) == [True] for i, at in want.items())
     assert sorted(got) == sorted(repeated_passages.repeated_passages(table.repartition(5)).collect())
+
+
+def test_partner_that_is_neither_first_nor_previous(spark):
+    """Near copies, each among documents that share much of the passage but too little of any 50 words."""
+    rng = random.Random(5)
+    rows, want = [], {}
+
+    def add(passage, *changed):
+        words = list(passage)
+        for i in changed:
+            words[i] = texts(1, rng)[0]
+        start = texts(60, rng)
+        rows.append(start + words + texts(60, rng))
+        return len(start)
+
+    for _ in range(40):
+        passage = texts(55, rng)
+        for turn in range(2):
+            for _ in range(7):
+                add(passage, rng.randrange(6, 20), rng.randrange(35, 49))
+            at = add(passage, *([27] if turn else []))
+        want[len(rows) - 1] = (len(rows) - 9, at)
+    table = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(rows)], "doc_id long, text string")
+    got = repeated_passages.repeated_passages(table).collect()
+    assert {r["doc_id"]: r["ref_id"] for r in got if r["doc_id"] in want} == {d: ref for d, (ref, _) in want.items()}
