@@ -94,7 +94,7 @@ def word_shingles(s: flat.Slice, words: int):
 
 WINDOWS = "route long, doc_id long, around long, lr long, ck long"
 LINKS = "doc_id long, lr long, c long, ref_id long, ref_lr long, ref_c long, hash int"
-GROUPED = f"{LINKS}, route long, lead boolean, more boolean"
+GROUPED = f"{LINKS}, route long, lead boolean, more boolean, head boolean"
 MOST_LINKS = 500_000
 
 
@@ -133,7 +133,8 @@ def _windows(p: PassageParams):
 def _linked(batches):
     """Sorted by all columns: every window of a later document meets the first one's distinct places.
 
-    ``lead`` marks one link of each window, ``more`` those with a third or later document.
+    ``lead`` marks one link of each window, ``more`` those with a third or later document,
+    ``head`` those of the group's first linked window, which meet each of the places once.
     """
     names = [x.split()[0] for x in GROUPED.split(", ")]
     held = second = None
@@ -159,8 +160,11 @@ def _linked(batches):
         follows, at = np.unique(group[link], return_index=True)
         seconds = ids[start]
         seconds[follows] = ids[link[at]]
+        heads = np.zeros(len(route), bool)
+        heads[link[at]] = True
         if second is not None and held is not None:
             seconds[0] = second
+            heads[group == 0] = False
         x = 0
         while x < len(link):
             y = max(int(np.searchsorted(ends, (ends[x - 1] if x else 0) + MOST_LINKS, "right")), x + 1)
@@ -170,8 +174,8 @@ def _linked(batches):
             lead = np.zeros(len(at), bool)
             lead[np.cumsum(times) - times] = True
             some = np.repeat(some, times)
-            more = ids[some] != seconds[group[some]]
-            yield pa.RecordBatch.from_arrays([pa.array(v) for v in (ids[some], lr[some], ck[some] >> 6, ids[at], lr[at], ck[at] >> 6, (ck[some] & 63).astype(np.int32), route[some], lead, more)], names)
+            more, head = ids[some] != seconds[group[some]], heads[some]
+            yield pa.RecordBatch.from_arrays([pa.array(v) for v in (ids[some], lr[some], ck[some] >> 6, ids[at], lr[at], ck[at] >> 6, (ck[some] & 63).astype(np.int32), route[some], lead, more, head)], names)
             x = y
         last = refs[group[refs] == group[-1]]
         held = [v[last] for v in rows]
@@ -279,16 +283,16 @@ def _every(p: PassageParams):
         for batch in batches:
             if not batch.num_rows:
                 continue
-            route, side, turn, ids, lr, c, k, open_, *bits = (np.asarray(x.to_numpy(zero_copy_only=False)) for x in batch.columns)
+            route, side, turn, ids, lr, c, k, open_, around, *bits = (np.asarray(x.to_numpy(zero_copy_only=False)) for x in batch.columns)
             own, near = (np.column_stack(x).astype(np.int64).view(np.uint64) for x in (bits[:2], bits[2:]))
             cuts = np.append(np.flatnonzero(_starts(route) | _starts(side) | _starts(turn)), len(route))
             open_ = open_.astype(bool)
             for x, y in zip(cuts[:-1], cuts[1:], strict=True):
-                refs = np.flatnonzero(~open_[x:y]) + x
-                places = [v[refs] for v in (ids, lr, c, near)]
+                places = [v[x:y] for v in (ids, lr, c, near, around)]
                 if (here := (route[x], side[x], turn[x])) == group:
                     places = [np.concatenate(v) for v in zip(held, places, strict=True)]
-                group, held = here, places
+                kept = np.sort(np.unique(places[4], return_index=True)[1])  # the first of those with equal surroundings
+                group, held = here, (places := [v[kept] for v in places])
                 asks = np.flatnonzero(open_[x:y]) + x
                 before = np.searchsorted(places[0], ids[asks])
                 step = max(1, MOST_TESTS // max(1, len(places[0])))
@@ -528,26 +532,23 @@ def _word_for_word(texts: DataFrame, halves: DataFrame, p: PassageParams) -> Dat
     return links.select("doc_id", "lr", "c", F.col("ref.doc_id").alias("ref_id"), F.col("ref.lr").alias("ref_lr"), F.col("ref.c").alias("ref_c"), "hash").distinct()
 
 
-TESTED = "route, side, turn, doc_id, lr, c, hash, open, own_0, own_1, near_0, near_1"
+TESTED = "route, side, turn, doc_id, lr, c, hash, open, around, own_0, own_1, near_0, near_1"
 TESTS_PER_TASK = 2_000_000_000
 
 
-def _all_partners(halves: DataFrame, left: DataFrame) -> DataFrame:
-    """What :func:`_every` reads: the windows still open, and of their groups one place for equal surroundings.
+def _all_partners(halves: DataFrame, left: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
+    """What :func:`_every` reads, the windows still open and all places of their groups, and the tables behind it.
 
     The open windows of a large group take turns, each of which has all places.
     """
-    of = halves.drop("open", "key", "same").distinct()
-    asks = of.join(left.select("route", "doc_id", "lr", "c", "hash").distinct(), ["route", "doc_id", "lr", "c", "hash"], "left_semi")
-    sizes = asks.groupBy("route", "side").agg(F.count("*").alias("n"))
-    rest = [x for x in of.columns if x not in ("route", "side", "around")]
-    places = of.join(sizes, ["route", "side"], "left_semi").groupBy("route", "side", "around").agg(F.min(F.struct("doc_id", *(x for x in rest if x != "doc_id"))).alias("x")).select("route", "side", "x.*")
-    turns = places.groupBy("route", "side").agg(F.count("*").alias("m")).join(sizes, ["route", "side"]).select("route", "side", F.ceil(F.col("n") * F.col("m") / TESTS_PER_TASK).cast("int").alias("turns"))
-    mine = asks.join(turns, ["route", "side"]).withColumn("turn", F.pmod(F.xxhash64("doc_id", "c"), F.col("turns")).cast("int")).withColumn("open", F.lit(True))
-    theirs = places.join(turns, ["route", "side"]).withColumn("turn", F.explode(F.sequence(F.lit(0), F.col("turns") - 1))).withColumn("open", F.lit(False))
-    columns = TESTED.split(", ")
-    # of one document the open rows come after the places: both orders give only earlier documents
-    return mine.select(*columns).unionByName(theirs.select(*columns)).repartition("route", "side", "turn").sortWithinPartitions("route", "side", "turn", "doc_id", "open", "c")
+    asks = left.select("route", "doc_id", "lr", "c", "hash", F.lit(True).alias("asks")).distinct()
+    places = halves.drop("open", "key", "same").join(left.select("route").distinct(), "route", "left_semi").join(asks, ["route", "doc_id", "lr", "c", "hash"], "left")
+    places = written(places.withColumn("open", F.coalesce("asks", F.lit(False))).drop("asks"), "places", "zstd")
+    tests = places.groupBy("route", "side").agg((F.count("*").cast("double") * F.count_if("open")).alias("n"))
+    large = written(tests.where(F.col("n") > TESTS_PER_TASK).select("route", "side", F.ceil(F.col("n") / TESTS_PER_TASK).cast("int").alias("turns")), "large")
+    dealt = places.join(large, ["route", "side"], "left").withColumn("turns", F.coalesce("turns", F.lit(1)))
+    dealt = dealt.withColumn("turn", F.explode(F.sequence(F.lit(0), F.col("turns") - 1))).withColumn("open", F.col("open") & (F.col("turn") == F.pmod(F.xxhash64("doc_id", "c"), F.col("turns"))))
+    return dealt.select(*TESTED.split(", ")).repartition("route", "side", "turn").sortWithinPartitions("route", "side", "turn", "doc_id", "c"), [places, large]
 
 
 def repeated_passages(documents: DataFrame, p: PassageParams = PassageParams()) -> DataFrame:
@@ -574,7 +575,7 @@ def repeated_passages(documents: DataFrame, p: PassageParams = PassageParams())
         members = grouped.where("lead").select("route", "doc_id", "lr", "c", "hash").join(asked.select("route").distinct(), "route", "left_semi")
         members = members.join(asked.select("route", "doc_id", "c", F.lit(True).alias("open")), ["route", "doc_id", "c"], "left")
         # a group's first document has shared one function only with the open windows
-        firsts = grouped.select("route", F.col("ref_id").alias("doc_id"), F.col("ref_lr").alias("lr"), F.col("ref_c").alias("c"), "hash").join(asked.select("route").distinct(), "route", "left_semi").distinct()
+        firsts = grouped.where("head").select("route", F.col("ref_id").alias("doc_id"), F.col("ref_lr").alias("lr"), F.col("ref_c").alias("c"), "hash").join(asked.select("route").distinct(), "route", "left_semi")
         members = members.unionByName(firsts.withColumn("open", F.lit(False)))
         asks = members.groupBy("doc_id").agg(F.collect_list(F.struct("route", "lr", "c", "hash", F.coalesce("open", F.lit(False)).alias("open"))).alias("asks"))
         halves = written(texts.join(asks, "doc_id").select("doc_id", "text", "asks").mapInArrow(_halves(p), HALVES), "halves")
@@ -583,8 +584,9 @@ def repeated_passages(documents: DataFrame, p: PassageParams = PassageParams())
         found = found.unionByName(_passages_of(texts, links, replace(p, enough=1)))
         left = written(_unsettled(asked, found, p), "left")
         if not left.isEmpty():
-            links = _all_partners(halves, left).mapInArrow(_every(p), LINKS)
-            found = found.unionByName(_passages_of(texts, links, replace(p, enough=1)))
+            dealt, tables = _all_partners(halves, left)
+            found = found.unionByName(_passages_of(texts, dealt.mapInArrow(_every(p), LINKS), replace(p, enough=1)))
+            discard(*tables)
         discard(halves, grouped, asked, left)
     # several places of a reference, or both steps, may give the same passage
     keys = [x.split()[0] for x in PASSAGES.split(", ")]
