@@ -8,14 +8,12 @@ slice at once.
 
 Windows of one function and value form a group. Every window of a member is linked with
 every distinct place of the group's first (smallest) document. Windows that no verified
-passage holds are open: they are grouped again, by the min-hash of the half length before
-and of that behind their place, and linked with the first and the previous document there, if bit
-sketches allow a common passage, and keyed by every sequence of the wanted length around it, so
-that no word-for-word copy is lost. These steps are linear in the windows. What is then still open
-meets every earlier place of its group that the sketches allow, places with equal surroundings
-once; large groups are dealt over several tasks. Per pair of documents the links of all functions are joined as intervals along the
-pair's alignment, and stretches that enough functions agree on become candidates, which are
-verified on their shingles.
+passage holds are open: they are searched among all earlier places of their group, by the rarest
+shingles around them, for one that has a whole passage around it; places with equal surroundings
+count once, and large groups are dealt over several tasks. One partner settles a window, so the links
+grow with the windows; those whose partner is not confirmed meet all the others. Per pair of documents
+the links of all functions are joined as intervals along the pair's alignment, and stretches that enough
+functions agree on become candidates, which are verified on their shingles.
 """
 
 from __future__ import annotations
@@ -38,7 +36,7 @@ class PassageParams:
 
     At similarity 0.8 each function agrees with probability 0.8: fewer than two of five agree with
     probability 6.7e-3. Where a third document is in the group, those pairs are found among the open windows.
-    Exact copies are never missed that way.
+    Exact copies agree in all functions.
     """
 
     words: int = 5
@@ -604,17 +602,24 @@ def _links_of_open(texts: DataFrame, grouped: DataFrame, asked: DataFrame, p: Pa
     The open windows of a large group take turns, each of which has all places.
     """
     routes = asked.groupBy("route").agg(F.ceil(F.count("*") / ASKS_PER_TASK).cast("int").alias("turns"))
-    members = grouped.where("lead").select("route", "doc_id", "lr", "c", "hash")
-    members = members.join(asked.select("route", "doc_id", "c", F.lit(True).alias("open")).distinct(), ["route", "doc_id", "c"], "left")
+    place = ["route", "doc_id", "lr", "c", "hash"]
+    lead = grouped.where("lead").select(*place, F.lit(False).alias("open"))
     # a group's first document has shared one function only with the open windows
-    firsts = grouped.where("head").select("route", F.col("ref_id").alias("doc_id"), F.col("ref_lr").alias("lr"), F.col("ref_c").alias("c"), "hash")
-    members = members.unionByName(firsts.withColumn("open", F.lit(False))).join(routes, "route")
-    asks = members.groupBy("doc_id").agg(F.collect_list(F.struct("route", "turns", "lr", "c", "hash", F.coalesce("open", F.lit(False)).alias("open"))).alias("asks"))
+    firsts = grouped.where("head").select("route", F.col("ref_id").alias("doc_id"), F.col("ref_lr").alias("lr"), F.col("ref_c").alias("c"), "hash", F.lit(False).alias("open"))
+    # one exchange by route serves the choice of groups and the marks of the open windows
+    rows = lead.unionByName(firsts).join(routes, "route", "left_semi").unionByName(asked.select(*place, F.lit(True).alias("open")))
+    members = rows.groupBy(*place).agg(F.max("open").alias("open")).join(routes, "route")
+    members = written(members, "members", "zstd")
+    release(texts.sparkSession)
+    asks = members.groupBy("doc_id").agg(F.collect_list(F.struct("route", "turns", "lr", "c", "hash", "open")).alias("asks"))
     contexts = texts.join(asks, "doc_id").select("doc_id", "text", "asks").mapInArrow(_contexts(p), CONTEXTS)
     dealt = contexts.withColumn("turn", F.explode(F.sequence(F.lit(0), F.col("turns") - 1)))
     dealt = dealt.withColumn("open", F.col("open") & (F.col("turn") == F.pmod(F.xxhash64("doc_id", "c"), F.col("turns"))))
     dealt = dealt.select("route", "turn", "doc_id", "lr", "c", "hash", "open", "around", "before", "shingles").repartition("route", "turn")
-    return written(dealt.sortWithinPartitions("route", "turn", "doc_id", "c", "around").mapInArrow(_partners(p, every), LINKS), "partners")
+    links = written(dealt.sortWithinPartitions("route", "turn", "doc_id", "c", "around").mapInArrow(_partners(p, every), LINKS), "partners")
+    discard(members)
+    release(texts.sparkSession)
+    return links
 
 
 def repeated_passages(documents: DataFrame, p: PassageParams = PassageParams()) -> DataFrame:
@@ -639,13 +644,11 @@ def repeated_passages(documents: DataFrame, p: PassageParams = PassageParams())
     asked = written(_unsettled(grouped.where("lead and more").select("route", "doc_id", "lr", "c", "hash"), found, p), "open")
     if not asked.isEmpty():
         links = _links_of_open(texts, grouped, asked, p, every=False)
-        release(documents.sparkSession)
         found = found.unionByName(_passages_of(texts, links, replace(p, enough=1)))
         # windows whose partner was not confirmed meet all the others too
         left = written(_unsettled(asked.join(links.select("doc_id", "c", "hash").distinct(), ["doc_id", "c", "hash"], "left_semi"), found, p), "left")
         if not left.isEmpty():
             more = _links_of_open(texts, grouped, left, p, every=True)
-            release(documents.sparkSession)
             found = found.unionByName(_passages_of(texts, more, replace(p, enough=1)))
             discard(more)
         discard(links, left)

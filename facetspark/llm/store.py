@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
+import time
 import uuid
 import zipfile
 from pathlib import Path
@@ -66,8 +68,14 @@ def discard(*tables: DataFrame) -> None:
 
 
 def release(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files behind written tables: it does once the driver's garbage is collected."""
-    spark._jvm.System.gc()
+    """Let Spark delete the shuffle files behind written tables: it does once the driver's garbage is collected.
+
+    Python may still hold the plans in cycles, and what one collection lets go refers to what the next one finds.
+    """
+    for _ in range(2):
+        gc.collect()
+        spark._jvm.System.gc()
+        time.sleep(0.3)
 
 
 def connected(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
