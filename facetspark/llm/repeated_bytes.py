@@ -45,6 +45,8 @@ class RepeatParams:
 
 
 POSITION_BITS = np.uint64(28)
+#: Until fragments are cut, a width has its anchor's place above these bits.
+PLACE_SHIFT = 16
 FRAGMENTS = "route long, anchor long, content long, doc_id long, start long, width int, settled boolean"
 
 
@@ -85,7 +87,7 @@ def _routed(p: RepeatParams):
                 s = flat.Slice(part.column(1))
                 f = anchored(s, p)
                 ids = np.asarray(part.column(0).fill_null(0)).astype(np.int64)[f["doc"]]
-                parts.append((f["anchor"], f["content"], ids, f["start"] - s.at[f["doc"]], f["width"]))
+                parts.append((f["anchor"], f["content"], ids, f["start"] - s.at[f["doc"]], f["width"] | ((f["place"] - f["start"]) << PLACE_SHIFT)))
             if not parts:
                 continue
             anchor, content, ids, start, width = (np.concatenate(x) for x in zip(*parts, strict=True))
@@ -152,6 +154,7 @@ def _judged(batches) -> Iterator[pa.RecordBatch]:
             k = last[-1]
             held = (anchor[k], content[k], ids[k], start[k], width[k], not alone)
         ids, start, width, is_open = (np.concatenate(x) for x in zip(*out, strict=True))
+        width = np.where(is_open, width, width & ((1 << PLACE_SHIFT) - 1))
         yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(start), pa.array(width.astype(np.int32)), pa.array(is_open)], names)
 
 
@@ -164,9 +167,8 @@ def _cut(p: RepeatParams):
             for doc, text, starts, widths in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
                 raw = (text or "").encode()
                 for start, width in zip(starts, widths, strict=True):
-                    one = flat.Slice(pa.array([raw[start : start + width]], pa.large_binary()))
-                    f = anchored(one, p)
-                    place, last = int(f["place"][0]), width - p.length
+                    place, width = width >> PLACE_SHIFT, width & ((1 << PLACE_SHIFT) - 1)
+                    last = width - p.length
                     left = min(last, place - half)  # windows up to here hold the half before the anchor
                     for a, b, c in ((0, left, (place - half, place + p.anchor)), (max(left + 1, 0), last, (place, place + p.anchor + half))):
                         if a <= b:
@@ -312,6 +314,8 @@ def _assembled(batches):
 
 def repeated_spans(documents: DataFrame, p: RepeatParams = RepeatParams()) -> DataFrame:
     """Byte ranges ``(doc_id, start, width)`` whose strings start earlier too; they may overlap."""
+    if p.length >= 1 << (PLACE_SHIFT - 1):
+        raise ValueError("strings are too long")
     ship(documents.sparkSession)
     texts = documents.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     routed = texts.where(F.octet_length("text") >= p.length).mapInArrow(_routed(p), FRAGMENTS)
